@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..plans.shipping import ship
-from . import mixing, ngram_join, packing
+from . import mixing, ngram_join, packing, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -40,9 +40,15 @@ def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "class_id", "n_links", "copies", "kept")
 
 
+def op4_toxicity_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents scored by their nearest labelled examples."""
+    return toxicity.predict(_table(spark, sf_dir, "documents").select("doc_id", "text"), _table(spark, sf_dir, "labels"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op2_entropy_mixing": op2_entropy_mixing,
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
+    "op4_toxicity_neighbours": op4_toxicity_neighbours,
 }
 ORACLES: dict[str, str] = {}
