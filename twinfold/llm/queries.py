@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..plans.shipping import ship
-from . import ann, embed_dedup, mixing, ngram_join, packing, toxicity
+from . import ann, embed_dedup, langid, mixing, ngram_join, packing, quality, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,17 +50,29 @@ def op5_adaptive_dimension_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.search(_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
 
 
+def op6_quality_positive_unlabelled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents scored for quality by the positive-unlabelled classifier."""
+    return quality.predict(_table(spark, sf_dir, "documents").select("doc_id", "text"), _table(spark, sf_dir, "labels"))
+
+
 def op9_subspace_pigeonhole(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All vectors linked at cosine 0.9, with their components."""
     return embed_dedup.near_duplicates(_table(spark, sf_dir, "embeddings"))
 
 
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The language of every document."""
+    return langid.identify(_table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_best_fit_packing": op1_best_fit_packing,
     "op2_entropy_mixing": op2_entropy_mixing,
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
     "op4_toxicity_neighbours": op4_toxicity_neighbours,
     "op5_adaptive_dimension_scan": op5_adaptive_dimension_scan,
+    "op6_quality_positive_unlabelled": op6_quality_positive_unlabelled,
     "op9_subspace_pigeonhole": op9_subspace_pigeonhole,
+    "op10_language_id": op10_language_id,
 }
 ORACLES: dict[str, str] = {}
