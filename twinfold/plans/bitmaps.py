@@ -39,3 +39,9 @@ def split_by(wide: DataFrame, keys: DataFrame, key: str, count: int | None = Non
     """The rows that may have a partner and those that certainly have none; every row is in one of the two."""
     hits = _hits(wide, keys, key, count)
     return hits.where("_hit").select(*wide.columns), hits.where("not _hit").select(*wide.columns)
+
+
+def drop_rows(wide: DataFrame, gone: DataFrame, key: str) -> DataFrame:
+    """``wide`` without the rows whose key is in ``gone``; only rows that may be hit are shuffled."""
+    touched, clean = split_by(wide, gone, key)
+    return touched.join(gone.select(key), key, "left_anti").select(*wide.columns).unionByName(clean)
