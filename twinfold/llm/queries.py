@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..plans.shipping import ship
-from . import ann, embed_dedup, langid, mixing, ngram_join, packing, quality, toxicity
+from . import ann, embed_dedup, langid, line_dedup, mixing, ngram_join, packing, quality, sharding, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -55,6 +55,18 @@ def op6_quality_positive_unlabelled(spark: SparkSession, sf_dir: str) -> DataFra
     return quality.predict(_table(spark, sf_dir, "documents").select("doc_id", "text"), _table(spark, sf_dir, "labels"))
 
 
+def op7_rendezvous_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in shards 0 to 7 of equal weight, and where a ninth shard would put them."""
+    out = sharding.assign(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard")
+
+
+def op8_line_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents without later copies of repeated line runs."""
+    out = line_dedup.dedupe(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "lines", "removed_lines", "text", "emptied")
+
+
 def op9_subspace_pigeonhole(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All vectors linked at cosine 0.9, with their components."""
     return embed_dedup.near_duplicates(_table(spark, sf_dir, "embeddings"))
@@ -72,7 +84,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_toxicity_neighbours": op4_toxicity_neighbours,
     "op5_adaptive_dimension_scan": op5_adaptive_dimension_scan,
     "op6_quality_positive_unlabelled": op6_quality_positive_unlabelled,
+    "op7_rendezvous_sharding": op7_rendezvous_sharding,
+    "op8_line_runs": op8_line_runs,
     "op9_subspace_pigeonhole": op9_subspace_pigeonhole,
     "op10_language_id": op10_language_id,
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op8_line_runs": line_dedup.ORACLE}
