@@ -1,11 +1,75 @@
-"""Corpus pipeline (stages follow)."""
+"""From raw documents to packed training sequences.
 
-STAGES = []
+Stages in order: toxic documents go, later copies of repeated line runs go, one document of each near-duplicate group stays, sources are mixed to their target weights, and the mix is packed
+into sequences. Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; all but the last return the columns of documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession, functions as F
+
+from twinfold.llm import line_dedup, mixing, ngram_join, packing, toxicity
+from twinfold.llm.queries import vocabulary
+from twinfold.plans.bitmaps import drop_rows
+from twinfold.plans.shipping import ship
+from twinfold.plans.storage import materialise
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the nearest labelled examples call toxic go; all others stay as they are."""
+    ship(spark)
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return toxicity.without(docs, toxicity.fit(docs, labels))
+
+
+def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Later copies of repeated line runs leave the texts; a document that keeps no line goes, one that never had any stays."""
+    left = line_dedup.dedupe(docs).where(~F.coalesce("emptied", F.lit(False)))
+    return _like(docs, left)
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates stays."""
+    ship(spark)
+    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "documents")
+    found = ngram_join.near_duplicates(rows.select(F.col("_row").alias("doc_id"), "text"))
+    gone = materialise(found.where("not kept").select(F.col("doc_id").alias("_row")), "gone")
+    return drop_rows(rows, gone, "_row").drop("_row")
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents as often as the mix takes them: source weights 5, 2, 1, 150 % of all words, at most twice each."""
+    return mixing.replicate(mixing.mix(docs), docs.columns)
+
+
+def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mix as sequences of at most 1024 tokens; one row a piece."""
+    ship(spark)
+    return packing.pack_documents(docs, *vocabulary())
+
+
+def _like(docs: DataFrame, changed: DataFrame) -> DataFrame:
+    """The columns of ``docs``; where there is a count of characters it follows the text."""
+    if "n_chars" in docs.columns:
+        changed = changed.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
+    return changed.select(*docs.columns)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("line_dedup", drop_repeated_lines),
+    ("ngram_jaccard", drop_near_duplicates),
+    ("mixing", mix_sources),
+    ("packing", pack_sequences),
+]
+
+#: Learned scores, sketches and packing are not SQL; tests hold the stages against plain versions.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages on ``documents``, each stage's rows written and read again before the next."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    for name, stage in STAGES[:-1]:
+        docs = materialise(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)

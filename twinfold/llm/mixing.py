@@ -115,22 +115,18 @@ def whole_copies(classes: list[tuple[int, int, int, float]], target: float, cap:
 def mix(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: int = 2, size: Column | None = None, max_sources: int = 1_000_000) -> DataFrame:
     """``docs(doc_id, text, source, ...)`` with size, source_size, target, rate, copies and taken beside each document."""
     keep = [c for c in docs.columns if c not in RESULT and not c.startswith("_")]
-    sized = docs.select(*keep, (word_count(F.col("text")) if size is None else size).alias("size"), _key().alias("_s"))
-    plan = _plan(sized.select("doc_id", "_s", "source", "size"), weights, share, cap, max_sources)
-    if keep == ["doc_id", "source"]:
+    rows = docs.select(*keep, (word_count(F.col("text")) if size is None else size).alias("size"), _key().alias("_s"), F.monotonically_increasing_id().alias("_uid"))
+    rows = materialise(rows, "documents")
+    plan = _plan(rows.select("_uid", "doc_id", "_s", "source", "size"), weights, share, cap, max_sources)
+    if keep == ["doc_id", "source"]:  # nothing else to carry
         return plan.select(*keep, *RESULT)
-    # The plan refers to documents by id and size; equal pairs are numbered on both sides, so repeated rows keep their own decision.
-    pair = Window.partitionBy("doc_id", "_s", "size").orderBy(F.lit(0))
-    left = sized.withColumn("_k", F.row_number().over(pair))
-    right = plan.withColumn("_k", F.row_number().over(Window.partitionBy("doc_id", "_s", "size").orderBy("copies"))).drop("source")
-    on = [left["doc_id"].eqNullSafe(right["doc_id"]), left["_s"] == right["_s"], left["size"] == right["size"], left["_k"] == right["_k"]]
-    return left.join(right, on).select(*[left[c] for c in keep], left["size"], *[right[c] for c in RESULT[1:]])
+    return rows.drop("size", "_s").join(plan.select("_uid", *RESULT), "_uid").select(*keep, *RESULT)
 
 
 def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -> DataFrame:
     spark = sized.sparkSession
     salts = max(16, width(spark))
-    order = F.xxhash64("doc_id", "_s", "size")
+    order = F.xxhash64("doc_id", "_s", "size")  # of the document, so that reruns agree; rows only break ties of equal documents
     rows = materialise(
         sized.withColumn("_o", order).withColumn("_salt", F.pmod(F.xxhash64("_o"), F.lit(salts)).cast("int"))
         .withColumn("_c", F.when(F.col("size") < 32, F.col("size")).otherwise(F.floor(8 * F.log2("size")) - 8).cast("int")), "sizes"
@@ -157,8 +153,8 @@ def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -
     # A document's rank in its class: first rank of its salt, from counts, plus its place in the salt.
     cells = rows.groupBy("_s", "_c", "_salt").agg(F.count("*").alias("_n"))
     firsts = cells.select("_s", "_c", "_salt", (F.sum("_n").over(Window.partitionBy("_s", "_c").orderBy("_salt")) - F.col("_n")).alias("_f"))
-    inside = Window.partitionBy("_s", "_c", "_salt").orderBy("_o", "doc_id")
-    ranked = materialise(rows.withColumn("_r", F.row_number().over(inside) - 1).join(firsts, ["_s", "_c", "_salt"]).select("doc_id", "_s", "source", "size", "_c", (F.col("_f") + F.col("_r")).alias("_rank")), "ranked")
+    inside = Window.partitionBy("_s", "_c", "_salt").orderBy("_o", "doc_id", "_uid")
+    ranked = materialise(rows.withColumn("_r", F.row_number().over(inside) - 1).join(firsts, ["_s", "_c", "_salt"]).select("_uid", "doc_id", "_s", "source", "size", "_c", (F.col("_f") + F.col("_r")).alias("_rank")), "ranked")
 
     def taken(now: dict) -> DataFrame:
         table = spark.createDataFrame([(s, c, k, n) for s, own in now.items() for c, (k, n) in own.items()], "_s string, _c int, _base int, _more long")
@@ -180,7 +176,7 @@ def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -
     return (
         taken(chosen).join(tilt, "_s")
         .withColumn("z", (F.log(F.greatest("size", F.lit(1))) - mean) / spread)
-        .select("doc_id", "_s", "source", "size", "source_size", "target", rate.alias("rate"), "copies", (F.col("size") * F.col("copies")).alias("taken"))
+        .select("_uid", "doc_id", "_s", "source", "size", "source_size", "target", rate.alias("rate"), "copies", (F.col("size") * F.col("copies")).alias("taken"))
     )
 
 
