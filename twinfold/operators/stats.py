@@ -55,9 +55,9 @@ def preprocess_failures(signed: DataFrame, sets: DataFrame) -> DataFrame:
 def pair_quality(found: DataFrame, truth: DataFrame) -> DataFrame:
     """Precision, recall and F1 of pairs (a < b)."""
     both = found.select("a", "b").distinct().withColumn("f", F.lit(1)).join(truth.select("a", "b").distinct().withColumn("t", F.lit(1)), ["a", "b"], "full_outer")
-    sums = both.agg(F.count("f").alias("found"), F.count("t").alias("true"), F.count_if(F.col("f").isNotNull() & F.col("t").isNotNull()).alias("hits"))
-    p, r = F.col("hits") / F.col("found"), F.col("hits") / F.col("true")
-    return sums.select("found", "true", "hits", F.round(p, 6).alias("precision"), F.round(r, 6).alias("recall"), F.round(F.try_divide(2 * p * r, p + r), 6).alias("f1"))
+    sums = both.agg(F.count("f").alias("found"), F.count("t").alias("planted"), F.count_if(F.col("f").isNotNull() & F.col("t").isNotNull()).alias("hits"))
+    p, r = F.col("hits") / F.col("found"), F.col("hits") / F.col("planted")
+    return sums.select("found", "planted", "hits", F.round(p, 6).alias("precision"), F.round(r, 6).alias("recall"), F.round(F.try_divide(2 * p * r, p + r), 6).alias("f1"))
 
 
 def set_pairs(sets: DataFrame) -> DataFrame:
