@@ -1,7 +1,7 @@
 """Toxicity by the nearest labelled examples under TF-IDF cosine, found exactly in a block-max inverted index.
 
 Terms are the words of the lower-cased text and their four-letter beginnings (so that inflected forms meet). The space keeps the terms that are
-associated with the label beyond chance (chi-squared on a bounded labelled sample); their document frequencies are counted over all documents. Labelled examples with such
+associated with the label beyond chance (chi-squared on a bounded labelled sample) and strongly (by ``lift``); their document frequencies are counted over all documents. Labelled examples with such
 terms are indexed: postings by term, in blocks of examples, with the largest weight of each block. A query adds its terms' block maxima to bounds, visits blocks from the largest bound down
 and stops when no bound reaches its k-th best cosine: the k nearest are exact. Their labels vote with weights growing as the distance falls; a logistic
 curve fitted on leave-one-out votes makes the vote a probability. The examples that voted are the evidence.
@@ -20,6 +20,7 @@ from collections import Counter
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..plans.storage import materialise
@@ -62,44 +63,42 @@ class BlockMaxIndex:
         for i, v in enumerate(vectors):
             for t, x in v.items():
                 raw.setdefault(t, []).append((i, x))
-        self.postings: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        self.blocks = self.n // block + 1
+        self.postings: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
         for t, own in raw.items():
             at, x = np.array([i for i, _ in own]), np.array([v for _, v in own])
-            blocks, first = np.unique(at // block, return_index=True)
-            self.postings[t] = (at, x, blocks, np.append(first, len(at)), np.maximum.reduceat(x, first))
+            first = np.unique(at // block, return_index=True)[1]
+            self.postings[t] = (at, x, at[first] // block, np.maximum.reduceat(x, first))
 
     def top(self, query: dict[int, float], k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """Positions and cosines of the k nearest with a positive cosine, nearest first, ties to the smaller id."""
         parts = [(q, self.postings[t]) for t, q in query.items() if t in self.postings]
+        best_at, best = np.zeros(0, int), np.zeros(0)
         if not parts:
-            return np.zeros(0, int), np.zeros(0)
-        bounds = np.zeros(self.n // self.block + 1)
-        for q, (_, _, blocks, _, most) in parts:
+            return best_at, best
+        bounds = np.zeros(self.blocks)
+        for q, (_, _, blocks, most) in parts:
             bounds[blocks] += q * most
-        best_at, best = np.zeros(0, int), np.zeros(0)
-        floor = 0.0
-        visit = np.argsort(-bounds, kind="stable")
-        for lo in range(0, len(visit), 16):
-            some = visit[lo : lo + 16]
-            some = some[bounds[some] > max(floor - 1e-12, 0.0)]
-            if not len(some):
-                break
-            score = np.zeros(len(some) * self.block)
-            for q, (at, x, blocks, first, _) in parts:
-                where = np.searchsorted(blocks, some)
-                for j, (b, p) in enumerate(zip(some, where)):
-                    if p < len(blocks) and blocks[p] == b:
-                        s = slice(first[p], first[p + 1])
-                        score[j * self.block + at[s] - b * self.block] += q * x[s]
-            at = (some[:, None] * self.block + np.arange(self.block)).ravel()
-            ok = (score > 0) & (at != without)
-            best_at, best = np.concatenate([best_at, at[ok]]), np.concatenate([best, score[ok]])
-            if len(best) > k:
-                order = np.lexsort((self.ids[best_at], -best))[:k]
-                best_at, best = best_at[order], best[order]
-                floor = best[-1]
-        order = np.lexsort((self.ids[best_at], -best))[:k]
-        return best_at[order], best[order]
+        # The most promising blocks give a floor; then every block that can still beat it is summed at once.
+        few = max(1, -(-2 * k // self.block))
+        order = np.argpartition(-bounds, min(few, self.blocks - 1))
+        todo = np.zeros(self.blocks, bool)
+        todo[order[:few]] = True
+        left = bounds > 0
+        while True:
+            score = np.zeros(self.n)
+            for q, (at, x, _, _) in parts:
+                here = todo[at // self.block]
+                score[at[here]] += q * x[here]
+            at = np.flatnonzero(score)
+            at = at[at != without]
+            best_at, best = np.concatenate([best_at, at]), np.concatenate([best, score[at]])
+            order = np.lexsort((self.ids[best_at], -best))[:k]
+            best_at, best = best_at[order], best[order]
+            left &= ~todo
+            todo = left & (bounds > best[-1] - 1e-12) if len(best) == k else left.copy()
+            if not todo.any():
+                return best_at, best
 
 
 class Model:
@@ -119,12 +118,13 @@ class Model:
         if len(examples) >= 20 and 0 < y.sum() < len(y):
             seen: dict = {}
             votes = []
-            for i, v in enumerate(vectors):
+            some = np.random.default_rng(1).permutation(len(vectors))[:4000]
+            for i, v in ((int(i), vectors[i]) for i in some):
                 key = (tuple(v.items()), y[i])  # leave one of equal examples out: the same vote for all of them
                 if key not in seen:
                     seen[key] = self.vote(*self.index.top(v, k, without=i))
                 votes.append(seen[key])
-            self.curve = fit_logistic(logit(np.array(votes))[:, None], y.astype(float), np.ones(len(y)))
+            self.curve = fit_logistic(logit(np.array(votes))[:, None], y[some].astype(float), np.ones(len(some)))
             self.curve[0] = max(self.curve[0], 0.0)
 
     def vector(self, counts: dict[int, int]) -> dict[int, float]:
@@ -145,7 +145,7 @@ class Model:
         return p, [{"doc_id": int(self.index.ids[i]), "cosine": float(min(c, 1.0)), "label": int(self.index.labels[i])} for i, c in zip(at[:5], cosine[:5])]
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = 40_000, max_terms: int = 4096, max_examples: int = 20_000, k: int = 15, chi: float = 50.0) -> Model:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = 40_000, max_terms: int = 4096, max_examples: int = 20_000, k: int = 15, chi: float = 50.0, lift: float = 2.0) -> Model:
     """Learn from labelled rows outside the held-out fold; at most ``max_labelled`` of them (documented bound)."""
     sample = materialise(labelled_sample(docs, labels, label, max_labelled), "labelled")
 
@@ -169,7 +169,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     by_term = sample.mapInPandas(tally, "term string, n long, p long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("p").alias("p"))
     a, c = F.col("p").cast("double"), F.col("n").cast("double")
     top, bottom = n * F.pow(a * n - p * c, 2), c * (n - c) * p * (n - p)
-    best = by_term.where(c < n).withColumn("chi", top / F.greatest(bottom, F.lit(1e-9))).where(F.col("chi") >= chi).orderBy(F.desc("chi"), "term").limit(max_terms)
+    best = by_term.where(c < n).withColumn("chi", top / F.greatest(bottom, F.lit(1e-9))).where(F.col("chi") >= chi).where((a / c >= lift * p / n) | (a / c * 2 * lift <= p / n)).orderBy(F.desc("chi"), "term").limit(max_terms)
     terms = [r["term"] for r in best.collect()]
     vocabulary = {t: i for i, t in enumerate(terms)}
 
@@ -223,6 +223,27 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, RESULT)
 
 
+def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
+    """The rows of ``docs`` whose text scores below the threshold, all their columns untouched."""
+
+    def run(batches):
+        words: dict = {}
+        known: dict = {}
+        for batch in batches:
+            keep = []
+            for text in batch.column("text").to_pylist():
+                counts = selected_counts(text, model.vocabulary, words)
+                key = tuple(sorted(counts.items()))
+                if key not in known:
+                    if len(known) > 50_000:
+                        known.clear()
+                    known[key] = model.score(counts)[0] < threshold
+                keep.append(known[key])
+            yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def predict(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **parameters) -> DataFrame:
     """Fit and score: doc_id, held_out, score, predicted, evidence, terms."""
     scored = score(docs, fit(docs, labels, **parameters))
