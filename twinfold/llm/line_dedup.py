@@ -43,43 +43,40 @@ def repeated_windows(units: DataFrame, min_words: int) -> DataFrame:
         levels.append((f"a{n}", f"b{n}"))
         reach *= 2
 
-    def name(length: Column, part: int) -> Column:
-        """Name of the run of ``length`` lines that starts here: two names of the largest power of two, the second shifted to end with the run."""
+    def name(length: Column, part: int, ends_here: bool) -> Column:
+        """Name of the run of ``length`` lines that starts (or ends) here: two names of the largest power of two, the first at its start, the second so that it ends with the run."""
         out = F.lit(None).cast("long")
         for n in range(1, min_words + 1):
             k = n.bit_length() - 1
-            col = levels[k][part]
-            out = F.when(length == n, F.xxhash64(F.lit(n), F.col(col), F.lead(col, n - (1 << k)).over(own))).otherwise(out)
+            col, shift = levels[k][part], n - (1 << k)
+            pair = (F.lag(col, n - 1).over(own), F.lag(col, (1 << k) - 1).over(own)) if ends_here else (F.col(col), F.lead(col, shift).over(own))
+            out = F.when(length == n, F.xxhash64(F.lit(n), *pair)).otherwise(out)
         return out
 
     ahead = Window.partitionBy("uid").orderBy("before").rangeBetween(0, min_words - 1)
     back = Window.partitionBy("uid").orderBy("c").rangeBetween(-(min_words - 1), 0)
     rows = rows.withColumns({"n": F.count("*").over(ahead), "last": F.max("pos").over(ahead), "sum": F.max("c").over(ahead) - F.col("before"), "m": F.count("*").over(back), "first": F.min("pos").over(back), "before_first": F.min("before").over(back)})
-    rows = rows.withColumns({"k1": name(F.col("n"), 0), "k2": name(F.col("n"), 1)})
-    forward = rows.where(F.col("sum") >= min_words).select("uid", "doc_id", F.col("pos").alias("s"), F.col("last").alias("e"), "k1", "k2")
-    # A run that ends here and is longer than the shortest from its own start: its name is built at its start, m - 1 lines before.
-    tails = rows.where((F.col("c") >= min_words) & (F.col("before") - F.col("before_first") >= min_words))
-    ends = tails.select("uid", F.col("first").alias("pos"), F.col("pos").alias("e"), "m")
-    starts = rows.select("uid", "doc_id", "pos", *[F.struct(name(F.lit(n), 0), name(F.lit(n), 1)).alias(f"_{n}") for n in range(2, min_words + 1)])
-    if min_words < 2:
-        return forward
-    chosen = F.coalesce(*[F.when(F.col("m") == n, F.col(f"_{n}")) for n in range(2, min_words + 1)])
-    backward = starts.join(ends, ["uid", "pos"]).select("uid", "doc_id", F.col("pos").alias("s"), "e", chosen["col1"].alias("k1"), chosen["col2"].alias("k2"))
-    return forward.unionByName(backward)
+    rows = rows.withColumns({f"k{p + 1}": name(F.col("n"), p, False) for p in (0, 1)} | {f"j{p + 1}": name(F.col("m"), p, True) for p in (0, 1)})
+    forward = F.when(F.col("sum") >= min_words, F.struct(F.col("pos").alias("s"), F.col("last").alias("e"), F.col("k1"), F.col("k2")))
+    # Only what is not also the shortest run from its own start: that one is in already.
+    longer = (F.col("c") >= min_words) & (F.col("before") - F.col("before_first") >= min_words)
+    backward = F.when(longer, F.struct(F.col("first").alias("s"), F.col("pos").alias("e"), F.col("j1").alias("k1"), F.col("j2").alias("k2")))
+    return rows.select("uid", "doc_id", F.explode(F.array_compact(F.array(forward, backward))).alias("x")).select("uid", "doc_id", "x.*")
 
 
 def later_runs(rows: DataFrame, min_words: int = 5) -> DataFrame:
     """(uid, s, e): maximal runs of lines (first and last position) that repeat what came before."""
-    windows = materialise(repeated_windows(line_units(rows), min_words), "windows")
+    units = materialise(line_units(rows), "lines")
+    windows = materialise(repeated_windows(units, min_words), "windows")
     order = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "uid", "s")
     firsts = materialise(windows.groupBy("k1", "k2").agg(F.min(order).alias("low"), F.count("*").alias("n")).where("n > 1").select("k1", "k2", F.col("low.uid").alias("u0"), F.col("low.s").alias("s0")), "firsts")
-    copies = reduce_by(windows, firsts, "k1").join(firsts, ["k1", "k2"]).where("uid <> u0 or s <> s0").select("uid", "s", "e")
+    copies = reduce_by(windows, firsts, "k1").join(firsts.hint("merge"), ["k1", "k2"]).where("uid <> u0 or s <> s0").select("uid", "s", "e")
     own = Window.partitionBy("uid").orderBy("s", "e")
     seen = F.max("e").over(own.rowsBetween(Window.unboundedPreceding, -1))
     fresh = F.when(F.col("s") > F.coalesce(seen, F.lit(-2)) + 1, 1).otherwise(0)
     islands = copies.withColumn("_new", fresh).withColumn("_run", F.sum("_new").over(own))
     out = materialise(islands.groupBy("uid", "_run").agg(F.min("s").alias("s"), F.max("e").alias("e")).select("uid", "s", "e"), "runs")
-    discard(windows, firsts)
+    discard(units, windows, firsts)
     return out
 
 
@@ -93,7 +90,7 @@ def dedupe(docs: DataFrame, min_words: int = 5) -> DataFrame:
     touched, clean = split_by(rows, per, "_uid")
     left = F.expr("filter(_lines, (x, i) -> not exists(_runs, r -> i between r.s and r.e))")
     changed = (
-        touched.join(per, "_uid", "left").withColumn("_lines", lines).withColumn("_left", F.when(F.col("_runs").isNull(), F.col("_lines")).otherwise(left))
+        touched.join(per.hint("merge"), "_uid", "left").withColumn("_lines", lines).withColumn("_left", F.when(F.col("_runs").isNull(), F.col("_lines")).otherwise(left))
         .withColumns({"text": F.array_join("_left", "\n"), "lines": F.size("_lines"), "removed_lines": F.size("_lines") - F.size("_left")})
         .withColumn("emptied", (F.col("removed_lines") > 0) & ~F.exists("_left", lambda x: F.trim(x) != ""))
         .withColumn("text", F.when(F.col("emptied"), "").otherwise(F.col("text")))
