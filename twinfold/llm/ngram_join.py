@@ -28,6 +28,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window, functions as F
 
+from ..plans.bitmaps import reduce_by
 from ..plans.components import connected
 from ..plans.storage import discard, materialise
 
@@ -80,7 +81,7 @@ def sketch(hashes: np.ndarray, lines: tuple[np.ndarray, np.ndarray]) -> np.ndarr
     for i in range(0, len(hashes), 4096):
         part = hashes[i : i + 4096, None] * a + b
         low = np.minimum(low, part.min(axis=0))
-    return (low >> np.uint64(32)).astype("<u4")
+    return low
 
 
 def runs_for(threshold: float, choices: int, recall: float) -> int:
@@ -134,12 +135,18 @@ class _Forest:
                 self.label[self.label == self.label[j]] = self.label[i]
 
 
+def root_paths(low: np.ndarray, runs: int, choices: int) -> np.ndarray:
+    """Tokens of the runs' first splits at full width; deeper splits and comparisons make do with 16 bits a coordinate."""
+    which = np.random.default_rng(runs * 31 + choices).permutation(len(low))[np.arange(runs * choices) % len(low)]
+    return _mixed(low[which] + _powers("root", _BASE, runs * choices)).astype(np.int64)
+
+
 def _leaf_edges(need: int):
     """Spanning forest of a leaf's sketch pairs that agree on ``need`` coordinates; pairs already connected are not compared.
     ``side``: 0 and 1 are compared with each other only, 2 with everything."""
 
     def work(g: dict[str, np.ndarray]) -> pd.DataFrame | None:
-        s = np.frombuffer(b"".join(g["sig"]), "<u4").reshape(len(g["node"]), -1)
+        s = np.frombuffer(b"".join(g["sig"]), "<u2").reshape(len(g["node"]), -1)
         side, forest = g["side"], _Forest(len(s))
         for i in range(len(s) - 1):
             rest = np.flatnonzero(forest.label[i + 1 :] != forest.label[i]) + i + 1
@@ -201,28 +208,28 @@ def near_duplicates(
     ``copies`` the number of documents with the same shingle set, itself included; ``kept`` marks one document of each component.
     """
     lines = _lines(coordinates, seed)
+    runs = runs_for(threshold, choices, recall)
 
     def sign(batches):
         for pdf in batches:
-            fp, sig, sh, n = [], [], [], []
+            out = []
             for text in pdf["text"]:
                 h = shingle_hashes(text, words)
                 d = np.frombuffer(hashlib.blake2b(h.tobytes(), digest_size=16).digest(), "<i8")
-                fp.append((int(d[0]), int(d[1])))
-                sig.append(sketch(h, lines).tobytes() if len(h) else b"")
-                sh.append(h.astype("<u8").tobytes())
-                n.append(len(h))
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "fp1": [x[0] for x in fp], "fp2": [x[1] for x in fp], "n": n, "sig": sig, "shingles": sh})
-
-    signed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(
-        sign, "doc_id long, fp1 long, fp2 long, n int, sig binary, shingles binary"
-    )
+                low = sketch(h, lines)
+                out.append((int(d[0]), int(d[1]), len(h), root_paths(low, runs, choices).tolist() if len(h) else [], (low >> np.uint64(48)).astype("<u2").tobytes() if len(h) else b""))
+            more = pd.DataFrame(out, columns=["fp1", "fp2", "n", "roots", "sig"])
+            yield pd.concat([pdf[["doc_id", "t1", "t2"]].astype({"doc_id": "Int64"}).reset_index(drop=True), more], axis=1)
+
+    text = F.col("text").cast("string")
+    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(5), text).alias("t2"))
+    signed = read.mapInPandas(sign, "doc_id long, t1 long, t2 long, fp1 long, fp2 long, n int, roots array<long>, sig binary")
     all_ = materialise(signed.withColumn("uid", F.monotonically_increasing_id()), "signed")
-    classes = materialise(all_.where("n > 0").groupBy("fp1", "fp2").agg(F.min("uid").alias("node"), F.count("*").alias("copies"), F.min("doc_id").alias("first_id")), "classes")
-    sigs = materialise(all_.select(F.col("uid").alias("node"), "sig").join(classes.select("node"), "node", "left_semi"), "sketches")
-    found = _candidates(sigs, threshold, recall, choices, coordinates, leaf, block, max_depth, slack)
+    classes = all_.where("n > 0").groupBy("fp1", "fp2").agg(F.min(F.struct("uid", "t1", "t2")).alias("r"), F.count("*").alias("copies"), F.min("doc_id").alias("first_id"))
+    classes = materialise(classes.select("fp1", "fp2", F.col("r.uid").alias("node"), "r.t1", "r.t2", "copies", "first_id"), "classes")
+    found = _candidates(all_, classes, threshold, choices, coordinates, leaf, block, max_depth, slack)
     groups = connected(found)
-    tiles = _tiles(all_, classes, materialise(groups, "groups"), block // 2)
+    tiles = _tiles(read, classes, materialise(groups, "groups"), block // 2, words)
     checked = materialise(
         tiles.mapInPandas(lambda it, f=_tile_links(threshold): _whole_groups(it, ["component", "lo", "hi"], f), "node long, root long, links long"), "links"
     )
@@ -240,31 +247,32 @@ def near_duplicates(
     return rest.unionByName(alone)
 
 
-def _candidates(sigs: DataFrame, threshold: float, recall: float, choices: int, coordinates: int, leaf: int, block: int, max_depth: int, slack: float) -> DataFrame:
-    """Verified-by-sketch spanning edges (u, v) of all leaves of all runs."""
-    runs = runs_for(threshold, choices, recall)
+def _candidates(all_: DataFrame, classes: DataFrame, threshold: float, choices: int, coordinates: int, leaf: int, block: int, max_depth: int, slack: float) -> DataFrame:
+    """Spanning edges (u, v) of all leaves of all runs, verified by sketch."""
     need = math.ceil((threshold - slack) * coordinates)
-
-    def token(i):
-        return F.expr(f"substring(sig, 4 * ({i}) + 1, 4)")
-
+    own = classes.select("node")
     # The runs are the root's children; all runs go down together.
-    roots = F.array(*[F.struct(F.lit(r).cast("long").alias("p"), F.pmod(F.xxhash64(F.lit(r), F.lit(c)), F.lit(coordinates)).cast("int").alias("i")) for r in range(runs) for c in range(choices)])
-    step = sigs.where("length(sig) > 0").select("node", "sig", F.explode(roots).alias("x")).select("node", F.lit(None).cast("long").alias("was"), F.xxhash64("x.p", "x.i", F.expr("substring(sig, 4 * x.i + 1, 4)")).alias("path"))
+    roots = all_.where("n > 0").select(F.col("uid").alias("node"), "roots").join(own, "node", "left_semi")
+    step = roots.select("node", F.lit(None).cast("long").alias("was"), F.posexplode("roots").alias("i", "path")).select("node", "was", F.xxhash64("i", "path").alias("path"))
     leaves: list[DataFrame] = []
+    live = None
     for depth in range(max_depth):
         step = materialise(step.dropDuplicates(["path", "node"]) if depth else step, "step")
         sizes = step.groupBy("path").agg(F.count("*").alias("size"), F.first("was").alias("was")).where("size > 1")
         done = (F.col("size") <= leaf) | (F.col("size") >= 0.8 * F.coalesce("was", F.lit(1 << 60))) | F.lit(depth == max_depth - 1)
         rows = materialise(step.select("node", "path").join(sizes.select("path", "size", done.alias("leaf")), "path"), "buckets")
         discard(step)
+        if not depth:  # most sets meet nobody; their sketches are read no more
+            nodes = rows.select("node").distinct()
+            sketches = all_.where("n > 0").select(F.col("uid").alias("node"), "sig")
+            live = materialise(reduce_by(sketches, nodes, "node").join(nodes, "node", "left_semi"), "live")
         leaves.append(rows.where("leaf"))
         if not rows.where("not leaf").limit(1).count():
             break
         picks = F.array(*[F.pmod(F.xxhash64("path", F.lit(c)), F.lit(coordinates)).cast("int") for c in range(choices)])
         step = (
-            rows.where("not leaf").join(sigs, "node").select("node", "path", "size", "sig", F.explode(picks).alias("i"))
-            .select("node", F.col("size").alias("was"), F.xxhash64("path", "i", F.expr("substring(sig, 4 * i + 1, 4)")).alias("path"))
+            rows.where("not leaf").join(live, "node").select("node", "path", "size", "sig", F.explode(picks).alias("i"))
+            .select("node", F.col("size").alias("was"), F.xxhash64("path", "i", F.expr("substring(sig, 2 * i + 1, 2)")).alias("path"))
         )
     rows = leaves[0]
     for more in leaves[1:]:
@@ -281,12 +289,12 @@ def _candidates(sigs: DataFrame, threshold: float, recall: float, choices: int,
     small = rows.where(F.col("size") <= block).select("path", F.lit(0).alias("lo"), F.lit(0).alias("hi"), "node", F.lit(2).alias("side"))
     large = materialise(rows.where(F.col("size") > block).withColumn("blocks", blocks).withColumn("mine", mine), "large")
     if not large.limit(1).count():
-        return materialise(compared(small.join(sigs, "node")), "edges")
+        return materialise(compared(small.join(live, "node")), "edges")
     weight = F.pmod(F.xxhash64("node", F.lit("anchor")), F.col("size"))
     anchors = large.where(weight < 16).select("path", "node", "mine", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("lo")).where("lo <> mine")
     first = large.select("path", F.col("mine").alias("lo"), F.col("mine").alias("hi"), "node", F.lit(2).alias("side"))
     first = first.unionByName(anchors.select("path", "lo", F.col("lo").alias("hi"), "node", F.lit(2).alias("side")))
-    edges = materialise(compared(small.unionByName(first).join(sigs, "node")), "edges")
+    edges = materialise(compared(small.unionByName(first).join(live, "node")), "edges")
     # What a large leaf's anchors left apart from its largest component is compared with all of its blocks.
     named = large.join(connected(edges), "node", "left").withColumn("component", F.coalesce("component", "node"))
     named = materialise(named, "named")
@@ -299,17 +307,26 @@ def _candidates(sigs: DataFrame, threshold: float, recall: float, choices: int,
     left = lots.select("path", "lo", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("hi"), "node", F.lit(2).alias("side"))
     right = named.join(per, "path").join(apart.select("path", "node"), ["path", "node"], "left_anti").select("path", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lo"), F.col("mine").alias("hi"), "node", F.lit(1).alias("side"))
     cross = lots.join(per.withColumnRenamed("lots", "k"), "path").select("path", F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("lo"), F.lit(-1).alias("hi"), "node", F.lit(2).alias("side"))
-    return materialise(edges.unionByName(compared(left.unionByName(right).unionByName(cross).join(sigs, "node"))), "edges")
+    return materialise(edges.unionByName(compared(left.unionByName(right).unionByName(cross).join(live, "node"))), "edges")
 
 
-def _tiles(all_: DataFrame, classes: DataFrame, groups: DataFrame, block: int) -> DataFrame:
-    """Members of candidate groups with their shingles, dealt to tiles: (component, lo, hi) holds chunks lo and hi of a group."""
+def _tiles(read: DataFrame, classes: DataFrame, groups: DataFrame, block: int, words: int) -> DataFrame:
+    """Members of candidate groups with their shingles, dealt to tiles: (component, lo, hi) holds chunks lo and hi of a group.
+
+    Shingles are not kept from the first pass; the few texts that came together are read again, found by the hash of the text.
+    """
     sizes = groups.groupBy("component").agg(F.ceil(F.count("*") / block).cast("int").alias("chunks"))
-    members = groups.join(sizes, "component").join(classes.select("node", "copies"), "node")
-    members = members.withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    members = groups.join(sizes, "component").join(classes.select("node", "copies", "t1", "t2"), "node")
+    members = materialise(members.withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int")), "members")
+    texts = reduce_by(read.select("t1", "t2", "text"), members.select("t1"), "t1").groupBy("t1", "t2").agg(F.first("text").alias("text"))
+
+    def sets(batches):
+        for pdf in batches:
+            yield pdf[["t1", "t2"]].assign(shingles=[shingle_hashes(t, words).astype("<u8").tobytes() for t in pdf["text"]])
+
+    keys = ["component", "lo", "hi"]
     dealt = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).select(
-        "component", F.least("chunk", "other").alias("lo"), F.greatest("chunk", "other").alias("hi"), "node", "copies", "chunk"
+        "component", F.least("chunk", "other").alias("lo"), F.greatest("chunk", "other").alias("hi"), "node", "copies", "chunk", "t1", "t2"
     )
-    keys = ["component", "lo", "hi"]
-    with_sets = dealt.join(all_.select(F.col("uid").alias("node"), "shingles"), "node")
+    with_sets = dealt.join(texts.mapInPandas(sets, "t1 long, t2 long, shingles binary"), ["t1", "t2"])
     return with_sets.repartition(*keys).sortWithinPartitions(*keys).select(*keys, "node", "copies", "chunk", "shingles")
