@@ -9,7 +9,7 @@ from .storage import discard, materialise
 
 def _star_min(edges: DataFrame) -> DataFrame:
     """(u, v) with the smallest neighbour-or-self of u beside each edge."""
-    low = edges.groupBy("u").agg(F.min("v").alias("m"))
+    low = materialise(edges.groupBy("u").agg(F.min("v").alias("m")), "lows")  # a table of its own, so that the join below has two plain exchanges and can split a hub
     return edges.join(low, "u").withColumn("m", F.least("u", "m"))
 
 
