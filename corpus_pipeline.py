@@ -24,8 +24,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs leave the texts; a document that keeps no line goes, one that never had any stays."""
-    left = line_dedup.dedupe(docs).where(~F.coalesce("emptied", F.lit(False)))
-    return _like(docs, left)
+    left = line_dedup.dedupe(_wrapped(docs, "doc_id", "text")).where(~F.coalesce("emptied", F.lit(False)))
+    return _unwrapped(docs, left)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -39,7 +39,7 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them: source weights 5, 2, 1, 150 % of all words, at most twice each."""
-    return mixing.replicate(mixing.mix(docs), docs.columns)
+    return _unwrapped(docs, mixing.replicate(mixing.mix(_wrapped(docs, "doc_id", "text", "source")), ["payload", "text"]), same_text=True)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,11 +48,23 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     return packing.pack_documents(docs, *vocabulary())
 
 
-def _like(docs: DataFrame, changed: DataFrame) -> DataFrame:
-    """The columns of ``docs``; where there is a count of characters it follows the text."""
-    if "n_chars" in docs.columns:
-        changed = changed.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return changed.select(*docs.columns)
+def _wrapped(docs: DataFrame, *own: str) -> DataFrame:
+    """What an operator needs, and all columns but the text in one struct: no name of theirs meets a name of the operator's."""
+    rest = [c for c in docs.columns if c != "text"]
+    return docs.select(*own, F.struct(*rest).alias("payload"))
+
+
+def _unwrapped(docs: DataFrame, rows: DataFrame, same_text: bool = False) -> DataFrame:
+    """The columns of ``docs`` again; where the text has changed and there is a count of characters, the count follows."""
+    out = []
+    for c in docs.columns:
+        if c == "text":
+            out.append(F.col("text"))
+        elif c == "n_chars" and not same_text:
+            out.append(F.when(F.col("payload.n_chars").isNotNull(), F.length("text")).cast(docs.schema[c].dataType).alias(c))
+        else:
+            out.append(F.col(f"payload.`{c}`").alias(c))
+    return rows.select(*out)
 
 
 STAGES = [

@@ -16,10 +16,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import held_out
+from .shared import held_out, per_text
 
 _REST = re.compile(r"[\W\d_]+")
-RESULT = "doc_id long, lang_pred string, score double, rejected boolean"
+RESULT = "lang_pred string, score double, rejected boolean"
 
 
 def subwords(text: str | None, bits: int) -> np.ndarray:
@@ -139,20 +139,19 @@ def fit(docs: DataFrame, per_language: int = 1200, max_languages: int = 500, win
 
 
 def predict(docs: DataFrame, model: Model | None) -> DataFrame:
-    def run(batches):
-        for pdf in batches:
-            names, scores, rejected = [], [], []
-            for text in pdf["text"]:
-                rows = subwords(text, model.bits) if model else np.zeros(0, np.int64)
-                if not len(rows):
-                    names.append("und"), scores.append(0.0), rejected.append(True)
-                    continue
-                p = model.probabilities(model.logits(model.mean(rows)[None]))[0]
-                best = int(p.argmax())
-                names.append(model.languages[best]), scores.append(float(p[best])), rejected.append(bool(p[best] < model.reject_at))
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "lang_pred": names, "score": scores, "rejected": rejected})
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, RESULT)
+    def one(text: str | None) -> tuple[str, float, bool]:
+        rows = subwords(text, model.bits) if model else ()
+        if not len(rows):
+            return "und", 0.0, True
+        p = model.probabilities(model.logits(model.mean(rows)[None]))[0]
+        best = int(p.argmax())
+        return model.languages[best], float(p[best]), bool(p[best] < model.reject_at)
+
+    def run(texts: list) -> dict[str, list]:
+        rows = [one(t) for t in texts]
+        return {"lang_pred": [r[0] for r in rows], "score": [r[1] for r in rows], "rejected": [r[2] for r in rows]}
+
+    return per_text(docs, lambda: run, RESULT)
 
 
 def identify(docs: DataFrame, **parameters) -> DataFrame:

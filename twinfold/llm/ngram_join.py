@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from ..plans.bitmaps import reduce_by
 from ..plans.components import connected
 from ..plans.storage import discard, materialise
+from .shared import per_text
 
 _GAP = re.compile(r"\W+")
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -210,20 +211,21 @@ def near_duplicates(
     lines = _lines(coordinates, seed)
     runs = runs_for(threshold, choices, recall)
 
-    def sign(batches):
-        for pdf in batches:
-            out = []
-            for text in pdf["text"]:
-                h = shingle_hashes(text, words)
-                d = np.frombuffer(hashlib.blake2b(h.tobytes(), digest_size=16).digest(), "<i8")
-                low = sketch(h, lines)
-                out.append((int(d[0]), int(d[1]), len(h), root_paths(low, runs, choices).tolist() if len(h) else [], (low >> np.uint64(48)).astype("<u2").tobytes() if len(h) else b""))
-            more = pd.DataFrame(out, columns=["fp1", "fp2", "n", "roots", "sig"])
-            yield pd.concat([pdf[["doc_id", "t1", "t2"]].astype({"doc_id": "Int64"}).reset_index(drop=True), more], axis=1)
+    def sign(texts: list) -> dict[str, list]:
+        out: dict[str, list] = {k: [] for k in ("fp1", "fp2", "n", "roots", "sig")}
+        for text in texts:
+            h = shingle_hashes(text, words)
+            d = np.frombuffer(hashlib.blake2b(h.tobytes(), digest_size=16).digest(), "<i8")
+            low = sketch(h, lines) if len(h) else None
+            out["fp1"].append(int(d[0])), out["fp2"].append(int(d[1])), out["n"].append(len(h))
+            out["roots"].append([] if low is None else root_paths(low, runs, choices).tolist())
+            out["sig"].append(b"" if low is None else (low >> np.uint64(48)).astype("<u2").tobytes())
+        return out
 
     text = F.col("text").cast("string")
-    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(5), text).alias("t2"))
-    signed = read.mapInPandas(sign, "doc_id long, t1 long, t2 long, fp1 long, fp2 long, n int, roots array<long>, sig binary")
+    hashed = {"t1": F.xxhash64(text), "t2": F.xxhash64(F.lit(5), text)}
+    read = docs.select(text.alias("text"), *[c.alias(k) for k, c in hashed.items()])
+    signed = per_text(docs, lambda: sign, "fp1 long, fp2 long, n int, roots array<long>, sig binary", hashed)
     all_ = materialise(signed.withColumn("uid", F.monotonically_increasing_id()), "signed")
     classes = all_.where("n > 0").groupBy("fp1", "fp2").agg(F.min(F.struct("uid", "t1", "t2")).alias("r"), F.count("*").alias("copies"), F.min("doc_id").alias("first_id"))
     classes = materialise(classes.select("fp1", "fp2", F.col("r.uid").alias("node"), "r.t1", "r.t2", "copies", "first_id"), "classes")

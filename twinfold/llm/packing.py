@@ -15,18 +15,18 @@ salted hash, doc_id and piece. Repeated doc_ids stay separate documents: their r
 from __future__ import annotations
 
 import base64
-import heapq
 import zlib
-from bisect import bisect_left, insort
+from bisect import bisect_left
 from collections import Counter
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..plans.storage import materialise, width
+from .shared import per_text
 
-PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
+PIECES = "piece int, start long, length long, ids_crc32 long"
 _ENCODERS: dict[tuple[str, str], object] = {}
 
 
@@ -62,22 +62,23 @@ def _encoder(vocab_json: str, ranks_file: str | None):
 def token_pieces(docs: DataFrame, vocab_json: str, ranks_file: str | None = None, capacity: int = 1024, end_id: int = 2, with_ids: bool = False) -> DataFrame:
     """Pieces of at most ``capacity`` tokens; a longer document's first piece takes the remainder."""
 
-    def cut(batches):
+    def start():
         encode = _encoder(vocab_json, ranks_file)
-        for pdf in batches:
-            rows = []
-            for doc, text in zip(pdf["doc_id"], pdf["text"]):
-                ids = np.array([*encode(text if isinstance(text, str) else ""), end_id], dtype="<u4")
+
+        def cut(texts: list) -> dict[str, list]:
+            out: dict[str, list] = {k: [] for k in ("_row", "piece", "start", "length", "ids_crc32", "ids")}
+            for row, text in enumerate(texts):
+                ids = np.array([*encode(text or ""), end_id], dtype="<u4")
                 first = (len(ids) - 1) % capacity + 1
                 for k, (a, b) in enumerate(zip([0, *range(first, len(ids), capacity)], range(first, len(ids) + 1, capacity))):
-                    row = (doc, k, a, b - a, zlib.crc32(ids[a:b].tobytes()))
-                    rows.append((*row, ids[a:b].tolist()) if with_ids else row)
-            names = ["doc_id", "piece", "start", "length", "ids_crc32"] + ["ids"] * with_ids
-            yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
+                    values = (row, k, a, b - a, zlib.crc32(ids[a:b].tobytes()), ids[a:b].tolist() if with_ids else None)
+                    for name, v in zip(out, values):
+                        out[name].append(v)
+            return out
+
+        return cut
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(
-        cut, PIECES + (", ids array<int>" if with_ids else "")
-    )
+    return per_text(docs, start, PIECES + (", ids array<int>" if with_ids else ""))
 
 
 def patterns_for(counts: dict[int, int], capacity: int, parts: int = 4, per_length: int = 8, slack: int = 0) -> list[tuple[int, ...]]:
@@ -230,18 +231,20 @@ def pack(pieces: DataFrame, capacity: int = 1024) -> DataFrame:
         table[length] = tuple(np.array([x[i] for x in own], dtype=np.int64) for i in (0, 2, 3))
 
     def look_up(batches):
-        for pdf in batches:
-            seq, off = np.empty(len(pdf), np.int64), np.empty(len(pdf), np.int64)
-            for length, at in pdf.groupby("length").indices.items():
-                first, sequence, offset = table[length]
-                ranks = pdf["_rank"].to_numpy()[at]
-                i = np.searchsorted(first, ranks, side="right") - 1
-                seq[at], off[at] = sequence[i] + ranks - first[i], offset[i]
-            yield pdf.drop(columns="_rank").assign(sequence_id=seq, offset=off)
-
-    keep = [c for c in pieces.columns]
+        for batch in batches:
+            lengths, ranks = batch.column("length").to_numpy(), batch.column("_rank").to_numpy()
+            seq, off = np.empty(len(ranks), np.int64), np.empty(len(ranks), np.int64)
+            for length in np.unique(lengths):
+                at = np.flatnonzero(lengths == length)
+                first, sequence, offset = table[int(length)]
+                i = np.searchsorted(first, ranks[at], side="right") - 1
+                seq[at], off[at] = sequence[i] + ranks[at] - first[i], offset[i]
+            own = [batch.column(c) for c in keep]
+            yield pa.RecordBatch.from_arrays([*own, pa.array(seq), pa.array(off)], names=[*keep, "sequence_id", "offset"])
+
+    keep = list(pieces.columns)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema.fields)
-    return ranked.select(*keep, "_rank").mapInPandas(look_up, f"{schema}, sequence_id long, offset long")
+    return ranked.select(*keep, "_rank").mapInArrow(look_up, f"{schema}, sequence_id long, offset long")
 
 
 def pack_documents(docs: DataFrame, vocab_json: str, ranks_file: str | None = None, capacity: int = 1024, end_id: int = 2) -> DataFrame:

@@ -15,7 +15,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import fit_logistic, held_out
+from .shared import fit_logistic, held_out, per_text
 
 _CLASSES = 12
 
@@ -164,13 +164,10 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", max_rows: in
 
 
 def score(docs: DataFrame, net: Network | None) -> DataFrame:
-    def run(batches):
-        for pdf in batches:
-            if len(pdf):
-                s = net.score(np.stack([features(t) for t in pdf["text"]])) if net else np.full(len(pdf), 0.5)
-                yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "score": s})
+    def start():
+        return lambda texts: {"score": net.score(np.stack([features(t) for t in texts])).tolist() if net and texts else [0.5] * len(texts)}
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, score double")
+    return per_text(docs, start, "score double")
 
 
 def predict(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, **parameters) -> DataFrame:

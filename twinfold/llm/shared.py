@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
-from pyspark.sql import Column, DataFrame, functions as F
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, functions as F, types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 
 def held_out(doc_id: str = "doc_id") -> Column:
@@ -24,6 +28,29 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(own), "doc_id")
 
 
+def per_text(docs: DataFrame, start: Callable[[], Callable[[list], dict[str, list]]], result: str, carry: dict[str, Column] | None = None) -> DataFrame:
+    """Apply a function of texts in Arrow batches and keep ``doc_id`` (and ``carry``) beside its columns, bit by bit, nulls included.
+
+    ``start`` runs once a task and returns the function; a list ``_row`` among its columns says which text each output row belongs to (else one row a text, in order).
+    """
+    own = {"doc_id": F.col("doc_id").cast("long")} | (carry or {})
+    rows = docs.select(F.col("text").cast("string").alias("text"), *[c.alias(k) for k, c in own.items()])
+    made = T._parse_datatype_string(result)
+    schema = T.StructType([T.StructField(k, rows.schema[k].dataType) for k in own] + made.fields)
+    arrow, names, results = to_arrow_schema(schema), list(own), [f.name for f in made.fields]
+
+    def run(batches):
+        work = start()
+        for batch in batches:
+            out = work(batch.column("text").to_pylist())
+            at = out.pop("_row", None)
+            kept = [batch.column(k) if at is None else batch.column(k).take(pa.array(at, pa.int64())) for k in names]
+            kept = [a.cast(arrow.field(k).type) for k, a in zip(names, kept)]
+            yield pa.RecordBatch.from_arrays(kept + [pa.array(out[k], arrow.field(k).type) for k in results], schema=arrow)
+
+    return rows.mapInArrow(run, schema)
+
+
 def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-3, steps: int = 50) -> np.ndarray:
     """Weighted logistic regression with intercept (last coefficient) by damped Newton steps."""
     a = np.column_stack([x, np.ones(len(x))])

@@ -24,10 +24,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..plans.storage import materialise
-from .shared import fit_logistic, held_out, labelled_sample, logit
+from .shared import fit_logistic, held_out, labelled_sample, logit, per_text
 
 _WORD = re.compile(r"\w+")
-RESULT = "doc_id long, score double, evidence array<struct<doc_id:long,cosine:double,label:int>>, terms array<string>"
+RESULT = "score double, evidence array<struct<doc_id:long,cosine:double,label:int>>, terms array<string>"
 
 
 def words_of(text: str | None) -> list[str]:
@@ -205,22 +205,26 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``doc_id, score, evidence, terms`` for every row of ``docs(doc_id, text)``."""
 
-    def run(batches):
+    def start():
         words: dict = {}
         known: dict = {}
-        for pdf in batches:
-            out = []
-            for text in pdf["text"]:
-                counts = selected_counts(text, model.vocabulary, words)
-                key = tuple(sorted(counts.items()))
-                if key not in known:
-                    if len(known) > 50_000:
-                        known.clear()
-                    known[key] = (*model.score(counts), [model.terms[t] for t in sorted(counts)])
-                out.append(known[key])
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "score": [x[0] for x in out], "evidence": [x[1] for x in out], "terms": [x[2] for x in out]})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, RESULT)
+        def one(text: str | None) -> tuple:
+            counts = selected_counts(text, model.vocabulary, words)
+            key = tuple(sorted(counts.items()))
+            if key not in known:
+                if len(known) > 50_000:
+                    known.clear()
+                known[key] = (*model.score(counts), [model.terms[t] for t in sorted(counts)])
+            return known[key]
+
+        def run(texts: list) -> dict[str, list]:
+            rows = [one(t) for t in texts]
+            return {"score": [r[0] for r in rows], "evidence": [r[1] for r in rows], "terms": [r[2] for r in rows]}
+
+        return run
+
+    return per_text(docs, start, RESULT)
 
 
 def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
