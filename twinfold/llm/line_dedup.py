@@ -4,7 +4,7 @@ The corpus is a sequence of line ids (hashes of the trimmed line; blank lines ar
 two names of 2**k. Equal names are the equality classes of suffixes by their first lines, which is what the intervals of a suffix array with common prefixes of that depth
 are; since only the classes and their first members matter here, names are hashes and the suffixes are never sorted globally. A run counts as repeated from ``min_words`` words on. The shortest such run that
 starts at a line, and the shortest that ends at a line, is named by two overlapping powers of two; every line of a longer repeated run lies in one of these, so the union of those that
-occurred before (in the order of doc_id, then row) is the union of all maximal repeated runs' later copies. They are deleted; first copies stay.
+occurred before (in the order of doc_id, then row) is the union of all maximal repeated runs' later copies. They are deleted, with blank lines between two deleted ones; first copies stay.
 
 Defined results: null text stays null, empty text stays empty; a document all of whose lines go has the empty text and ``emptied`` true; ties in doc_id are ordered by row; repeated rows are later copies; null doc_ids
 come last; very long documents are only long sequences; an empty table gives an empty result; other columns are carried along.
@@ -32,9 +32,9 @@ def line_units(rows: DataFrame) -> DataFrame:
 
 
 def repeated_windows(units: DataFrame, min_words: int) -> DataFrame:
-    """(uid, doc_id, s, e, k1, k2): shortest runs of at least ``min_words`` words from each start and to each end."""
+    """(uid, doc_id, s, e, us, ue, k1, k2): shortest runs of at least ``min_words`` words from each start and to each end; s and e are lines, us and ue their numbers among the units."""
     own = Window.partitionBy("uid").orderBy("pos")
-    rows = units.withColumn("c", F.sum("w").over(own)).withColumn("before", F.col("c") - F.col("w"))
+    rows = units.withColumns({"c": F.sum("w").over(own), "u": F.row_number().over(own)}).withColumn("before", F.col("c") - F.col("w"))
     levels, reach = [("a", "b")], 1
     while reach * 2 <= min_words:
         p, q = levels[-1]
@@ -57,10 +57,10 @@ def repeated_windows(units: DataFrame, min_words: int) -> DataFrame:
     back = Window.partitionBy("uid").orderBy("c").rangeBetween(-(min_words - 1), 0)
     rows = rows.withColumns({"n": F.count("*").over(ahead), "last": F.max("pos").over(ahead), "sum": F.max("c").over(ahead) - F.col("before"), "m": F.count("*").over(back), "first": F.min("pos").over(back), "before_first": F.min("before").over(back)})
     rows = rows.withColumns({f"k{p + 1}": name(F.col("n"), p, False) for p in (0, 1)} | {f"j{p + 1}": name(F.col("m"), p, True) for p in (0, 1)})
-    forward = F.when(F.col("sum") >= min_words, F.struct(F.col("pos").alias("s"), F.col("last").alias("e"), F.col("k1"), F.col("k2")))
+    forward = F.when(F.col("sum") >= min_words, F.struct(F.col("pos").alias("s"), F.col("last").alias("e"), F.col("u").cast("long").alias("us"), (F.col("u") + F.col("n") - 1).alias("ue"), F.col("k1"), F.col("k2")))
     # Only what is not also the shortest run from its own start: that one is in already.
     longer = (F.col("c") >= min_words) & (F.col("before") - F.col("before_first") >= min_words)
-    backward = F.when(longer, F.struct(F.col("first").alias("s"), F.col("pos").alias("e"), F.col("j1").alias("k1"), F.col("j2").alias("k2")))
+    backward = F.when(longer, F.struct(F.col("first").alias("s"), F.col("pos").alias("e"), (F.col("u") - F.col("m") + 1).alias("us"), F.col("u").cast("long").alias("ue"), F.col("j1").alias("k1"), F.col("j2").alias("k2")))
     return rows.select("uid", "doc_id", F.explode(F.array_compact(F.array(forward, backward))).alias("x")).select("uid", "doc_id", "x.*")
 
 
@@ -70,10 +70,10 @@ def later_runs(rows: DataFrame, min_words: int = 5) -> DataFrame:
     windows = materialise(repeated_windows(units, min_words), "windows")
     order = F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "uid", "s")
     firsts = materialise(windows.groupBy("k1", "k2").agg(F.min(order).alias("low"), F.count("*").alias("n")).where("n > 1").select("k1", "k2", F.col("low.uid").alias("u0"), F.col("low.s").alias("s0")), "firsts")
-    copies = reduce_by(windows, firsts, "k1").join(firsts.hint("merge"), ["k1", "k2"]).where("uid <> u0 or s <> s0").select("uid", "s", "e")
-    own = Window.partitionBy("uid").orderBy("s", "e")
-    seen = F.max("e").over(own.rowsBetween(Window.unboundedPreceding, -1))
-    fresh = F.when(F.col("s") > F.coalesce(seen, F.lit(-2)) + 1, 1).otherwise(0)
+    copies = reduce_by(windows, firsts, "k1").join(firsts.hint("merge"), ["k1", "k2"]).where("uid <> u0 or s <> s0").select("uid", "s", "e", "us", "ue")
+    own = Window.partitionBy("uid").orderBy("us", "ue")
+    seen = F.max("ue").over(own.rowsBetween(Window.unboundedPreceding, -1))
+    fresh = F.when(F.col("us") > F.coalesce(seen, F.lit(-2)) + 1, 1).otherwise(0)  # neighbours join, and blank lines between them
     islands = copies.withColumn("_new", fresh).withColumn("_run", F.sum("_new").over(own))
     out = materialise(islands.groupBy("uid", "_run").agg(F.min("s").alias("s"), F.max("e").alias("e")).select("uid", "s", "e"), "runs")
     discard(units, windows, firsts)
@@ -109,9 +109,12 @@ summed as (select *, row_number() over p as i, sum(w) over p as c, sum(w) over p
 lists as (select doc_id, list(line order by i) as all_lines, list(pos order by i) as all_pos from summed group by doc_id),
 ahead as (select s.doc_id, s.i as i0, min(e.i) as i1 from summed s join summed e on s.doc_id = e.doc_id and e.i between s.i and s.i + 4 and e.c - s.b >= 5 group by all),
 behind as (select e.doc_id, max(s.i) as i0, e.i as i1 from summed e join summed s on s.doc_id = e.doc_id and s.i between e.i - 4 and e.i and e.c - s.b >= 5 group by e.doc_id, e.i),
-windows as (select doc_id, i0, i1, all_lines[i0:i1] as k, all_pos[i0] as s, all_pos[i1] as e from (select * from ahead union select * from behind) join lists using (doc_id)),
-ranked as (select doc_id, s, e, row_number() over (partition by k order by doc_id, s) as r from windows),
-dead as (select distinct doc_id, unnest(range(s, e + 1)) as pos from ranked where r > 1),
+windows as (select doc_id, i0, i1, all_lines[i0:i1] as k from (select * from ahead union select * from behind) join lists using (doc_id)),
+ranked as (select doc_id, i0, i1, row_number() over (partition by k order by doc_id, i0) as r from windows),
+gone as (select distinct doc_id, unnest(range(i0, i1 + 1)) as i from ranked where r > 1),
+spots as (select s.doc_id, s.i, s.pos, g.i is not null as out from summed s left join gone g on g.doc_id = s.doc_id and g.i = s.i),
+dead as (select doc_id, unnest(range(pos, case when next_out then next_pos else pos + 1 end)) as pos
+         from (select *, lead(out) over (partition by doc_id order by i) as next_out, lead(pos) over (partition by doc_id order by i) as next_pos from spots) where out),
 parts as (select r.doc_id, line, pos from (select doc_id, unnest(ls) as line, generate_subscripts(ls, 1) - 1 as pos from raw) r anti join dead d on r.doc_id = d.doc_id and r.pos = d.pos),
 kept as (select doc_id, string_agg(line, chr(10) order by pos) as t, count(*) as n, bool_or(trim(line) <> '') as wordy from parts group by doc_id)
 select raw.doc_id, cast(coalesce(len(ls), 0) as int) as lines, cast(coalesce(len(ls), 0) - coalesce(n, 0) as int) as removed_lines,
