@@ -551,3 +551,62 @@ def quality_two_providers(spark, d):
     s = catalog.documents(spark, d).select("image_id", F.lit("text").alias("provider"), catalog.text_quality(F.col("content")).alias("q"))
     l = catalog.table(spark, d, "labels").groupBy(F.col("doc_id").alias("image_id")).agg(F.max(F.col("quality") - F.col("toxic")).cast("double").alias("q")).withColumn("provider", F.lit("label"))
     return s.unionByName(l)
+
+
+# ---- further variants and workloads
+
+@query("actions_exact_inter", o.with_(_P, o.decided(variants=())) + " select image_id, action, reason, to_subject from acts")
+def actions_exact_inter(spark, d):
+    """Byte copies alone: those across subjects go through the choice of the subject as well."""
+    return res.actions(_planted(spark, d), detectors=("digest",)).select("image_id", "action", "reason", "to_subject")
+
+
+@query("subject_choice_single", o.with_(*_ALL_SCORES, f"m as (select k.component, count(distinct i.subject) as n from kept k join involved i using (component) join signed x on x.image_id = k.kept and x.vec is not null join refs r on r.subject = i.subject and r.vec is not null group by k.component)") + " select component from m where n = 1")
+def subject_choice_single(spark, d):
+    """Sets with one candidate subject left: the margin has no second best and does not apply."""
+    return _means(spark, d, "pairs")[2].groupBy("component").agg(F.count("*").alias("n")).where("n = 1").select("component")
+
+
+@query("near_components_r6", o.with_(_DOC, """reps as (select hi, lo, min(image_id) as rep from signed group by hi, lo),
+b as (select a.rep as u, b.rep as v from reps a join reps b on a.rep <> b.rep and bit_count(xor(a.hi, b.hi)) + bit_count(xor(a.lo, b.lo)) <= 6),
+r as (select rep as a, rep as b from reps where rep in (select u from b) union select r.a, b.v from r join b on b.u = r.b),
+c as (select a as rep, min(b) as component from r group by a)""") + " select coalesce(component, rep) as component, image_id from signed join reps using (hi, lo) left join c using (rep) where component is not null or (hi, lo) in (select (hi, lo) from signed group by hi, lo having count(*) > 1)")
+def near_components_r6(spark, d):
+    """The radius extension: components of equal hashes and of hashes within six bits."""
+    s = _docs(spark, d)
+    reps = s.groupBy("hi", "lo").agg(F.min("image_id").alias("rep"))
+    edges = s.join(reps, ["hi", "lo"]).select(F.col("image_id").alias("u"), F.col("rep").alias("v")).unionByName(det.hash_pairs(s, 6).select(F.col("a").alias("u"), F.col("b").alias("v")))
+    from ..plans.components import connected
+
+    return connected(edges).select("component", F.col("node").alias("image_id"))
+
+
+_SOLO = "variants as (select 'original' as variant, image_id, path, subject, ahi, vec, q from signed)"
+_EER = " select round((fnmr + fmr) / 2, 6) as eer, threshold from (select *, row_number() over (order by abs(fnmr - fmr), threshold) as r from curve) where r = 1"
+
+
+@query("eer_documents", o.with_(o.documents("mix"), _SOLO, o.comparisons(), o.rates()) + _EER)
+def eer_documents(spark, d):
+    """Shingle features say little about the labels of documents: near chance."""
+    return bio.eer(bio.rates(bio.comparisons(_docs(spark, d, "mix"))))
+
+
+_RAW = "signed as (select vec_id as image_id, cast(label as varchar) as subject, concat(label, '/', lpad(cast(vec_id as varchar), 10, '0')) as path, 1::bigint as ahi, list_transform(embedding, lambda x: cast(floor(cast(x as double) * 32768 + 0.5) as bigint)) as vec, cast(vec_id % 7 as double) as q from embeddings)"
+
+
+@query("eer_raw_vectors", o.with_(_RAW, _SOLO, o.comparisons(), o.rates()) + _EER)
+def eer_raw_vectors(spark, d):
+    """The given vectors under their labels: chance level."""
+    e = catalog.table(spark, d, "embeddings")
+    vec = F.transform("embedding", lambda x: F.floor(x.cast("double") * 32768 + 0.5).cast("long"))
+    path = F.concat(F.col("label").cast("string"), F.lit("/"), catalog.padded("vec_id"))
+    rows = e.select(F.col("vec_id").alias("image_id"), F.col("label").cast("string").alias("subject"), path.alias("path"), F.lit(1).cast("long").alias("ahi"), vec.alias("vec"), (F.col("vec_id") % 7).cast("double").alias("q"))
+    return bio.eer(bio.rates(bio.comparisons(rows)))
+
+
+#: The second quality provider on the planted collection: many ties, every sixth image without a score.
+_Q2 = "case when image_id % 6 <> 0 then cast((image_id * 7) % 5 as double) end"
+_Q2_SIGNED = o.planted_signed().replace("signed as (select 'planted'", "signed_1 as (select 'planted'") + f", signed as (select * exclude (q), {_Q2} as q from signed_1)"
+_EDC2 = {e: _edc_sql(e, " , s as (select variant, fraction, error, least(coalesce(lead(fraction) over (partition by variant order by fraction), 1), 0.2) as e from edc) select round(sum(floor((e - fraction) * error * 1e12 + 0.5))::double / 1e12, 6) as pauc from s where fraction < 0.2").replace(o.with_(*_RATES), o.with_(_Q2_SIGNED, _SOLO, o.comparisons(), o.rates())) for e in ("fnmr", "fmr")}
+for _e in ("fnmr", "fmr"):
+    query(f"edc_pauc_{_e}_second_quality", _EDC2[_e])(lambda spark, d, e=_e: bio.pauc(bio.edc(materialise(bio.comparisons(planted.signed(spark, d).withColumn("q", F.expr(_Q2))), "scored"), e)))

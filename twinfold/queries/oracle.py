@@ -97,15 +97,15 @@ def corrected(source: str = "comps", out: str = "solved", rule: str = "strict",
 {out} as (select component, image_id from {out}_left where component in (select component from {out}_left group by component having count(*) > 1))"""
 
 
-def decided(floor: float = 0.4, margin: float = 0.2) -> str:
-    """From ``signed`` to ``acts``: exact single-subject copies first, then near sets."""
+def decided(floor: float = 0.4, margin: float = 0.2, variants=("original", "aligned")) -> str:
+    """From ``signed`` to ``acts``: exact single-subject copies first, then near sets (none without ``variants``)."""
     f, m = int(floor * SCALE + 0.5), int(margin * SCALE + 0.5)
     return f"""
-{sets('signed', 'sets')},
+{sets('signed', 'sets', variants=variants)},
 exact_one as (select s.set_id, min(path) as first from sets s join signed using (image_id) where detector = 'digest' group by s.set_id having count(distinct subject) = 1),
 exact_judged as (select s.image_id, g.path = e.first as kept from sets s join exact_one e using (set_id) join signed g on g.image_id = s.image_id where s.detector = 'digest'),
 left_rows as (select * from signed where image_id not in (select image_id from exact_judged where not kept)),
-{sets('left_rows', 'near_sets')},
+{sets('left_rows', 'near_sets', variants=variants)},
 {components('near_sets', 'comps')},
 {corrected('comps', 'solved')},
 ranked as (select component, image_id, subject, row_number() over (partition by component order by case when q is null or isnan(q) then '-infinity'::double else q end desc, path) as r from solved join signed using (image_id)),
