@@ -18,6 +18,7 @@ def signed(spark, rows):
 def test_pairs_of_a_subject(spark, n, circular, every):
     c = spark.createDataFrame([("s", i, f"{i:03d}") for i in range(n)], "subject string, image_id long, path string")
     assert bio.mated_circular(c).count() == circular and bio.mated_all(c).count() == every
+    assert sorted(map(tuple, bio.mated_circular(c, "index").collect())) == sorted(map(tuple, bio.mated_circular(c).collect()))
     row = bio.mated_counts(c).first()
     assert (row["circular"], row["all_pairs"]) == (circular, every)
 
@@ -156,3 +157,54 @@ def test_bitmap_reducer_loses_nothing(spark):
     assert hit.count() + rest.count() == 5000
     assert drop_rows(wide, keys, "k").count() == 5000 - keys.count()
     assert reduce_by(wide, keys.where("false"), "k").count() == 0 and drop_rows(wide, keys.where("false"), "k").count() == 5000
+
+
+def test_tiles_hold_every_pair_once(spark):
+    comps = spark.createDataFrame([(1, i) for i in range(40)] + [(100, 100), (100, 101)], "component long, image_id long")
+    f = spark.createDataFrame([(i, [i + 1, 3]) for i in [*range(40), 100, 101]], "image_id long, vec array<long>")
+    one = sorted(map(tuple, res.pair_scores(comps, f).collect()))
+    assert len(one) == 40 * 39 // 2 + 1 and one == sorted(map(tuple, res.pair_scores(comps, f, chunk=7).collect()))
+
+
+def test_late_rows_are_dropped_behind_the_watermark(spark, tmp_path):
+    from twinfold.streaming import filters as st
+
+    def put(name, rows):
+        spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "in" / name))
+
+    put("a", [(10 * 86400, "x"), (10 * 86400 + 5, "x"), (20 * 86400, "y")])
+    src = lambda: st.stamped(st.arriving(spark, f"file://{tmp_path}/in/*", "doc_id long, text string"))
+    mark = f"file://{tmp_path}/mark"
+    one = st.drain(st.exact_filter(src(), "1 day").select("doc_id", "text"), checkpoint=mark)
+    assert sorted(r["text"] for r in one.collect()) == ["x", "y"]
+    put("b", [(86400, "late"), (21 * 86400, "z"), (20 * 86400 + 1, "y")])
+    two = st.drain(st.exact_filter(src(), "1 day").select("doc_id", "text"), checkpoint=mark)
+    assert sorted(r["text"] for r in two.collect()) == ["x", "y", "z"]  # late row dropped, copy within the watermark filtered, the checkpoint remembered
+
+
+def test_kept_copy_changes_with_a_smaller_path(spark, tmp_path):
+    from twinfold.streaming import filters as st
+
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        mark = f"file://{tmp_path}/mark"
+        src = lambda: st.arriving(spark, f"file://{tmp_path}/in/*", "text string, path string")
+        spark.createDataFrame([("t", "m"), ("t", "k"), ("u", "a")], "text string, path string").coalesce(1).write.parquet(str(tmp_path / "in/a"))
+        first = {tuple(r)[1:] for r in st.drain(st.keep_changes(src()), checkpoint=mark).collect()}
+        assert first == {("k", "keep"), ("a", "keep")}
+        spark.createDataFrame([("t", "b"), ("u", "z")], "text string, path string").coalesce(1).write.parquet(str(tmp_path / "in/b"))
+        assert {tuple(r)[1:] for r in st.drain(st.keep_changes(src()), checkpoint=mark).collect()} == {("k", "keep"), ("a", "keep"), ("k", "unkeep"), ("b", "keep")}
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
+def test_persisted_store_is_idempotent(spark, tmp_path):
+    from twinfold.streaming import filters as st
+
+    spark.createDataFrame([(1, "x"), (2, "x"), (3, "y")], "doc_id long, text string").coalesce(1).write.parquet(str(tmp_path / "in/a"))
+    src = lambda: st.arriving(spark, f"file://{tmp_path}/in/*", "doc_id long, text string")
+    store = f"file://{tmp_path}/store"
+    for mark in ("m1", "m2"):  # a fresh checkpoint reads everything again
+        st.fill_store(src(), store, f"file://{tmp_path}/{mark}")
+        got = spark.read.schema("digest string, doc_id long, batch long").parquet(store).collect()
+        assert sorted(r["doc_id"] for r in got) == [1, 3]

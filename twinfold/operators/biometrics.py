@@ -29,8 +29,19 @@ def mated_all(corpus: DataFrame) -> DataFrame:
     return a.join(b, (F.col("a.subject") == F.col("b.subject")) & (F.col("a.path") < F.col("b.path"))).select(F.col("a.subject").alias("subject"), F.col("a.image_id").alias("a"), F.col("b.image_id").alias("b"))
 
 
-def mated_circular(corpus: DataFrame) -> DataFrame:
-    """Each image with the next of its subject in path order; the last with the first where there are more than two."""
+def mated_circular(corpus: DataFrame, strategy: str = "window") -> DataFrame:
+    """Each image with the next of its subject in path order; the last with the first where there are more than two.
+
+    ``window`` sorts each subject in one task. ``index`` numbers all images by (subject, path) over range partitions and joins each number with its successor, so that
+    a subject with a large share of all images is no task of its own.
+    """
+    if strategy == "index":
+        rows = materialise(dense_index(corpus.select("subject", "image_id", "path"), "subject", "path"), "numbered")
+        ends = rows.groupBy("subject").agg(F.min_by("image_id", "idx").alias("first"), F.max("idx").alias("last"), F.count("*").alias("n"))
+        after = rows.select((F.col("idx") - 1).alias("idx"), F.col("image_id").alias("b"), F.col("subject").alias("s2"))
+        inner = rows.join(after, "idx").where("subject = s2").select("subject", F.col("image_id").alias("a"), "b")
+        wrap = ends.where("n > 2").join(rows.select(F.col("idx").alias("last"), F.col("image_id").alias("a")), "last").select("subject", "a", F.col("first").alias("b"))
+        return inner.unionByName(wrap)
     own = Window.partitionBy("subject").orderBy("path")
     whole = own.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     rows = corpus.select("subject", F.col("image_id").alias("a"), F.lead("image_id").over(own).alias("next"), F.first("image_id").over(whole).alias("first"), F.count("*").over(whole).alias("n"))
@@ -129,8 +140,13 @@ def start_threshold(scores: DataFrame, error: str, start: float) -> int:
     return int(row["x"]["threshold"]) if row and row["x"] else 0
 
 
-def edc(scores: DataFrame, error: str = "fnmr", start: float = 0.05) -> DataFrame:
-    """``fraction, error``: what is left of the error once the comparisons of lowest quality are discarded; equal qualities go together."""
+def edc(scores: DataFrame, error: str = "fnmr", start: float = 0.05, decimals: int | None = None) -> DataFrame:
+    """``fraction, error``: what is left of the error once the comparisons of lowest quality are discarded; equal qualities go together.
+
+    The running sums go over distinct qualities; for a continuous quality over very many comparisons ``decimals`` rounds it and so bounds them.
+    """
+    if decimals is not None:
+        scores = scores.withColumn("pair_q", F.round("pair_q", decimals))
     t = start_threshold(scores, error, start)
     wrong = F.col("score") < t if error == "fnmr" else F.col("score") >= t
     own = scores.where(F.col("mated") == F.lit(error == "fnmr"))

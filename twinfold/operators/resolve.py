@@ -52,12 +52,19 @@ def merge_local(sets: DataFrame, bound: int = 1_000_000) -> DataFrame:
     return sets.groupBy(F.lit(1).alias("g")).applyInPandas(lambda pdf: run(pdf), "component long, image_id long")
 
 
-def pair_scores(components: DataFrame, features: DataFrame) -> DataFrame:
-    """All pairs inside components with their score; null where a feature is missing. ``features(image_id, vec)``."""
-    have = components.join(features.select("image_id", "vec"), "image_id", "left")
-    a, b = have.alias("a"), have.alias("b")
-    pairs = a.join(b, (F.col("a.component") == F.col("b.component")) & (F.col("a.image_id") < F.col("b.image_id")))
-    return pairs.select(F.col("a.component").alias("component"), F.col("a.image_id").alias("a"), F.col("b.image_id").alias("b"), arithmetic.score(F.col("a.vec"), F.col("b.vec")).alias("score"))
+def pair_scores(components: DataFrame, features: DataFrame, chunk: int = 1024) -> DataFrame:
+    """All pairs inside components with their score; null where a feature is missing. ``features(image_id, vec)``.
+
+    A large component is cut to chunks and its pairs to tiles of two chunks, which are keys of their own: no task holds more than a tile.
+    """
+    sizes = components.groupBy("component").agg(F.ceil(F.count("*") / chunk).cast("int").alias("chunks"))
+    have = components.join(sizes, "component").join(features.select("image_id", "vec"), "image_id", "left")
+    have = have.withColumn("chunk", F.pmod(F.xxhash64("image_id"), F.col("chunks")).cast("int"))
+    a = have.withColumn("lo", F.col("chunk")).withColumn("hi", F.explode(F.sequence(F.col("chunk"), F.col("chunks") - 1))).alias("a")
+    b = have.withColumn("hi", F.col("chunk")).withColumn("lo", F.explode(F.sequence(F.lit(0), F.col("chunk")))).alias("b")
+    tile = (F.col("a.component") == F.col("b.component")) & (F.col("a.lo") == F.col("b.lo")) & (F.col("a.hi") == F.col("b.hi"))
+    pairs = a.join(b, tile & ((F.col("a.lo") < F.col("a.hi")) | (F.col("a.image_id") < F.col("b.image_id"))))
+    return pairs.select(F.col("a.component").alias("component"), F.least("a.image_id", "b.image_id").alias("a"), F.greatest("a.image_id", "b.image_id").alias("b"), arithmetic.score(F.col("a.vec"), F.col("b.vec")).alias("score"))
 
 
 def correct(components: DataFrame, features: DataFrame, tau: float = TAU, rule: str = "strict", missing: str = "keep") -> DataFrame:

@@ -26,10 +26,12 @@ def arriving(spark: SparkSession, path: str, schema, files_per_trigger: int | No
 
 
 def drain(stream: DataFrame, mode: str = "append", name: str = "stream", checkpoint: str | None = None) -> DataFrame:
-    """Run a stream over what is there now and read its exactly-once file sink back. ``complete`` and ``update`` keep the last state of each batch."""
+    """Run a stream over what is there now and read its exactly-once file sink back. ``complete`` and ``update`` keep the last state of each batch.
+
+    With a ``checkpoint`` the run resumes where the last one ended, and the rows of all its runs lie beside it."""
     spark = stream.sparkSession
     base = f"{shared_dir(spark)}/twinfold/{name}-{uuid.uuid4().hex}"
-    out, mark = f"{base}/rows", checkpoint or f"{base}/checkpoint"
+    out, mark = (f"{checkpoint}-rows", checkpoint) if checkpoint else (f"{base}/rows", f"{base}/checkpoint")
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", mark).trigger(availableNow=True)
     if mode == "append":
         query = writer.format("parquet").option("path", out).start()
