@@ -114,3 +114,26 @@ def test_image_directories(spark, tmp_path):
     assert binary_dir(spark, str(tmp_path), "*.png").count() == 3
     rows = decoded_dir(spark, str(tmp_path)).collect()
     assert len(rows) == 3 and bytes(rows[0]["pixels"]) == x.tobytes()
+
+
+def test_sql_names(spark):
+    from twinfold.functions.registry import register
+
+    register(spark)
+    row = spark.sql("select hamming64(7L, 1L) as h, cosine_fx(array(1L, 0L), array(1L, 1L)) as c, normalise_tokens('A b, C!') as n, blake3(cast('' as binary)) as d, dct_hash('a b c') as x").first()
+    assert (row["h"], row["c"], row["n"], row["d"]) == (2, 741455, "a b c", VECTORS[0]) and len(row["x"]) == 2
+
+
+def test_run_reports(spark):
+    import json
+
+    from pyspark.sql import functions as F
+
+    from twinfold.plans import report
+
+    df = spark.range(100).select((F.col("id") % 7).alias("k"), "id")
+    assert tuple(report.skew(df, "k").first()) == (100, 7, 15, 0.15)
+    assert {r["k"]: r["total"] for r in report.salted_sum(df, "k", "id", 4).collect()} == {k: sum(range(k, 100, 7)) for k in range(7)}
+    rows, obs = report.observed(df, "seen", n=F.count(F.lit(1)))
+    rows.write.format("noop").mode("overwrite").save()
+    assert obs.get == {"n": 100} and json.loads(report.manifest(spark, tau=0.4))["parameters"] == {"tau": 0.4}

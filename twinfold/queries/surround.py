@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..operators import detect as det
+from ..plans import report
 from ..plans.shipping import ship
 from ..plans.storage import shared_dir
 from ..sources.catalog import table
@@ -378,3 +379,15 @@ def sample_hash(spark, d):
     """A tenth of the rows, the same on every run and every partitioning."""
     h = F.conv(F.substring(F.md5(F.concat(F.lit("5:"), F.col("doc_id").cast("string"))), 1, 6), 16, 10).cast("long")
     return table(spark, d, "documents").where(h < 1677721).select("doc_id")
+
+
+@query("skew_report", "select cast(sum(n) as bigint) as rows, count(*) as keys, max(n) as largest, round(max(n)::double / sum(n), 6) as share from (select count(*) as n from documents group by source)")
+def skew_report(spark, d):
+    return report.skew(table(spark, d, "documents"), "source")
+
+
+@query("agg_salted", "select l_returnflag, cast(sum(l_quantity) as bigint) as total from lineitem group by l_returnflag")
+def agg_salted(spark, d):
+    """A hot key summed in two steps."""
+    rows = table(spark, d, "lineitem").select("l_returnflag", F.col("l_quantity").cast("long").alias("q"), "l_orderkey", "l_linenumber")
+    return report.salted_sum(rows, "l_returnflag", "q", 16)
