@@ -306,9 +306,14 @@ def _candidates(all_: DataFrame, classes: DataFrame, threshold: float, choices:
         return edges
     per = apart.groupBy("path").agg(F.ceil(F.count("*") / block).cast("int").alias("lots"))
     lots = apart.join(per, "path").withColumn("lo", F.pmod(F.xxhash64("node"), F.col("lots")).cast("int"))
-    left = lots.select("path", "lo", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("hi"), "node", F.lit(2).alias("side"))
-    right = named.join(per, "path").join(apart.select("path", "node"), ["path", "node"], "left_anti").select("path", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lo"), F.col("mine").alias("hi"), "node", F.lit(1).alias("side"))
-    cross = lots.join(per.withColumnRenamed("lots", "k"), "path").select("path", F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("lo"), F.lit(-1).alias("hi"), "node", F.lit(2).alias("side"))
+    ends = F.col("lots") - 1
+    left = lots.select("path", "lo", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("hi"), "node", F.lit(0).alias("side"))
+    stay = named.join(per, "path").join(apart.select("path", "node"), ["path", "node"], "left_anti")
+    right = stay.select("path", F.explode(F.sequence(F.lit(0), ends)).alias("lo"), F.col("mine").alias("hi"), "node", F.lit(1).alias("side"))
+    # Those apart among themselves: every two lots meet once, under negative numbers of the second.
+    meet = lots.withColumn("j", F.explode(F.sequence(F.lit(0), ends)))
+    side = F.when(F.col("lo") == F.col("j"), 2).when(F.col("lo") < F.col("j"), 0).otherwise(1)
+    cross = meet.select("path", F.least("lo", "j").alias("lo"), (-1 - F.greatest("lo", "j")).alias("hi"), "node", side.alias("side"))
     return materialise(edges.unionByName(compared(left.unionByName(right).unionByName(cross).join(live, "node"))), "edges")
 
 
