@@ -36,8 +36,9 @@ def repeated(rows: DataFrame, *keys: str) -> DataFrame:
 
 
 def exact_candidates(digested: DataFrame) -> DataFrame:
-    """Images that share digest and length with another: all true copies, and possibly a collision."""
-    return repeated(digested.select("image_id", "path", "digest", F.octet_length("content").alias("length")), "digest", "length")
+    """Images that share digest and length with another: all true copies, and possibly a collision. The content is read once, into a narrow table of signatures."""
+    narrow = digested.select("image_id", "path", "digest", F.octet_length("content").alias("length"))
+    return repeated(materialise(narrow, "signatures"), "digest", "length")
 
 
 def exact_sets(digested: DataFrame, max_rounds: int = 20) -> DataFrame:
@@ -45,7 +46,7 @@ def exact_sets(digested: DataFrame, max_rounds: int = 20) -> DataFrame:
 
     Only candidates' bytes are read again; with an honest digest the second round is empty, with a weak one rounds repeat until each class has its own representative.
     """
-    left = digested.select("image_id", "path", "digest", "content").join(exact_candidates(digested).select("image_id"), "image_id", "left_semi")
+    left = digested.select("image_id", "content").join(exact_candidates(digested).select("image_id", "path", "digest"), "image_id")
     parts, done = [], 0
     for k in range(max_rounds):
         first = left.groupBy("digest").agg(F.min(F.struct("path", "image_id", "content")).alias("r"))
