@@ -89,29 +89,32 @@ def near_filter(signed_stream: DataFrame, store: DataFrame, radius: int = 6) ->
     return new.join(known, ["band", "value"]).where(d <= radius).select("image_id", F.col("rep").alias("known"))
 
 
-class KeepFirst(StatefulProcessor):
-    """Per digest the smallest path so far; emits ``keep`` for it and ``unkeep`` for what it replaces."""
+def _keep_first() -> StatefulProcessor:
+    """Per digest the smallest path so far; emits ``keep`` for it and ``unkeep`` for what it replaces. The class is made here, so that it travels by value to stream workers."""
 
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.best = handle.getValueState("best", "path string, images long")
+    class KeepFirst(StatefulProcessor):
+        def init(self, handle: StatefulProcessorHandle) -> None:
+            self.best = handle.getValueState("best", "path string, images long")
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
-        paths = [p for pdf in rows for p in pdf["path"]]
-        old = self.best.get() if self.best.exists() else None
-        low = min(paths if old is None else [*paths, old[0]])
-        out = []
-        if old is None or low != old[0]:
-            if old is not None:
-                out.append((key[0], old[0], "unkeep"))
-            out.append((key[0], low, "keep"))
-        self.best.update((low, len(paths) + (old[1] if old else 0)))
-        yield pd.DataFrame(out, columns=["digest", "path", "action"])
+        def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
+            paths = [p for pdf in rows for p in pdf["path"]]
+            old = self.best.get() if self.best.exists() else None
+            low = min(paths if old is None else [*paths, old[0]])
+            out = []
+            if old is None or low != old[0]:
+                if old is not None:
+                    out.append((key[0], old[0], "unkeep"))
+                out.append((key[0], low, "keep"))
+            self.best.update((low, len(paths) + (old[1] if old else 0)))
+            yield pd.DataFrame(out, columns=["digest", "path", "action"])
 
-    def close(self) -> None:
-        pass
+        def close(self) -> None:
+            pass
+
+    return KeepFirst()
 
 
 def keep_changes(stream: DataFrame) -> DataFrame:
     """``digest, path, action`` as arrivals change which copy is kept. Needs the RocksDB state store."""
     rows = stream.select(F.sha2(F.col("text").cast("binary"), 256).alias("digest"), "path")
-    return rows.groupBy("digest").transformWithStateInPandas(KeepFirst(), "digest string, path string, action string", "Append", "None")
+    return rows.groupBy("digest").transformWithStateInPandas(_keep_first(), "digest string, path string, action string", "Append", "None")
