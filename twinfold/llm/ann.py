@@ -17,6 +17,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window, functions as F
 
+from ..plans.shipping import ship
 from ..plans.storage import materialise
 from .vectors import as_matrix, distances, matrix, pivots, rotation, usable
 
@@ -101,6 +102,7 @@ def _scan(index: Index, k: int, columns: int, errors: float):
 def search(table: DataFrame, is_query, k: int = 20, target: float = 0.98, sample_rows: int = 20_000, sample_queries: int = 128, chunk: int = 4096, columns: int = 16, errors: float = 2.5, seed: int = 11) -> DataFrame:
     """``query_id, rank, vec_id, score`` for the rows where ``is_query`` (a condition on vec_id) holds, against all rows."""
     spark = table.sparkSession
+    ship(spark)
     rows, dim = usable(table)
     if not dim:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")

@@ -20,6 +20,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
 from ..plans.components import connected
+from ..plans.shipping import ship
 from ..plans.storage import materialise
 from .vectors import as_matrix, distances, matrix, pivots, rotation, usable
 
@@ -154,6 +155,7 @@ def _roots(nodes: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
 def near_duplicates(table: DataFrame, threshold: float = 0.9, blocks: int = 4, sample_rows: int = 20_000, chunk: int = 2048, lot: int = 32_768, seed: int = 23) -> DataFrame:
     """``vec_id, n_links, component_id, kept`` for every row of ``table(vec_id, embedding)``."""
     spark = table.sparkSession
+    ship(spark)
     rows, dim = usable(table)
     if not dim:
         return table.select(F.col("vec_id").cast("long").alias("vec_id"), F.lit(0).cast("long").alias("n_links"), F.col("vec_id").cast("long").alias("component_id"), F.lit(True).alias("kept"))

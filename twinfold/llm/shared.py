@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ..plans.shipping import ship
+
 
 def held_out(doc_id: str = "doc_id") -> Column:
     """True where crc32(doc_id as text) mod 5 is 0; a null doc_id counts as the empty text and so is held out."""
@@ -33,6 +35,7 @@ def per_text(docs: DataFrame, start: Callable[[], Callable[[list], dict[str, lis
 
     ``start`` runs once a task and returns the function; a list ``_row`` among its columns says which text each output row belongs to (else one row a text, in order).
     """
+    ship(docs.sparkSession)
     own = {"doc_id": F.col("doc_id").cast("long")} | (carry or {})
     rows = docs.select(F.col("text").cast("string").alias("text"), *[c.alias(k) for k, c in own.items()])
     made = T._parse_datatype_string(result)
