@@ -105,13 +105,14 @@ def calibrate(model: Model, logits: np.ndarray, y: np.ndarray, precision: float)
     model.reject_at = float(best[order][ok[-1]]) if len(ok) else 1.0
 
 
-def fit(docs: DataFrame, per_language: int = 1200, max_languages: int = 500, window: int = 400, windows: int = 3, bits: int = 16, dim: int = 16, precision: float = 0.98, seed: int = 29) -> Model | None:
-    """Learns from at most about ``per_language`` documents of each language (by hash of doc_id) and their ``lang``."""
+def fit(docs: DataFrame, per_language: int = 1200, max_documents: int = 6000, max_languages: int = 500, window: int = 400, windows: int = 3, bits: int = 16, dim: int = 16, precision: float = 0.98, seed: int = 29) -> Model | None:
+    """Learns from about ``per_language`` documents of each language (by hash of doc_id) and their ``lang``, ``max_documents`` in all: the driver's share does not grow with the corpus or the languages."""
     own = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).where(~held_out()).select(F.xxhash64("doc_id").alias("_h"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     counts = own.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages).collect()
     if not counts:
         return None
     languages = sorted(r["lang"] for r in counts)
+    per_language = min(per_language, max(1, max_documents // len(languages)))
     limits = docs.sparkSession.createDataFrame([(r["lang"], min(1.0, per_language / r["n"])) for r in counts], "lang string, keep double")
     chosen = own.join(F.broadcast(limits), "lang").where(F.pmod(F.col("_h"), F.lit(1 << 30)) < F.col("keep") * (1 << 30))
 
@@ -123,15 +124,15 @@ def fit(docs: DataFrame, per_language: int = 1200, max_languages: int = 500, win
                 rows = subwords(text, bits)
                 if len(rows):
                     rng = np.random.default_rng(abs(int(h)))
-                    out += [(h, lang, np.sort(rng.choice(rows, window, replace=len(rows) < window)).tolist()) for _ in range(windows)]
+                    out += [(h, lang, np.sort(rng.choice(rows, window, replace=len(rows) < window)).astype("<i4").tobytes()) for _ in range(windows)]
             yield pd.DataFrame(out, columns=["h", "lang", "rows"])
 
     bound = 2 * per_language * windows * len(languages)
-    got = chosen.mapInPandas(pieces, "h long, lang string, rows array<int>").orderBy("h", "rows").limit(bound).collect()
+    got = chosen.mapInPandas(pieces, "h long, lang string, rows binary").orderBy("h", "rows").limit(bound).collect()
     if not got:
         return None
     code = {lang: i for i, lang in enumerate(languages)}
-    samples = [(np.array(r["rows"]), code[r["lang"]], r["h"] % 10 == 0) for r in got]
+    samples = [(np.frombuffer(r["rows"], "<i4"), code[r["lang"]], r["h"] % 10 == 0) for r in got]
     model = train([(x, y) for x, y, aside in samples if not aside] or [(x, y) for x, y, _ in samples], languages, bits, dim, seed=seed)
     aside = [(x, y) for x, y, a in samples if a] or [(x, y) for x, y, _ in samples]
     calibrate(model, model.logits(np.stack([model.mean(x) for x, _ in aside])), np.array([y for _, y in aside]), precision)
