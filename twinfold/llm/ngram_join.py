@@ -260,10 +260,11 @@ def _candidates(all_: DataFrame, classes: DataFrame, threshold: float, choices:
     live = None
     for depth in range(max_depth):
         step = materialise(step.dropDuplicates(["path", "node"]) if depth else step, "step")
-        sizes = step.groupBy("path").agg(F.count("*").alias("size"), F.first("was").alias("was")).where("size > 1")
+        # A table of its own: the join with it has two plain exchanges, and a bucket with very many sets is split.
+        sizes = materialise(step.groupBy("path").agg(F.count("*").alias("size"), F.first("was").alias("was")).where("size > 1"), "sizes")
         done = (F.col("size") <= leaf) | (F.col("size") >= 0.8 * F.coalesce("was", F.lit(1 << 60))) | F.lit(depth == max_depth - 1)
         rows = materialise(step.select("node", "path").join(sizes.select("path", "size", done.alias("leaf")), "path"), "buckets")
-        discard(step)
+        discard(step, sizes)
         if not depth:  # most sets meet nobody; their sketches are read no more
             nodes = rows.select("node").distinct()
             sketches = all_.where("n > 0").select(F.col("uid").alias("node"), "sig")
