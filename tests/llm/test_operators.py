@@ -251,6 +251,38 @@ def test_toxicity_on_held_out_labels(spark):
     assert accuracy(rows, truth, 0.5) >= 0.9
 
 
+TOXIC_WORDS = {"en": "gribble", "de": "schnauf", "fr": "zutalor", "es": "malvado"}
+
+
+def toxic_corpus(spark, rate, n=400, seed=3):
+    """Random words of four languages; toxic rows of each have its one bad word, which a few clean rows have too."""
+    rng = np.random.default_rng(seed)
+    docs, lab, share = [], [], {"en": 0.85, "de": 0.05, "fr": 0.05, "es": 0.05}
+    for i in range(n):
+        lang = str(rng.choice(list(share), p=list(share.values())))
+        y = int(rng.random() < rate)
+        words = [f"{lang}{chr(97 + j % 26)}{chr(97 + j // 26)}" for j in rng.integers(0, 300, 25)]
+        if y or rng.random() < 0.03:
+            words.insert(int(rng.integers(0, 25)), TOXIC_WORDS[lang])
+        docs.append((i, " ".join(words), lang))
+        lab.append((i, y))
+    return spark.createDataFrame(docs, "doc_id long, text string, lang string"), spark.createDataFrame(lab, "doc_id long, toxic int"), {i: (y, d[2]) for (i, y), d in zip(lab, docs)}
+
+
+def test_toxicity_learns_the_words_of_every_language(spark):
+    """Each small language has far fewer toxic rows than an absolute chi-squared of 50 asks for."""
+    docs, lab, truth = toxic_corpus(spark, 0.15, n=700)
+    model = toxicity.fit(docs, lab)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms)
+    train = [i for i in truth if zlib.crc32(str(i).encode()) % 5]
+    assert len(model.ids) == len(train) and len(model.t) == model.length.sum()
+    got = {r["doc_id"]: r["predicted"] for r in toxicity.predict(docs.select("doc_id", "text"), lab).collect()}
+    for lang in TOXIC_WORDS:
+        own = [got[i] for i, (y, at) in truth.items() if y and at == lang]
+        assert np.mean(own) >= 0.6, (lang, len(own))
+    assert np.mean([got[i] for i, (y, _) in truth.items() if not y]) <= 0.1
+
+
 def test_quality_on_held_out_labels(spark):
     truth = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{SF}/labels.parquet").collect()}
     rows = queries.op6_quality_positive_unlabelled(spark, SF).collect()

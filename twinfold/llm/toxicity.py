@@ -1,10 +1,10 @@
-"""Toxicity by the nearest labelled examples under TF-IDF cosine, found exactly in a block-max inverted index.
+"""Toxicity by the nearest labelled examples under weighted TF-IDF cosine, found exactly in a block-max inverted index.
 
-Terms are the words of the lower-cased text and their four-letter beginnings (so that inflected forms meet). The space keeps the terms that are
-associated with the label beyond chance (chi-squared on a bounded labelled sample) and strongly (by ``lift``); their document frequencies are counted over all documents. Labelled examples with such
-terms are indexed: postings by term, in blocks of examples, with the largest weight of each block. A query adds its terms' block maxima to bounds, visits blocks from the largest bound down
-and stops when no bound reaches its k-th best cosine: the k nearest are exact. Their labels vote with weights growing as the distance falls; a logistic
-curve fitted on leave-one-out votes makes the vote a probability. The examples that voted are the evidence.
+Terms are the words of the lower-cased text and their four-letter beginnings (so that inflected forms meet). Every term of every labelled example is in the space; document frequencies are counted
+over all documents. A term's idf is multiplied by how far it goes with the label, (chi2 + 0.01) / (chi2 + 10): a smooth factor that is never 0 and that is the same whichever label is the common one. Without
+it the many rare words of a text outweigh its few telling ones. Postings are held by groups of terms, rare ones first; each example, and each block of examples at its largest, has the norm of what its later
+groups hold. A query adds groups until few examples can still reach its k-th best cosine (partial sum plus the product of the norms left), and finishes those alone: the k nearest are
+exact. Their labels vote with weights growing as the distance falls; a logistic curve fitted on leave-one-out votes makes the vote a probability. The examples that voted are the evidence.
 
 Defined results: null, empty and term-less texts are at distance 1 from every example and get the (smoothed) share of the label among such examples; ties in cosine go to the smaller
 doc_id; repeated rows are scored alike; without labelled rows every score is 0; an empty table gives an empty result. Whole texts are read; words of over 40 letters
@@ -13,6 +13,8 @@ stand for themselves through their checksum. ``lang``, ``source`` and ``doc_id``
 
 from __future__ import annotations
 
+import functools
+import hashlib
 import math
 import re
 import zlib
@@ -21,7 +23,8 @@ from collections import Counter
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..plans.storage import materialise
 from .shared import fit_logistic, held_out, labelled_sample, logit, per_text
@@ -40,113 +43,207 @@ def terms_of(word: str) -> tuple[str, ...]:
     return (word, "^" + word[:4]) if len(word) > 4 else (word,)
 
 
-def selected_counts(text: str | None, vocabulary: dict[str, tuple[int, ...]], cache: dict[str, tuple[int, ...]]) -> Counter:
-    """How often each selected term occurs; ``cache`` remembers words."""
-    out: Counter = Counter()
-    for w in words_of(text):
+def selected_counts(text: str | None, vocabulary: dict[str, int], cache: dict[str, tuple[int, ...]]) -> dict[int, int]:
+    """How often each known term occurs; ``cache`` remembers words."""
+    out: dict[int, int] = {}
+    for w, n in Counter(words_of(text)).items():
         hit = cache.get(w)
         if hit is None:
-            if len(cache) > 500_000:
+            if len(cache) > 100_000:
                 cache.clear()
             hit = cache[w] = tuple(vocabulary[t] for t in terms_of(w) if t in vocabulary)
-        if hit:
-            out.update(hit)
+        for t in hit:
+            out[t] = out.get(t, 0) + n
     return out
 
 
+def _spans(lo: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """The positions of all ranges of ``length`` from ``lo``, one after the other."""
+    return np.repeat(lo - np.cumsum(length) + length, length) + np.arange(length.sum())
+
+
 class BlockMaxIndex:
-    """Unit vectors over few terms; ``top`` gives the exact k nearest by cosine."""
-
-    def __init__(self, vectors: list[dict[int, float]], ids: np.ndarray, labels: np.ndarray, block: int = 64):
-        self.ids, self.labels, self.block, self.n = ids, labels, block, len(vectors)
-        raw: dict[int, list[tuple[int, float]]] = {}
-        for i, v in enumerate(vectors):
-            for t, x in v.items():
-                raw.setdefault(t, []).append((i, x))
-        self.blocks = self.n // block + 1
-        self.postings: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
-        for t, own in raw.items():
-            at, x = np.array([i for i, _ in own]), np.array([v for _, v in own])
-            first = np.unique(at // block, return_index=True)[1]
-            self.postings[t] = (at, x, at[first] // block, np.maximum.reduceat(x, first))
-
-    def top(self, query: dict[int, float], k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
+    """Unit vectors (dicts, or their lengths, terms and weights as arrays); ``top`` gives the exact k nearest by cosine."""
+
+    def __init__(self, vectors: list, ids: np.ndarray, labels: np.ndarray, block: int = 64):
+        if not isinstance(vectors, tuple):
+            vectors = np.array([len(v) for v in vectors], np.int64), np.array([t for v in vectors for t in v], np.int32), np.array([x for v in vectors for x in v.values()], np.float32)
+        length, t, x = vectors
+        self.ids, self.labels, self.block, self.n = ids, labels, block, len(length)
+        self.blocks = -(-self.n // block)
+        df = np.bincount(t)
+        self.size = len(df)
+        edges = [e for e in (self.n // 256, self.n // 64, self.n // 16, self.n // 4) if e > 0]
+        self.group = np.searchsorted(edges, df, side="left").astype(np.int8)
+        self.groups = len(edges) + 1
+        self.end = np.cumsum(length)
+        self.start = np.zeros((self.n, self.groups), np.int64)  # of what lies after each group
+        self.left = np.zeros((self.groups, self.n))
+        row = np.repeat(np.arange(self.n, dtype=np.int32), length)
+        self.t, self.x = t.copy(), x.copy()
+        for lo in range(0, self.n, 2048):  # by parts, for memory
+            hi = min(lo + 2048, self.n)
+            e = slice(self.end[lo] - length[lo], self.end[hi - 1])
+            key = (row[e].astype(np.int64) - lo) * self.groups + self.group[t[e]]
+            order = np.argsort(key, kind="stable")
+            self.t[e], self.x[e] = t[e][order], x[e][order]
+            held = np.bincount(key, minlength=(hi - lo) * self.groups).reshape(-1, self.groups)
+            square = np.bincount(key, weights=x[e].astype(float) ** 2, minlength=(hi - lo) * self.groups).reshape(-1, self.groups)
+            self.start[lo:hi] = (self.end - length)[lo:hi, None] + np.cumsum(held, axis=1)
+            self.left[:, lo:hi] = (np.sqrt(np.maximum(square[:, ::-1].cumsum(axis=1)[:, ::-1] - square, 0)) + 1e-7).T
+        padded = np.zeros((self.groups, self.blocks * block))
+        padded[:, : self.n] = self.left
+        self.most = padded.reshape(self.groups, self.blocks, block).max(axis=2)
+        order = np.argsort(t, kind="stable")
+        self.at, self.w = row[order], x[order]
+        self.ptr = np.concatenate([[0], np.cumsum(df)])
+        self.dense = None
+
+    def top(self, query, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """Positions and cosines of the k nearest with a positive cosine, nearest first, ties to the smaller id."""
-        parts = [(q, self.postings[t]) for t, q in query.items() if t in self.postings]
-        best_at, best = np.zeros(0, int), np.zeros(0)
-        if not parts:
-            return best_at, best
-        bounds = np.zeros(self.blocks)
-        for q, (_, _, blocks, most) in parts:
-            bounds[blocks] += q * most
-        # The most promising blocks give a floor; then every block that can still beat it is summed at once.
-        few = max(1, -(-2 * k // self.block))
-        order = np.argpartition(-bounds, min(few, self.blocks - 1))
-        todo = np.zeros(self.blocks, bool)
-        todo[order[:few]] = True
-        left = bounds > 0
-        while True:
-            score = np.zeros(self.n)
-            for q, (at, x, _, _) in parts:
-                here = todo[at // self.block]
-                score[at[here]] += q * x[here]
-            at = np.flatnonzero(score)
-            at = at[at != without]
-            best_at, best = np.concatenate([best_at, at]), np.concatenate([best, score[at]])
-            order = np.lexsort((self.ids[best_at], -best))[:k]
-            best_at, best = best_at[order], best[order]
-            left &= ~todo
-            todo = left & (bounds > best[-1] - 1e-12) if len(best) == k else left.copy()
-            if not todo.any():
-                return best_at, best
+        t, q = (np.array(list(query), np.int64), np.array(list(query.values()), float)) if isinstance(query, dict) else query
+        known = t < self.size
+        t, q = t[known], q[known].astype(float)
+        length = self.ptr[t + 1] - self.ptr[t]
+        group = self.group[t]
+        score = np.zeros(self.blocks * self.block)
+        at = None
+        for g in range(self.groups):
+            own = group == g
+            if g < 2:
+                i = _spans(self.ptr[t[own]], length[own])
+                if len(i):
+                    score += np.bincount(self.at[i], weights=np.repeat(q[own], length[own]) * self.w[i], minlength=len(score))
+            else:
+                for lo, n, weight in zip(self.ptr[t[own]], length[own], q[own]):
+                    score[self.at[lo : lo + n]] += weight * self.w[lo : lo + n]
+            later = group > g
+            if not later.any():
+                break
+            if not own.any() and g:
+                continue
+            # Only an example whose sum and norms left reach the k-th best sum can be among the k nearest.
+            rest = math.sqrt(q[later] @ q[later])
+            peak = score.reshape(self.blocks, self.block).max(axis=1)
+            if self.n <= k + 1:
+                continue
+            floor = np.partition(score[: self.n], self.n - k - 1)[self.n - k - 1] - 1e-9  # one more than k: ``without`` may be among them
+            alive = np.flatnonzero(peak + rest * self.most[g] >= floor)
+            some = (alive[:, None] * self.block + np.arange(self.block)).ravel()
+            some = some[some < self.n]
+            some = some[score[some] + rest * self.left[g][some] >= floor]
+            work = (self.end[some] - self.start[some, g]).sum()
+            if 4 * work < length[later].sum() + 50_000:
+                if self.dense is None:
+                    self.dense = np.zeros(self.size)
+                self.dense[t[later]] = q[later]
+                n = self.end[some] - self.start[some, g]
+                i = _spans(self.start[some, g], n)
+                more = np.bincount(np.repeat(np.arange(len(some)), n), weights=self.dense[self.t[i]] * self.x[i], minlength=len(some))
+                self.dense[t[later]] = 0
+                at, found = some, score[some] + more
+                break
+        if at is None:
+            at, found = np.arange(self.n), score[: self.n]
+        ok = (found > 0) & (at != without)
+        at, found = at[ok], found[ok]
+        if len(at) > k:
+            ok = found >= np.partition(found, len(found) - k)[len(found) - k]
+            at, found = at[ok], found[ok]
+        order = np.lexsort((self.ids[at], -found))[:k]
+        return at[order], found[order]
 
 
 class Model:
-    """Vocabulary, idf, index and calibration; sizes are bounded by ``max_terms`` and ``max_examples``."""
+    """Terms, their weights, and the counts of the labelled sample; each worker builds the index from them once."""
 
-    def __init__(self, terms: list[str], idf: np.ndarray, examples: list[tuple[int, int, dict[int, int]]], empty: tuple[int, int], k: int):
-        self.terms, self.vocabulary, self.idf, self.k = terms, {t: i for i, t in enumerate(terms)}, idf, k
+    def __init__(self, terms: list[str], weight: np.ndarray, examples: tuple[np.ndarray, ...], empty: tuple[int, int], k: int):
+        self.terms, self.weight, self.k = terms, weight, k
+        self.ids, self.labels, self.length, self.t, self.count = examples
         n0, p0 = empty
-        total, positive = n0 + len(examples), p0 + sum(y for _, y, _ in examples)
+        total, positive = n0 + len(self.ids), p0 + int(self.labels.sum())
         self.prior = positive / total if total else 0.0
         self.alone = (p0 + self.prior) / (n0 + 1) if total else 0.0
-        examples = sorted(examples, key=lambda e: sorted(e[2].items()))  # similar examples share blocks
-        vectors = [self.vector(c) for _, _, c in examples]
-        self.index = BlockMaxIndex(vectors, np.array([d for d, _, _ in examples], dtype=np.int64), np.array([y for _, y, _ in examples], dtype=np.int64))
-        self.curve = np.array([1.0, 0.0])
-        y = self.index.labels
-        if len(examples) >= 20 and 0 < y.sum() < len(y):
-            seen: dict = {}
-            votes = []
-            some = np.random.default_rng(1).permutation(len(vectors))[:4000]
-            for i, v in ((int(i), vectors[i]) for i in some):
-                key = (tuple(v.items()), y[i])  # leave one of equal examples out: the same vote for all of them
-                if key not in seen:
-                    seen[key] = self.vote(*self.index.top(v, k, without=i))
-                votes.append(seen[key])
-            self.curve = fit_logistic(logit(np.array(votes))[:, None], y[some].astype(float), np.ones(len(some)))
-            self.curve[0] = max(self.curve[0], 0.0)
-
-    def vector(self, counts: dict[int, int]) -> dict[int, float]:
-        v = {t: (1 + math.log(n)) * self.idf[t] for t, n in sorted(counts.items())}
-        norm = math.sqrt(sum(x * x for x in v.values()))
-        return {t: float(x / norm) for t, x in v.items()} if norm else {}
+        self.curve, self.shared = np.array([1.0, 0.0]), None
+
+    def __getstate__(self) -> dict:
+        own = {k: v for k, v in self.__dict__.items() if k not in ("vocabulary", "index", "shared", "t", "count", "terms")}
+        step = np.diff(self.t, prepend=np.int32(0))
+        return own | {"packed": [zlib.compress(x, 1) for x in (step.astype("<i4").tobytes(), self.count.astype("<i4").tobytes(), "\n".join(self.terms).encode("utf-8", "surrogatepass"))]}
+
+    def __setstate__(self, state: dict) -> None:
+        step, count, terms = (zlib.decompress(x) for x in state.pop("packed"))
+        self.__dict__.update(state)
+        self.t, self.count = np.cumsum(np.frombuffer(step, "<i4"), dtype=np.int32), np.frombuffer(count, "<i4")
+        self.terms, self.shared = terms.decode("utf-8", "surrogatepass").split("\n") if terms else [], None
+
+    @functools.cached_property
+    def vocabulary(self) -> dict[str, int]:
+        return {t: i for i, t in enumerate(self.terms)}
+
+    @functools.cached_property
+    def index(self) -> BlockMaxIndex:
+        row = np.repeat(np.arange(len(self.ids), dtype=np.int32), self.length)
+        v = (1 + np.log(self.count)) * self.weight[self.t]
+        v /= np.sqrt(np.bincount(row, weights=v * v))[row]
+        begin = np.cumsum(self.length) - self.length
+        at = np.flatnonzero(v == np.maximum.reduceat(v, begin)[row])
+        strongest = self.t[at[np.unique(row[at], return_index=True)[1]]]
+        order = np.lexsort((self.ids, strongest))  # similar examples share blocks
+        i = _spans(begin[order], self.length[order])
+        return BlockMaxIndex((self.length[order], self.t[i], v[i].astype(np.float32)), self.ids[order], self.labels[order])
+
+    def calibrate(self, spark: SparkSession) -> None:
+        """Fit the curve on leave-one-out votes of at most 4000 examples, taken by the workers."""
+        self.shared = shared = spark.sparkContext.broadcast(self)
+        if len(self.ids) < 20 or not 0 < self.labels.sum() < len(self.labels):
+            return
+        some = np.random.default_rng(1).permutation(len(self.ids))[:4000]
+
+        def votes(batches):
+            model = shared.value
+            index = model.index
+            for pdf in batches:
+                at = some[pdf["id"].to_numpy()]
+                own = [slice(index.start[i - 1, -1] if i else 0, index.start[i, -1]) for i in at]
+                yield pd.DataFrame({"id": pdf["id"], "y": index.labels[at], "vote": [model.vote(*index.top((index.t[e], index.x[e]), model.k, without=int(i))) for i, e in zip(at, own)]})
+
+        rows = sorted(spark.range(len(some), numPartitions=max(1, min(len(some) // 100, spark.sparkContext.defaultParallelism))).mapInPandas(votes, "id long, y int, vote double").collect())
+        self.curve = fit_logistic(logit(np.array([r["vote"] for r in rows]))[:, None], np.array([r["y"] for r in rows], float), np.ones(len(rows)))
+        self.curve[0] = max(self.curve[0], 0.0)
+
+    def vector(self, t: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(t)
+        t = t[order]
+        v = (1 + np.log(n[order])) * self.weight[t]
+        norm = math.sqrt(v @ v)
+        return t, (v / norm if norm else v).astype(np.float32)
 
     def vote(self, at: np.ndarray, cosine: np.ndarray) -> float:
         w = 1 / (0.05 + 1 - np.minimum(cosine, 1))
         return float((w @ self.index.labels[at] + self.prior) / (w.sum() + 1))
 
     def score(self, counts: dict[int, int]) -> tuple[float, list[dict]]:
-        v = self.vector(counts)
-        at, cosine = self.index.top(v, self.k) if v else (np.zeros(0, int), np.zeros(0))
+        if not counts:
+            return self.alone, []
+        n = len(counts)
+        at, cosine = self.index.top(self.vector(np.fromiter(counts, np.int32, n), np.fromiter(counts.values(), float, n)), self.k)
         if not len(at):
             return self.alone, []
         p = 1 / (1 + math.exp(-float(np.clip(self.curve[0] * logit(np.array(self.vote(at, cosine))) + self.curve[1], -30, 30))))
         return p, [{"doc_id": int(self.index.ids[i]), "cosine": float(min(c, 1.0)), "label": int(self.index.labels[i])} for i, c in zip(at[:5], cosine[:5])]
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = 40_000, max_terms: int = 4096, max_examples: int = 20_000, k: int = 15, chi: float = 50.0, lift: float = 2.0) -> Model:
-    """Learn from labelled rows outside the held-out fold; at most ``max_labelled`` of them (documented bound)."""
+def association(n: np.ndarray, p: np.ndarray, rows: float, positive: float) -> np.ndarray:
+    """Between 0.001 and 1: how far terms in ``n`` rows, ``p`` of them positive, go with the label (chi-squared of the four counts)."""
+    n, p = n.astype(float), p.astype(float)
+    chi = rows * (p * rows - n * positive) ** 2 / np.maximum(n * (rows - n) * positive * (rows - positive), 1e-9)
+    return (chi + 0.01) / (chi + 10)
+
+
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = 40_000, k: int = 15) -> Model:
+    """Learn from labelled rows outside the held-out fold; at most ``max_labelled`` of them (documented bound), all of them indexed."""
+    spark = docs.sparkSession
     sample = materialise(labelled_sample(docs, labels, label, max_labelled), "labelled")
 
     def tally(batches):
@@ -165,58 +262,74 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     whole = sample.agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
     n, p = float(whole["n"]), float(whole["p"])
     if not n:
-        return Model([], np.zeros(0), [], (0, 0), k)
-    by_term = sample.mapInPandas(tally, "term string, n long, p long").groupBy("term").agg(F.sum("n").alias("n"), F.sum("p").alias("p"))
-    a, c = F.col("p").cast("double"), F.col("n").cast("double")
-    top, bottom = n * F.pow(a * n - p * c, 2), c * (n - c) * p * (n - p)
-    best = by_term.where(c < n).withColumn("chi", top / F.greatest(bottom, F.lit(1e-9))).where(F.col("chi") >= chi).where((a / c >= lift * p / n) | (a / c * 2 * lift <= p / n)).orderBy(F.desc("chi"), "term").limit(max_terms)
-    terms = [r["term"] for r in best.collect()]
-    vocabulary = {t: i for i, t in enumerate(terms)}
+        return Model([], np.zeros(0), (np.zeros(0, np.int64),) * 5, (0, 0), k)
+    by_term = sample.mapInPandas(tally, "term string, n long, p long").groupBy("term").agg(F.sum("n").cast("int").alias("n"), F.sum("p").cast("int").alias("p")).toArrow().sort_by("term")
+    terms = by_term["term"].to_pylist()
+    weight = association(by_term["n"].to_numpy(), by_term["p"].to_numpy(), n, p)
+    del by_term
+    known = spark.sparkContext.broadcast(terms)
+
+    def vocabulary() -> dict[str, int]:
+        return {t: i for i, t in enumerate(known.value)}
 
     def frequency(batches):
         cache: dict = {}
-        count, rows = np.zeros(len(vocabulary) + 1, np.int64), 0
+        ids = vocabulary()
+        count, rows = np.zeros(len(ids) + 1, np.int64), 0
         for pdf in batches:
             rows += len(pdf)
             for text in pdf["text"]:
-                for t in selected_counts(text, vocabulary, cache):
-                    count[t] += 1
+                own = selected_counts(text, ids, cache)
+                count[np.fromiter(own, np.int64, len(own))] += 1
         count[-1] = rows
         at = np.flatnonzero(count)
         yield pd.DataFrame({"t": at, "n": count[at]})
 
     df = np.zeros(len(terms) + 1)
-    for r in docs.select("text").mapInPandas(frequency, "t int, n long").groupBy("t").agg(F.sum("n").alias("n")).collect():
-        df[r["t"]] = r["n"]
-    idf = np.log((df[-1] + 1) / (df[:-1] + 1)) + 1
+    counted = docs.select("text").mapInPandas(frequency, "t int, n long").groupBy("t").agg(F.sum("n").alias("n")).toArrow()
+    df[counted["t"].to_numpy()] = counted["n"].to_numpy()
+    weight *= np.log((df[-1] + 1) / (df[:-1] + 1)) + 1
 
     def vectors(batches):
         cache: dict = {}
+        ids = vocabulary()
         for pdf in batches:
-            counts = [selected_counts(t, vocabulary, cache) for t in pdf["text"]]
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "t": [list(c) for c in counts], "k": [list(c.values()) for c in counts]})
+            counts = [dict(sorted(selected_counts(t, ids, cache).items())) for t in pdf["text"]]
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "t": [np.fromiter(c, "<i4", len(c)).tobytes() for c in counts], "k": [np.fromiter(c.values(), "<i4", len(c)).tobytes() for c in counts]})
+
+    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, t binary, k binary"), "examples")
+    e = found.where("length(t) = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
+    rows = found.where("length(t) > 0").toArrow().sort_by("doc_id")
+    length = pc.binary_length(rows["t"]).to_numpy() // 4
+    t, count = (np.frombuffer(b"".join(x.as_buffer() for x in rows[c]), "<i4") for c in ("t", "k"))
+    model = Model(terms, weight, (rows["doc_id"].to_numpy(), rows["label"].to_numpy(), length.astype(np.int64), t, count), (int(e["n"]), int(e["p"])), k)
+    model.calibrate(spark)
+    return model
+
 
-    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, t array<int>, k array<int>"), "examples")
-    e = found.where("size(t) = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
-    rows = found.where("size(t) > 0").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_examples).collect()
-    return Model(terms, idf, [(r["doc_id"], r["label"], dict(zip(r["t"], r["k"]))) for r in rows], (int(e["n"]), int(e["p"])), k)
+def _digest(text: str | None) -> bytes:
+    return hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=16).digest() if isinstance(text, str) else b""
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``doc_id, score, evidence, terms`` for every row of ``docs(doc_id, text)``."""
 
+    shared, curve = model.shared or docs.sparkSession.sparkContext.broadcast(model), model.curve
+
     def start():
+        model = shared.value
+        model.curve = curve
         words: dict = {}
         known: dict = {}
 
         def one(text: str | None) -> tuple:
             counts = selected_counts(text, model.vocabulary, words)
-            key = tuple(sorted(counts.items()))
+            key = _digest(text)
             if key not in known:
-                if len(known) > 50_000:
+                if len(known) > 20_000:
                     known.clear()
-                known[key] = (*model.score(counts), [model.terms[t] for t in sorted(counts)])
-            return known[key]
+                known[key] = model.score(counts)
+            return (*known[key], [model.terms[t] for t in sorted(counts)])
 
         def run(texts: list) -> dict[str, list]:
             rows = [one(t) for t in texts]
@@ -230,18 +343,21 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
     """The rows of ``docs`` whose text scores below the threshold, all their columns untouched."""
 
+    shared, curve = model.shared or docs.sparkSession.sparkContext.broadcast(model), model.curve
+
     def run(batches):
+        model = shared.value
+        model.curve = curve
         words: dict = {}
         known: dict = {}
         for batch in batches:
             keep = []
             for text in batch.column("text").to_pylist():
-                counts = selected_counts(text, model.vocabulary, words)
-                key = tuple(sorted(counts.items()))
+                key = _digest(text)
                 if key not in known:
                     if len(known) > 50_000:
                         known.clear()
-                    known[key] = model.score(counts)[0] < threshold
+                    known[key] = model.score(selected_counts(text, model.vocabulary, words))[0] < threshold
                 keep.append(known[key])
             yield batch.filter(pa.array(keep, pa.bool_()))
 
