@@ -283,6 +283,17 @@ def test_toxicity_learns_the_words_of_every_language(spark):
     assert np.mean([got[i] for i, (y, _) in truth.items() if not y]) <= 0.1
 
 
+@pytest.mark.parametrize("rate", [0.5, 0.75])
+def test_toxicity_with_balanced_or_mostly_toxic_labels(spark, rate):
+    """The common label does not swallow the other one."""
+    docs, lab, truth = toxic_corpus(spark, rate)
+    model = toxicity.fit(docs, lab)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms)
+    kept = {r["doc_id"] for r in toxicity.without(docs, model).select("doc_id").collect()}
+    assert np.mean([i in kept for i, (y, _) in truth.items() if not y]) >= 0.8
+    assert np.mean([i in kept for i, (y, _) in truth.items() if y]) <= 0.2
+
+
 def test_quality_on_held_out_labels(spark):
     truth = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{SF}/labels.parquet").collect()}
     rows = queries.op6_quality_positive_unlabelled(spark, SF).collect()
