@@ -137,3 +137,12 @@ def test_run_reports(spark):
     rows, obs = report.observed(df, "seen", n=F.count(F.lit(1)))
     rows.write.format("noop").mode("overwrite").save()
     assert obs.get == {"n": 100} and json.loads(report.manifest(spark, tau=0.4))["parameters"] == {"tau": 0.4}
+
+
+def test_scan_binary_reads_every_file(spark, data):
+    import os
+
+    from twinfold.queries import more_methods
+
+    want = sorted((f, os.path.getsize(os.path.join(at, f))) for at, _, names in os.walk(data) for f in names if not f.startswith((".", "_")))
+    assert sorted((r["file"], r["length"]) for r in more_methods.scan_binary(spark, data).select("file", "length").collect()) == want and len(want) > 1

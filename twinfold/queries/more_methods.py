@@ -218,5 +218,5 @@ def source_planted(spark, d):
 @query("scan_binary")
 def scan_binary(spark, d):
     """The table files of the folder as binary files: length and digest."""
-    f = images.binary_dir(spark, d, "region*")
+    f = images.binary_dir(spark, d)
     return f.select(F.regexp_extract("path", r"([^/]+)$", 1).alias("file"), "length", F.sha2("content", 256).alias("digest"))
