@@ -2,7 +2,8 @@
 
 The corpus is a sequence of line ids (hashes of the trimmed line; blank lines are no units). Prefix doubling names the run of 2**k lines that starts at each line: the name of 2**(k+1) lines is made of
 two names of 2**k. Equal names are the equality classes of suffixes by their first lines, which is what the intervals of a suffix array with common prefixes of that depth
-are; since only the classes and their first members matter here, names are hashes and the suffixes are never sorted globally. A run counts as repeated from ``min_words`` words on. The shortest such run that
+are; since only the classes and their first members matter here, names are hashes and the suffixes are never sorted globally. Doubling ends at the window length: fixed
+windows are hashed in place of a suffix array, and no ranks, longest common prefixes or their intervals are computed, because the union below needs none of them. A run counts as repeated from ``min_words`` words on. The shortest such run that
 starts at a line, and the shortest that ends at a line, is named by two overlapping powers of two; every line of a longer repeated run lies in one of these, so the union of those that
 occurred before (in the order of doc_id, then row) is the union of all maximal repeated runs' later copies. They are deleted, with blank lines between two deleted ones; first copies stay.
 
