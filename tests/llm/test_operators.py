@@ -323,6 +323,13 @@ def test_language_on_held_out(spark):
     assert np.mean([truth[r["doc_id"]] == r["lang_pred"] for r in rows]) >= 0.93
 
 
+def test_no_language_is_left_out_silently(spark):
+    docs = spark.createDataFrame([(i, f"some words of text number {i % 3}", "abc"[i % 3]) for i in range(60)], "doc_id long, text string, lang string")
+    with pytest.raises(ValueError, match="max_languages"):
+        langid.fit(docs, max_languages=2)
+    assert langid.fit(docs, max_languages=3, max_documents=3).languages == ["a", "b", "c"]
+
+
 def test_learners_odd_and_empty(spark):
     d, lab = odd(spark), labels(spark)
     for op in (toxicity, quality):

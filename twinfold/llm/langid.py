@@ -105,14 +105,16 @@ def calibrate(model: Model, logits: np.ndarray, y: np.ndarray, precision: float)
     model.reject_at = float(best[order][ok[-1]]) if len(ok) else 1.0
 
 
-def fit(docs: DataFrame, per_language: int = 1200, max_documents: int = 6000, max_languages: int = 500, window: int = 400, windows: int = 3, bits: int = 16, dim: int = 16, precision: float = 0.98, seed: int = 29) -> Model | None:
-    """Learns from about ``per_language`` documents of each language (by hash of doc_id) and their ``lang``, ``max_documents`` in all: the driver's share does not grow with the corpus or the languages."""
+def fit(docs: DataFrame, per_language: int = 1200, max_documents: int = 6000, max_languages: int = 500, least: int = 50, window: int = 400, windows: int = 3, bits: int = 16, dim: int = 16, precision: float = 0.98, seed: int = 29) -> Model | None:
+    """Learns from about ``per_language`` documents of each language (by hash of doc_id) and their ``lang``, ``max_documents`` in all, but no less than about ``least`` of each: the driver's share does not grow with the corpus. Every value of ``lang`` is a class; more than ``max_languages`` of them are an error."""
     own = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).where(~held_out()).select(F.xxhash64("doc_id").alias("_h"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
-    counts = own.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages).collect()
+    counts = own.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages + 1).collect()
     if not counts:
         return None
+    if len(counts) > max_languages:
+        raise ValueError(f"more than {max_languages} values of lang: merge them or raise max_languages")
     languages = sorted(r["lang"] for r in counts)
-    per_language = min(per_language, max(1, max_documents // len(languages)))
+    per_language = min(per_language, max(least, max_documents // len(languages)))
     limits = docs.sparkSession.createDataFrame([(r["lang"], min(1.0, per_language / r["n"])) for r in counts], "lang string, keep double")
     chosen = own.join(F.broadcast(limits), "lang").where(F.pmod(F.col("_h"), F.lit(1 << 30)) < F.col("keep") * (1 << 30))
 
