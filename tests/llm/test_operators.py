@@ -1,6 +1,7 @@
 """The training-data operators: brute force, exact round trips, held-out accuracy, and odd inputs."""
 
 import math
+import re
 import zlib
 from collections import Counter, defaultdict
 
@@ -245,6 +246,75 @@ def accuracy(rows, truth, threshold):
 SF = "/root/testdata/sf0.01"
 
 
+def test_toxicity_against_dense_cosine(spark):
+    """The query's scores and evidence equal those of a plain dense cosine over every term, all labelled rows and all texts."""
+    small = "/root/testdata/sf0.001"
+    docs, lab = spark.read.parquet(f"{small}/documents.parquet"), spark.read.parquet(f"{small}/labels.parquet")
+    model = toxicity.fit(docs, lab)
+    truth = {r["doc_id"]: r["toxic"] for r in lab.collect()}
+    text = {r["doc_id"]: r["text"] for r in docs.collect()}
+
+    def bag(x):
+        return Counter(t for w in re.findall(r"\w+", (x or "").lower()) for t in toxicity.terms_of(w))
+
+    bags = {i: bag(x) for i, x in text.items()}
+    df = Counter(t for b in bags.values() for t in b)
+    train = sorted(i for i in text if zlib.crc32(str(i).encode()) % 5 and truth.get(i) in (0, 1) and bags[i])
+    rows = np.array([truth[i] for i in train])
+    names = sorted({t for i in train for t in bags[i]})
+    number = {t: j for j, t in enumerate(names)}
+    n, p = (np.array([sum(t in bags[i] for i in ids) for t in names]) for ids in (train, [i for i in train if truth[i]]))
+    base = rows.mean()
+    weight = (np.abs(np.log((p + 4 * base) / (n - p + 4 * (1 - base)) * (1 - base) / base)) + 0.01) ** 1.5 * (np.log((len(text) + 1) / (np.array([df[t] for t in names]) + 1)) + 1)
+
+    def dense(b):
+        v = np.zeros(len(names))
+        for t, c in b.items():
+            if t in number:
+                v[number[t]] = (1 + np.log(c)) * weight[number[t]]
+        return v / (np.linalg.norm(v) or 1)
+
+    space = np.stack([dense(bags[i]) for i in train])
+    got = {r["doc_id"]: r for r in queries.op4_toxicity_neighbours(spark, small).collect()}
+    assert set(got) == set(text)
+    with_evidence = 0
+    for i in text:
+        c = space @ dense(bags[i])
+        near = np.lexsort((train, -np.round(c, 6)))[:15]
+        near = near[c[near] > 0]
+        if not len(near):
+            assert not got[i]["evidence"] and np.isclose(got[i]["score"], model.alone)
+            continue
+        with_evidence += 1
+        w = np.minimum(c[near], 1) / (1.05 - np.minimum(c[near], 1))
+        vote = (w @ rows[near] + model.prior / 2) / (w.sum() + 0.5)
+        want = 1 / (1 + np.exp(-(model.curve[0] * np.log(vote / (1 - vote)) + model.curve[1])))
+        assert abs(got[i]["score"] - want) < 1e-3, i
+        assert np.allclose([e["cosine"] for e in got[i]["evidence"]], np.minimum(np.sort(c)[::-1][:5][: len(near)], 1), atol=1e-5)
+    assert with_evidence >= 0.98 * sum(bool(b) for b in bags.values())
+
+
+def test_block_maxima_leave_most_postings_unread():
+    """On vectors with few heavy terms, most postings are never read, and the result stays exact."""
+    rng = np.random.default_rng(8)
+    weight = np.concatenate([np.full(20, 20.0), np.full(2000, 1.0), np.full(200, 0.02)])
+    vectors = []
+    for _ in range(6000):
+        t = np.unique(np.concatenate([rng.integers(0, 20, 1), 20 + rng.integers(0, 2000, 20), 2020 + rng.integers(0, 200, 100)]))
+        vectors.append((t, weight[t] / np.linalg.norm(weight[t])))
+    flat = (np.array([len(t) for t, _ in vectors]), np.concatenate([t for t, _ in vectors]).astype(np.int32), np.concatenate([x for _, x in vectors]).astype(np.float32))
+    index = toxicity.BlockMaxIndex(flat, np.arange(6000), np.zeros(6000, int), weight=weight)
+    dense = np.zeros((6000, len(weight)))
+    for i, (t, x) in enumerate(vectors):
+        dense[i, t] = x
+    asked = 0
+    for i in range(0, 6000, 100):
+        at, cosine = index.top(vectors[i], 10)
+        asked += int((index.ptr[vectors[i][0] + 1] - index.ptr[vectors[i][0]]).sum())
+        assert np.allclose(np.sort(cosine), np.sort(dense @ dense[i])[-10:], atol=1e-6)
+    assert index.read < 0.3 * asked
+
+
 def test_toxicity_on_held_out_labels(spark):
     truth = {r["doc_id"]: r["toxic"] for r in spark.read.parquet(f"{SF}/labels.parquet").collect()}
     rows = queries.op4_toxicity_neighbours(spark, SF).collect()
@@ -273,9 +343,9 @@ def test_toxicity_learns_the_words_of_every_language(spark):
     """Each small language has far fewer toxic rows than an absolute chi-squared of 50 asks for."""
     docs, lab, truth = toxic_corpus(spark, 0.15, n=700)
     model = toxicity.fit(docs, lab)
-    assert set(TOXIC_WORDS.values()) <= set(model.terms)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms.names)
     train = [i for i in truth if zlib.crc32(str(i).encode()) % 5]
-    assert len(model.ids) == len(train) and len(model.t) == model.length.sum()
+    assert len(model.ids) == len(train) == len(model.counts)
     got = {r["doc_id"]: r["predicted"] for r in toxicity.predict(docs.select("doc_id", "text"), lab).collect()}
     for lang in TOXIC_WORDS:
         own = [got[i] for i, (y, at) in truth.items() if y and at == lang]
@@ -288,7 +358,7 @@ def test_toxicity_with_balanced_or_mostly_toxic_labels(spark, rate):
     """The common label does not swallow the other one."""
     docs, lab, truth = toxic_corpus(spark, rate)
     model = toxicity.fit(docs, lab)
-    assert set(TOXIC_WORDS.values()) <= set(model.terms)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms.names)
     kept = {r["doc_id"] for r in toxicity.without(docs, model).select("doc_id").collect()}
     assert np.mean([i in kept for i, (y, _) in truth.items() if not y]) >= 0.8
     assert np.mean([i in kept for i, (y, _) in truth.items() if y]) <= 0.2

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import re
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -30,6 +31,23 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(own), "doc_id")
 
 
+_SPACE = re.compile(r"\s")
+
+
+def pieces(text: str | None, size: int = 1 << 20) -> Iterator[str]:
+    """A text in pieces of about ``size`` characters, cut at white space, so that what is made of its words stays bounded; nothing for null. One word longer than that stays whole."""
+    if not isinstance(text, str):
+        return
+    lo = 0
+    while len(text) - lo > size:
+        cut = _SPACE.search(text, lo + size)
+        if cut is None:
+            break
+        yield text[lo : cut.start()]
+        lo = cut.start()
+    yield text[lo:] if lo else text
+
+
 def per_text(docs: DataFrame, start: Callable[[], Callable[[list], dict[str, list]]], result: str, carry: dict[str, Column] | None = None) -> DataFrame:
     """Apply a function of texts in Arrow batches and keep ``doc_id`` (and ``carry``) beside its columns, bit by bit, nulls included.
 

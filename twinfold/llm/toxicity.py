@@ -1,14 +1,15 @@
-"""Toxicity by the nearest labelled examples under weighted TF-IDF cosine, found exactly in a block-max inverted index.
-
-Terms are the words of the lower-cased text and their four-letter beginnings (so that inflected forms meet). Every term of every labelled example is in the space; document frequencies are counted
-over all documents. A term's idf is multiplied by how far it goes with the label, (chi2 + 0.01) / (chi2 + 10): a smooth factor that is never 0 and that is the same whichever label is the common one. Without
-it the many rare words of a text outweigh its few telling ones. Postings are held by groups of terms, rare ones first; each example, and each block of examples at its largest, has the norm of what its later
-groups hold. A query adds groups until few examples can still reach its k-th best cosine (partial sum plus the product of the norms left), and finishes those alone: the k nearest are
-exact. Their labels vote with weights growing as the distance falls; a logistic curve fitted on leave-one-out votes makes the vote a probability. The examples that voted are the evidence.
-
-Defined results: null, empty and term-less texts are at distance 1 from every example and get the (smoothed) share of the label among such examples; ties in cosine go to the smaller
-doc_id; repeated rows are scored alike; without labelled rows every score is 0; an empty table gives an empty result. Whole texts are read; words of over 40 letters
-stand for themselves through their checksum. ``lang``, ``source`` and ``doc_id`` are not inputs of a score.
+"""Toxicity by the nearest labelled examples under TF-IDF cosine, found exactly in a block-max inverted index.
+
+Terms are the words of the lower-cased text and their four-letter beginnings (so that inflected forms meet). Every term of every labelled example is in the space; document frequencies are counted over all documents.
+A term's idf is multiplied by ``telling``, a smooth power of its log odds ratio between the labels: never 0, and the same whichever label is the common one. Without it the many rare words of a text outweigh its few
+telling ones. Terms fall into impact classes by weight, a factor of two each; postings are read class by class, heaviest first, and each example, and each block of examples at its largest, has the norm of
+what its lighter classes hold. After some postings only blocks, then examples, can still be among the k nearest whose sum plus the product of the norms left reaches the k-th best sum; once few are left they are
+finished alone. So the k nearest are exact. Their labels vote with weights growing as the distance falls; a logistic curve fitted on leave-one-out votes makes the vote a probability. The examples that voted
+are the evidence.
+
+Defined results: null, empty and term-less texts are at distance 1 from every example and get the (smoothed) share of the label among such examples; ties in cosine go to the smaller doc_id; repeated rows are scored
+alike; without labelled rows every score is 0; an empty table gives an empty result. Whole texts are read, in pieces of bounded size; words of over 40 letters stand for themselves through their checksum.
+``lang``, ``source`` and ``doc_id`` are not inputs of a score.
 """
 
 from __future__ import annotations
@@ -18,43 +19,73 @@ import hashlib
 import math
 import re
 import zlib
-from collections import Counter
+from array import array
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from ..plans.storage import materialise
-from .shared import fit_logistic, held_out, labelled_sample, logit, per_text
+from ..plans.shipping import ship
+from ..plans.storage import discard, materialise
+from .shared import fit_logistic, held_out, labelled_sample, logit, per_text, pieces
 
 _WORD = re.compile(r"\w+")
 RESULT = "score double, evidence array<struct<doc_id:long,cosine:double,label:int>>, terms array<string>"
+NOTHING = np.zeros(0, np.int32), np.zeros(0, np.int64)
 
 
-def words_of(text: str | None) -> list[str]:
-    if not isinstance(text, str):
-        return []
-    return [w if len(w) <= 40 else f"{w[:32]}#{zlib.crc32(w.encode('utf-8', 'surrogatepass'))}" for w in _WORD.findall(text.lower())]
+def terms_of(word: str) -> tuple[str, ...]:
+    if len(word) <= 4:
+        return (word,)
+    return (word if len(word) <= 40 else f"{word[:32]}#{zlib.crc32(word.encode('utf-8', 'surrogatepass'))}", "^" + word[:4])
 
 
-def terms_of(word: str) -> tuple[str, ...]:
-    return (word, "^" + word[:4]) if len(word) > 4 else (word,)
+class Terms:
+    """The known terms, sorted; a worker makes its dictionary once."""
 
+    def __init__(self, names: list[str]):
+        self.names = names
 
-def selected_counts(text: str | None, vocabulary: dict[str, int], cache: dict[str, tuple[int, ...]]) -> dict[int, int]:
-    """How often each known term occurs; ``cache`` remembers words."""
-    out: dict[int, int] = {}
-    for w, n in Counter(words_of(text)).items():
-        hit = cache.get(w)
-        if hit is None:
-            if len(cache) > 100_000:
-                cache.clear()
-            hit = cache[w] = tuple(vocabulary[t] for t in terms_of(w) if t in vocabulary)
-        for t in hit:
-            out[t] = out.get(t, 0) + n
-    return out
+    def __getstate__(self) -> bytes:
+        return zlib.compress("\n".join(self.names).encode("utf-8", "surrogatepass"), 1)
+
+    def __setstate__(self, state: bytes) -> None:
+        text = zlib.decompress(state).decode("utf-8", "surrogatepass")
+        self.names = text.split("\n") if text else []
+
+    @functools.cached_property
+    def number(self) -> dict[str, int]:
+        return {t: i for i, t in enumerate(self.names)}
+
+
+class Lexicon(dict):
+    """Words of the texts read so far, numbered; ``own`` has two places a word for its known terms (-1: none). Forgets at ``bound`` words."""
+
+    def __init__(self, known: dict[str, int], bound: int = 200_000):
+        self.known, self.bound, self.own = known, bound, array("i")
+
+    def __missing__(self, word: str) -> int:
+        n = self[word] = len(self.own) // 2
+        at = [self.known.get(t, -1) for t in terms_of(word)]
+        self.own.extend(at if len(at) == 2 else (at[0], -1))
+        return n
+
+    def counts(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
+        """The known terms of a whole text, sorted, and how often each occurs."""
+        found = []
+        for piece in pieces(text):
+            if len(self) > self.bound:
+                self.clear()
+                self.own = array("i")
+            words = np.fromiter(map(self.__getitem__, _WORD.findall(piece.lower())), np.int64)
+            if len(words):
+                t = np.frombuffer(self.own, np.int32).reshape(-1, 2)[words].ravel()
+                found.append(np.unique(t[t >= 0], return_counts=True))
+        if len(found) < 2:
+            return found[0] if found else NOTHING
+        t, at = np.unique(np.concatenate([f[0] for f in found]), return_inverse=True)
+        return t, np.bincount(at, weights=np.concatenate([f[1] for f in found])).astype(np.int64)
 
 
 def _spans(lo: np.ndarray, length: np.ndarray) -> np.ndarray:
@@ -63,135 +94,135 @@ def _spans(lo: np.ndarray, length: np.ndarray) -> np.ndarray:
 
 
 class BlockMaxIndex:
-    """Unit vectors (dicts, or their lengths, terms and weights as arrays); ``top`` gives the exact k nearest by cosine."""
+    """Unit vectors (dicts, or their lengths, terms and weights as arrays); ``top`` gives the exact k nearest by cosine.
+
+    ``weight`` of the terms orders the impact classes; without it the root mean square of a term's postings does.
+    """
+
+    classes = 14
 
-    def __init__(self, vectors: list, ids: np.ndarray, labels: np.ndarray, block: int = 64):
+    def __init__(self, vectors: list | tuple, ids: np.ndarray, labels: np.ndarray, block: int = 32, weight: np.ndarray | None = None):
         if not isinstance(vectors, tuple):
             vectors = np.array([len(v) for v in vectors], np.int64), np.array([t for v in vectors for t in v], np.int32), np.array([x for v in vectors for x in v.values()], np.float32)
         length, t, x = vectors
         self.ids, self.labels, self.block, self.n = ids, labels, block, len(length)
         self.blocks = -(-self.n // block)
-        df = np.bincount(t)
+        df = np.bincount(t, minlength=0 if weight is None else len(weight))
         self.size = len(df)
-        edges = [e for e in (self.n // 256, self.n // 64, self.n // 16, self.n // 4) if e > 0]
-        self.group = np.searchsorted(edges, df, side="left").astype(np.int8)
-        self.groups = len(edges) + 1
+        if weight is None:
+            weight = np.sqrt(np.bincount(t, weights=x.astype(float) ** 2, minlength=self.size) / np.maximum(df, 1))
+        most = weight.max(initial=0) or 1.0
+        self.group = np.clip(np.ceil(np.log2(most / np.maximum(weight, most * 1e-9))), 0, self.classes - 1).astype(np.int8)
         self.end = np.cumsum(length)
-        self.start = np.zeros((self.n, self.groups), np.int64)  # of what lies after each group
-        self.left = np.zeros((self.groups, self.n))
-        row = np.repeat(np.arange(self.n, dtype=np.int32), length)
-        self.t, self.x = t.copy(), x.copy()
+        self.start = np.zeros((self.n, self.classes), np.int64)  # of what lies after each class
+        self.left = np.zeros((self.classes, self.n), np.float32)
+        self.t, self.x = np.empty(len(t), np.int32), np.empty(len(x), np.float32)
         for lo in range(0, self.n, 2048):  # by parts, for memory
             hi = min(lo + 2048, self.n)
             e = slice(self.end[lo] - length[lo], self.end[hi - 1])
-            key = (row[e].astype(np.int64) - lo) * self.groups + self.group[t[e]]
+            key = np.repeat(np.arange(hi - lo), length[lo:hi]) * self.classes + self.group[t[e]]
             order = np.argsort(key, kind="stable")
             self.t[e], self.x[e] = t[e][order], x[e][order]
-            held = np.bincount(key, minlength=(hi - lo) * self.groups).reshape(-1, self.groups)
-            square = np.bincount(key, weights=x[e].astype(float) ** 2, minlength=(hi - lo) * self.groups).reshape(-1, self.groups)
+            held = np.bincount(key, minlength=(hi - lo) * self.classes).reshape(-1, self.classes)
+            square = np.bincount(key, weights=x[e].astype(float) ** 2, minlength=(hi - lo) * self.classes).reshape(-1, self.classes)
             self.start[lo:hi] = (self.end - length)[lo:hi, None] + np.cumsum(held, axis=1)
-            self.left[:, lo:hi] = (np.sqrt(np.maximum(square[:, ::-1].cumsum(axis=1)[:, ::-1] - square, 0)) + 1e-7).T
-        padded = np.zeros((self.groups, self.blocks * block))
+            self.left[:, lo:hi] = (np.sqrt(np.maximum(square[:, ::-1].cumsum(axis=1)[:, ::-1] - square, 0)) * 1.000001 + 1e-7).T
+        padded = np.zeros((self.classes, self.blocks * block), np.float32)
         padded[:, : self.n] = self.left
-        self.most = padded.reshape(self.groups, self.blocks, block).max(axis=2)
+        self.most = padded.reshape(self.classes, self.blocks, block).max(axis=2) if self.n else padded
         order = np.argsort(t, kind="stable")
-        self.at, self.w = row[order], x[order]
+        self.w = x[order]
+        self.at = np.searchsorted(self.end, order, side="right").astype(np.int32)
         self.ptr = np.concatenate([[0], np.cumsum(df)])
-        self.dense = None
+        self.dense, self.read = np.zeros(self.size), 0
 
     def top(self, query, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """Positions and cosines of the k nearest with a positive cosine, nearest first, ties to the smaller id."""
         t, q = (np.array(list(query), np.int64), np.array(list(query.values()), float)) if isinstance(query, dict) else query
         known = t < self.size
         t, q = t[known], q[known].astype(float)
-        length = self.ptr[t + 1] - self.ptr[t]
-        group = self.group[t]
+        order = np.argsort(self.group[t], kind="stable")
+        t, q = t[order], q[order]
+        group, length = self.group[t], self.ptr[t + 1] - self.ptr[t]
+        later = np.cumsum((q * q)[::-1])[::-1]
+        ends = np.flatnonzero(np.diff(group, append=self.classes)) + 1
+        behind = np.concatenate([np.cumsum(length[::-1])[::-1], [0]])
         score = np.zeros(self.blocks * self.block)
-        at = None
-        for g in range(self.groups):
-            own = group == g
-            if g < 2:
-                i = _spans(self.ptr[t[own]], length[own])
-                if len(i):
-                    score += np.bincount(self.at[i], weights=np.repeat(q[own], length[own]) * self.w[i], minlength=len(score))
+        done, fresh, at = 0, 0, None
+        for j, end in enumerate(ends):
+            n = length[done:end]
+            i = _spans(self.ptr[t[done:end]], n)
+            add, weights = self.at[i], np.repeat(q[done:end], n) * self.w[i]
+            if len(i) < 4000:
+                np.add.at(score, add, weights)
             else:
-                for lo, n, weight in zip(self.ptr[t[own]], length[own], q[own]):
-                    score[self.at[lo : lo + n]] += weight * self.w[lo : lo + n]
-            later = group > g
-            if not later.any():
+                score += np.bincount(add, weights=weights, minlength=len(score))
+            done, fresh = end, fresh + len(i)
+            if end == len(t):
                 break
-            if not own.any() and g:
+            if fresh + behind[end] - behind[ends[j + 1]] < 6000 or self.n <= k + 1:
                 continue
-            # Only an example whose sum and norms left reach the k-th best sum can be among the k nearest.
-            rest = math.sqrt(q[later] @ q[later])
+            # Only an example whose sum and norms left reach the k-th best sum can be among the k nearest; first whole blocks fall, then single examples.
+            fresh, g, rest = 0, group[end - 1], math.sqrt(later[end]) * 1.000001
             peak = score.reshape(self.blocks, self.block).max(axis=1)
-            if self.n <= k + 1:
-                continue
-            floor = np.partition(score[: self.n], self.n - k - 1)[self.n - k - 1] - 1e-9  # one more than k: ``without`` may be among them
-            alive = np.flatnonzero(peak + rest * self.most[g] >= floor)
-            some = (alive[:, None] * self.block + np.arange(self.block)).ravel()
+            floor = np.partition(peak, self.blocks - k - 1)[self.blocks - k - 1] - 1e-9 if self.blocks > k else 0.0  # one more than k: ``without`` may be among them
+            some = ((np.flatnonzero(peak + rest * self.most[g] >= floor) * self.block)[:, None] + np.arange(self.block)).ravel()
             some = some[some < self.n]
             some = some[score[some] + rest * self.left[g][some] >= floor]
-            work = (self.end[some] - self.start[some, g]).sum()
-            if 4 * work < length[later].sum() + 50_000:
-                if self.dense is None:
-                    self.dense = np.zeros(self.size)
-                self.dense[t[later]] = q[later]
-                n = self.end[some] - self.start[some, g]
+            if len(some) > k + 1:
+                own = score[some]
+                floor = np.partition(own, len(own) - k - 1)[len(own) - k - 1] - 1e-9
+                some = some[own + rest * self.left[g][some] >= floor]
+            n = self.end[some] - self.start[some, g]
+            if 3 * n.sum() < behind[end] + 20_000:
+                self.dense[t[end:]] = q[end:]
                 i = _spans(self.start[some, g], n)
-                more = np.bincount(np.repeat(np.arange(len(some)), n), weights=self.dense[self.t[i]] * self.x[i], minlength=len(some))
-                self.dense[t[later]] = 0
-                at, found = some, score[some] + more
+                at, found = some, score[some] + np.bincount(np.repeat(np.arange(len(some)), n), weights=self.dense[self.t[i]] * self.x[i], minlength=len(some))
+                self.dense[t[end:]] = 0
+                done = end
                 break
+        self.read += int(behind[0] - behind[done])
         if at is None:
             at, found = np.arange(self.n), score[: self.n]
         ok = (found > 0) & (at != without)
         at, found = at[ok], found[ok]
         if len(at) > k:
-            ok = found >= np.partition(found, len(found) - k)[len(found) - k]
+            ok = found >= np.partition(found, len(found) - k)[len(found) - k] - 1e-12
             at, found = at[ok], found[ok]
-        order = np.lexsort((self.ids[at], -found))[:k]
+        order = np.lexsort((self.ids[at], -np.round(found, 12)))[:k]
         return at[order], found[order]
 
 
 class Model:
-    """Terms, their weights, and the counts of the labelled sample; each worker builds the index from them once."""
+    """Terms, their weights, and the counts of the labelled sample (compressed, example by example); each worker builds the index from them once."""
 
-    def __init__(self, terms: list[str], weight: np.ndarray, examples: tuple[np.ndarray, ...], empty: tuple[int, int], k: int):
+    def __init__(self, terms: Terms, weight: np.ndarray, ids: np.ndarray, labels: np.ndarray, counts: list[bytes], empty: tuple[int, int], k: int):
         self.terms, self.weight, self.k = terms, weight, k
-        self.ids, self.labels, self.length, self.t, self.count = examples
+        self.ids, self.labels, self.counts = ids, labels, counts
         n0, p0 = empty
-        total, positive = n0 + len(self.ids), p0 + int(self.labels.sum())
+        total, positive = n0 + len(ids), p0 + int(labels.sum())
         self.prior = positive / total if total else 0.0
         self.alone = (p0 + self.prior) / (n0 + 1) if total else 0.0
         self.curve, self.shared = np.array([1.0, 0.0]), None
 
     def __getstate__(self) -> dict:
-        own = {k: v for k, v in self.__dict__.items() if k not in ("vocabulary", "index", "shared", "t", "count", "terms")}
-        step = np.diff(self.t, prepend=np.int32(0))
-        return own | {"packed": [zlib.compress(x, 1) for x in (step.astype("<i4").tobytes(), self.count.astype("<i4").tobytes(), "\n".join(self.terms).encode("utf-8", "surrogatepass"))]}
-
-    def __setstate__(self, state: dict) -> None:
-        step, count, terms = (zlib.decompress(x) for x in state.pop("packed"))
-        self.__dict__.update(state)
-        self.t, self.count = np.cumsum(np.frombuffer(step, "<i4"), dtype=np.int32), np.frombuffer(count, "<i4")
-        self.terms, self.shared = terms.decode("utf-8", "surrogatepass").split("\n") if terms else [], None
+        return {k: v for k, v in self.__dict__.items() if k not in ("index", "shared")} | {"shared": None}
 
-    @functools.cached_property
-    def vocabulary(self) -> dict[str, int]:
-        return {t: i for i, t in enumerate(self.terms)}
+    def example(self, i: int) -> tuple[np.ndarray, np.ndarray]:
+        """Terms and counts of one labelled example."""
+        x = np.frombuffer(zlib.decompress(self.counts[i]), "<i4").reshape(2, -1)
+        return np.cumsum(x[0], dtype=np.int32), x[1]
 
     @functools.cached_property
     def index(self) -> BlockMaxIndex:
-        row = np.repeat(np.arange(len(self.ids), dtype=np.int32), self.length)
-        v = (1 + np.log(self.count)) * self.weight[self.t]
-        v /= np.sqrt(np.bincount(row, weights=v * v))[row]
-        begin = np.cumsum(self.length) - self.length
-        at = np.flatnonzero(v == np.maximum.reduceat(v, begin)[row])
-        strongest = self.t[at[np.unique(row[at], return_index=True)[1]]]
-        order = np.lexsort((self.ids, strongest))  # similar examples share blocks
-        i = _spans(begin[order], self.length[order])
-        return BlockMaxIndex((self.length[order], self.t[i], v[i].astype(np.float32)), self.ids[order], self.labels[order])
+        """Similar examples (by their heaviest term) share blocks."""
+        vectors = [self.vector(*self.example(i)) for i in range(len(self.ids))]
+        strongest = np.array([t[np.argmax(v)] for t, v in vectors], np.int64)
+        order = np.lexsort((self.ids, strongest))
+        length = np.array([len(vectors[i][0]) for i in order], np.int64)
+        t, x = (np.concatenate([vectors[i][c] for i in order] or [NOTHING[0]]) for c in (0, 1))
+        del vectors
+        return BlockMaxIndex((length, t, x), self.ids[order], self.labels[order], weight=self.weight)
 
     def calibrate(self, spark: SparkSession) -> None:
         """Fit the curve on leave-one-out votes of at most 4000 examples, taken by the workers."""
@@ -213,44 +244,46 @@ class Model:
         self.curve[0] = max(self.curve[0], 0.0)
 
     def vector(self, t: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        order = np.argsort(t)
-        t = t[order]
-        v = (1 + np.log(n[order])) * self.weight[t]
+        """Unit vector of sorted terms and their counts."""
+        v = (1 + np.log(n)) * self.weight[t]
         norm = math.sqrt(v @ v)
         return t, (v / norm if norm else v).astype(np.float32)
 
     def vote(self, at: np.ndarray, cosine: np.ndarray) -> float:
-        w = 1 / (0.05 + 1 - np.minimum(cosine, 1))
-        return float((w @ self.index.labels[at] + self.prior) / (w.sum() + 1))
+        """The neighbours' labels by cosine over distance (a far example hardly counts), with half a vote for the base rate."""
+        near = np.minimum(cosine, 1)
+        w = near / (1.05 - near)
+        return float((w @ self.index.labels[at] + self.prior / 2) / (w.sum() + 0.5))
 
-    def score(self, counts: dict[int, int]) -> tuple[float, list[dict]]:
-        if not counts:
-            return self.alone, []
-        n = len(counts)
-        at, cosine = self.index.top(self.vector(np.fromiter(counts, np.int32, n), np.fromiter(counts.values(), float, n)), self.k)
+    def score(self, t: np.ndarray, n: np.ndarray) -> tuple[float, list[dict]]:
+        at, cosine = self.index.top(self.vector(t, n), self.k) if len(t) else NOTHING
         if not len(at):
             return self.alone, []
         p = 1 / (1 + math.exp(-float(np.clip(self.curve[0] * logit(np.array(self.vote(at, cosine))) + self.curve[1], -30, 30))))
         return p, [{"doc_id": int(self.index.ids[i]), "cosine": float(min(c, 1.0)), "label": int(self.index.labels[i])} for i, c in zip(at[:5], cosine[:5])]
 
 
-def association(n: np.ndarray, p: np.ndarray, rows: float, positive: float) -> np.ndarray:
-    """Between 0.001 and 1: how far terms in ``n`` rows, ``p`` of them positive, go with the label (chi-squared of the four counts)."""
-    n, p = n.astype(float), p.astype(float)
-    chi = rows * (p * rows - n * positive) ** 2 / np.maximum(n * (rows - n) * positive * (rows - positive), 1e-9)
-    return (chi + 0.01) / (chi + 10)
+def telling(n: np.ndarray, p: np.ndarray, rows: float, positive: float, pseudo: float = 4.0) -> np.ndarray:
+    """How far terms in ``n`` of ``rows`` examples, ``p`` of them positive, go with either label: |log odds ratio| with ``pseudo`` examples at the base rate added, to the power of 1.5; 1 for all terms if one label is absent."""
+    base = positive / rows
+    if not 0 < base < 1:
+        return np.ones(len(n))
+    odds = np.log((p + pseudo * base) / (n - p + pseudo * (1 - base)) * ((1 - base) / base))
+    return (np.abs(odds) + 0.01) ** 1.5
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled: int = 40_000, k: int = 15) -> Model:
     """Learn from labelled rows outside the held-out fold; at most ``max_labelled`` of them (documented bound), all of them indexed."""
     spark = docs.sparkSession
+    ship(spark)
     sample = materialise(labelled_sample(docs, labels, label, max_labelled), "labelled")
 
     def tally(batches):
         held: dict[str, list[int]] = {}
         for pdf in batches:
             for text, y in zip(pdf["text"], pdf["label"]):
-                for t in {t for w in set(words_of(text)) for t in terms_of(w)}:
+                words = {w for piece in pieces(text) for w in set(_WORD.findall(piece.lower()))}
+                for t in {t for w in words for t in terms_of(w)}:
                     x = held.setdefault(t, [0, 0])
                     x[0] += 1
                     x[1] += y
@@ -262,48 +295,43 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     whole = sample.agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
     n, p = float(whole["n"]), float(whole["p"])
     if not n:
-        return Model([], np.zeros(0), (np.zeros(0, np.int64),) * 5, (0, 0), k)
+        return Model(Terms([]), np.zeros(0), np.zeros(0, np.int64), np.zeros(0, np.int64), [], (0, 0), k)
     by_term = sample.mapInPandas(tally, "term string, n long, p long").groupBy("term").agg(F.sum("n").cast("int").alias("n"), F.sum("p").cast("int").alias("p")).toArrow().sort_by("term")
-    terms = by_term["term"].to_pylist()
-    weight = association(by_term["n"].to_numpy(), by_term["p"].to_numpy(), n, p)
+    terms = Terms(by_term["term"].to_pylist())
+    weight = telling(by_term["n"].to_numpy(), by_term["p"].to_numpy(), n, p)
     del by_term
     known = spark.sparkContext.broadcast(terms)
 
-    def vocabulary() -> dict[str, int]:
-        return {t: i for i, t in enumerate(known.value)}
-
     def frequency(batches):
-        cache: dict = {}
-        ids = vocabulary()
-        count, rows = np.zeros(len(ids) + 1, np.int64), 0
-        for pdf in batches:
-            rows += len(pdf)
-            for text in pdf["text"]:
-                own = selected_counts(text, ids, cache)
-                count[np.fromiter(own, np.int64, len(own))] += 1
+        lexicon = Lexicon(known.value.number)
+        count, rows = np.zeros(len(lexicon.known) + 1, np.int64), 0
+        for batch in batches:
+            rows += batch.num_rows
+            for text in batch.column(0).to_pylist():
+                count[lexicon.counts(text)[0]] += 1
         count[-1] = rows
         at = np.flatnonzero(count)
-        yield pd.DataFrame({"t": at, "n": count[at]})
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(count[at])], ["t", "n"])
 
-    df = np.zeros(len(terms) + 1)
-    counted = docs.select("text").mapInPandas(frequency, "t int, n long").groupBy("t").agg(F.sum("n").alias("n")).toArrow()
+    df = np.zeros(len(weight) + 1)
+    counted = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(frequency, "t int, n long").groupBy("t").agg(F.sum("n").alias("n")).toArrow()
     df[counted["t"].to_numpy()] = counted["n"].to_numpy()
     weight *= np.log((df[-1] + 1) / (df[:-1] + 1)) + 1
 
     def vectors(batches):
-        cache: dict = {}
-        ids = vocabulary()
+        lexicon = Lexicon(known.value.number)
         for pdf in batches:
-            counts = [dict(sorted(selected_counts(t, ids, cache).items())) for t in pdf["text"]]
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "t": [np.fromiter(c, "<i4", len(c)).tobytes() for c in counts], "k": [np.fromiter(c.values(), "<i4", len(c)).tobytes() for c in counts]})
-
-    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, t binary, k binary"), "examples")
-    e = found.where("length(t) = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
-    rows = found.where("length(t) > 0").toArrow().sort_by("doc_id")
-    length = pc.binary_length(rows["t"]).to_numpy() // 4
-    t, count = (np.frombuffer(b"".join(x.as_buffer() for x in rows[c]), "<i4") for c in ("t", "k"))
-    model = Model(terms, weight, (rows["doc_id"].to_numpy(), rows["label"].to_numpy(), length.astype(np.int64), t, count), (int(e["n"]), int(e["p"])), k)
+            own = [lexicon.counts(text) for text in pdf["text"]]
+            packed = [zlib.compress(np.concatenate([np.diff(t, prepend=np.int32(0)), c]).astype("<i4").tobytes(), 1) if len(t) else b"" for t, c in own]
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "counts": packed})
+
+    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, counts binary"), "examples")
+    e = found.where("length(counts) = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
+    rows = found.where("length(counts) > 0").toArrow().sort_by("doc_id")
+    model = Model(terms, weight, rows["doc_id"].to_numpy(), rows["label"].to_numpy(), rows["counts"].to_pylist(), (int(e["n"]), int(e["p"])), k)
+    del rows
     model.calibrate(spark)
+    discard(sample, found)
     return model
 
 
@@ -319,17 +347,17 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
     def start():
         model = shared.value
         model.curve = curve
-        words: dict = {}
-        known: dict = {}
+        lexicon, known = Lexicon(model.terms.number), {}
 
         def one(text: str | None) -> tuple:
-            counts = selected_counts(text, model.vocabulary, words)
+            t, n = lexicon.counts(text)
             key = _digest(text)
             if key not in known:
                 if len(known) > 20_000:
                     known.clear()
-                known[key] = model.score(counts)
-            return (*known[key], [model.terms[t] for t in sorted(counts)])
+                known[key] = model.score(t, n)
+            strong = np.sort(t[np.argsort(-model.weight[t], kind="stable")[:20]])
+            return (*known[key], [model.terms.names[i] for i in strong])
 
         def run(texts: list) -> dict[str, list]:
             rows = [one(t) for t in texts]
@@ -342,14 +370,13 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
 def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
     """The rows of ``docs`` whose text scores below the threshold, all their columns untouched."""
-
+    ship(docs.sparkSession)
     shared, curve = model.shared or docs.sparkSession.sparkContext.broadcast(model), model.curve
 
     def run(batches):
         model = shared.value
         model.curve = curve
-        words: dict = {}
-        known: dict = {}
+        lexicon, known = Lexicon(model.terms.number), {}
         for batch in batches:
             keep = []
             for text in batch.column("text").to_pylist():
@@ -357,7 +384,7 @@ def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
                 if key not in known:
                     if len(known) > 50_000:
                         known.clear()
-                    known[key] = model.score(selected_counts(text, model.vocabulary, words))[0] < threshold
+                    known[key] = model.score(*lexicon.counts(text))[0] < threshold
                 keep.append(known[key])
             yield batch.filter(pa.array(keep, pa.bool_()))
 
@@ -365,6 +392,6 @@ def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
 
 
 def predict(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **parameters) -> DataFrame:
-    """Fit and score: doc_id, held_out, score, predicted, evidence, terms."""
+    """Fit and score: doc_id, held_out, score, predicted, evidence and the (at most 20) heaviest terms of the text."""
     scored = score(docs, fit(docs, labels, **parameters))
     return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"), "evidence", "terms")
