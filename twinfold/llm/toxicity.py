@@ -67,18 +67,35 @@ class Lexicon(dict):
 
     def __missing__(self, word: str) -> int:
         n = self[word] = len(self.own) // 2
-        at = [self.known.get(t, -1) for t in terms_of(word)]
-        self.own.extend(at if len(at) == 2 else (at[0], -1))
+        put, term = self.own.append, self.known.get
+        if len(word) <= 4:
+            put(term(word, -1))
+            put(-1)
+        else:
+            for t in terms_of(word):
+                put(term(t, -1))
         return n
 
+    def terms(self, text: str | None) -> np.ndarray:
+        """The known terms of a whole text, each once."""
+        found = NOTHING[0]
+        for piece in pieces(text):
+            words = self._numbers(set(_WORD.findall(piece.lower())))
+            found = np.concatenate([found, np.frombuffer(self.own, np.int32).reshape(-1, 2)[words].ravel()])
+        found = np.unique(found)
+        return found[1:] if len(found) and found[0] < 0 else found
+
+    def _numbers(self, words) -> np.ndarray:
+        if len(self) > self.bound:
+            self.clear()
+            self.own = array("i")
+        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+
     def counts(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """The known terms of a whole text, sorted, and how often each occurs."""
         found = []
         for piece in pieces(text):
-            if len(self) > self.bound:
-                self.clear()
-                self.own = array("i")
-            words = np.fromiter(map(self.__getitem__, _WORD.findall(piece.lower())), np.int64)
+            words = self._numbers(_WORD.findall(piece.lower()))
             if len(words):
                 t = np.frombuffer(self.own, np.int32).reshape(-1, 2)[words].ravel()
                 found.append(np.unique(t[t >= 0], return_counts=True))
@@ -107,6 +124,9 @@ class BlockMaxIndex:
         length, t, x = vectors
         self.ids, self.labels, self.block, self.n = ids, labels, block, len(length)
         self.blocks = -(-self.n // block)
+        self.slot = np.arange(self.n) % block * self.blocks + np.arange(self.n) // block  # examples of a block lie a row apart, so that maxima over blocks are maxima over rows
+        self.of = np.full(self.blocks * block, -1, np.int32)
+        self.of[self.slot] = np.arange(self.n)
         df = np.bincount(t, minlength=0 if weight is None else len(weight))
         self.size = len(df)
         if weight is None:
@@ -114,26 +134,30 @@ class BlockMaxIndex:
         most = weight.max(initial=0) or 1.0
         self.group = np.clip(np.ceil(np.log2(most / np.maximum(weight, most * 1e-9))), 0, self.classes - 1).astype(np.int8)
         self.end = np.cumsum(length)
-        self.start = np.zeros((self.n, self.classes), np.int64)  # of what lies after each class
-        self.left = np.zeros((self.classes, self.n), np.float32)
-        self.t, self.x = np.empty(len(t), np.int32), np.empty(len(x), np.float32)
+        self.start = np.zeros((self.classes, self.n), np.int64)  # of what lies after each class
+        self.left = np.zeros((self.classes, self.blocks * block), np.float32)
+        self.ptr = np.concatenate([[0], np.cumsum(df)])
+        self.at, self.w = np.empty(len(t), np.int32), np.empty(len(t), np.float32)
+        self.t, self.x = t, x  # ordered by class in place, example by example
+        free = self.ptr[:-1].copy()
         for lo in range(0, self.n, 2048):  # by parts, for memory
             hi = min(lo + 2048, self.n)
             e = slice(self.end[lo] - length[lo], self.end[hi - 1])
-            key = np.repeat(np.arange(hi - lo), length[lo:hi]) * self.classes + self.group[t[e]]
+            own, value, row = t[e].copy(), x[e].copy(), np.repeat(np.arange(hi - lo), length[lo:hi])
+            order = np.argsort(own, kind="stable")
+            sorted_ = own[order]
+            n = np.bincount(sorted_, minlength=self.size)
+            place = free[sorted_] + np.arange(len(order)) - (np.cumsum(n) - n)[sorted_]
+            self.at[place], self.w[place] = self.slot[row[order] + lo], value[order]
+            free += n
+            key = row * self.classes + self.group[own]
             order = np.argsort(key, kind="stable")
-            self.t[e], self.x[e] = t[e][order], x[e][order]
+            self.t[e], self.x[e] = own[order], value[order]
             held = np.bincount(key, minlength=(hi - lo) * self.classes).reshape(-1, self.classes)
-            square = np.bincount(key, weights=x[e].astype(float) ** 2, minlength=(hi - lo) * self.classes).reshape(-1, self.classes)
-            self.start[lo:hi] = (self.end - length)[lo:hi, None] + np.cumsum(held, axis=1)
-            self.left[:, lo:hi] = (np.sqrt(np.maximum(square[:, ::-1].cumsum(axis=1)[:, ::-1] - square, 0)) * 1.000001 + 1e-7).T
-        padded = np.zeros((self.classes, self.blocks * block), np.float32)
-        padded[:, : self.n] = self.left
-        self.most = padded.reshape(self.classes, self.blocks, block).max(axis=2) if self.n else padded
-        order = np.argsort(t, kind="stable")
-        self.w = x[order]
-        self.at = np.searchsorted(self.end, order, side="right").astype(np.int32)
-        self.ptr = np.concatenate([[0], np.cumsum(df)])
+            square = np.bincount(key, weights=value.astype(float) ** 2, minlength=(hi - lo) * self.classes).reshape(-1, self.classes)
+            self.start[:, lo:hi] = ((self.end - length)[lo:hi, None] + np.cumsum(held, axis=1)).T
+            self.left[:, self.slot[lo:hi]] = (np.sqrt(np.maximum(square[:, ::-1].cumsum(axis=1)[:, ::-1] - square, 0)) * 1.000001 + 1e-7).T
+        self.most = self.left.reshape(self.classes, block, self.blocks).max(axis=1) if self.n else self.left
         self.dense, self.read = np.zeros(self.size), 0
 
     def top(self, query, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
@@ -160,30 +184,34 @@ class BlockMaxIndex:
             done, fresh = end, fresh + len(i)
             if end == len(t):
                 break
-            if fresh + behind[end] - behind[ends[j + 1]] < 6000 or self.n <= k + 1:
+            coming = behind[end] - behind[ends[j + 1]]
+            if fresh + coming < 6000 or self.n <= k + 1:
                 continue
             # Only an example whose sum and norms left reach the k-th best sum can be among the k nearest; first whole blocks fall, then single examples.
             fresh, g, rest = 0, group[end - 1], math.sqrt(later[end]) * 1.000001
-            peak = score.reshape(self.blocks, self.block).max(axis=1)
-            floor = np.partition(peak, self.blocks - k - 1)[self.blocks - k - 1] - 1e-9 if self.blocks > k else 0.0  # one more than k: ``without`` may be among them
-            some = ((np.flatnonzero(peak + rest * self.most[g] >= floor) * self.block)[:, None] + np.arange(self.block)).ravel()
-            some = some[some < self.n]
-            some = some[score[some] + rest * self.left[g][some] >= floor]
-            if len(some) > k + 1:
-                own = score[some]
-                floor = np.partition(own, len(own) - k - 1)[len(own) - k - 1] - 1e-9
-                some = some[own + rest * self.left[g][some] >= floor]
-            n = self.end[some] - self.start[some, g]
-            if 3 * n.sum() < behind[end] + 20_000:
+            table = score.reshape(self.block, self.blocks)
+            peak = table.max(axis=0)
+            best = table[:, np.argpartition(peak, self.blocks - k - 1)[self.blocks - k - 1 :]].ravel() if self.blocks > k else score
+            floor = np.partition(best, len(best) - k - 1)[len(best) - k - 1] - 1e-9  # one more than k: ``without`` may be among them
+            alive = np.flatnonzero(peak + rest * self.most[g] >= floor)
+            if 4 * len(alive) > self.blocks:
+                some = np.flatnonzero(score + rest * self.left[g] >= floor)
+            else:
+                some = (np.arange(self.block)[:, None] * self.blocks + alive).ravel()
+                some = some[score[some] + rest * self.left[g, some] >= floor]
+            own = self.of[some]
+            some, own = some[own >= 0], own[own >= 0]
+            n = self.end[own] - self.start[g, own]
+            if 1.5 * n.sum() < coming + 5000:  # finishing them costs less than reading the next class
                 self.dense[t[end:]] = q[end:]
-                i = _spans(self.start[some, g], n)
-                at, found = some, score[some] + np.bincount(np.repeat(np.arange(len(some)), n), weights=self.dense[self.t[i]] * self.x[i], minlength=len(some))
+                i = _spans(self.start[g, own], n)
+                at, found = own, score[some] + np.bincount(np.repeat(np.arange(len(own)), n), weights=self.dense[self.t[i]] * self.x[i], minlength=len(own))
                 self.dense[t[end:]] = 0
                 done = end
                 break
         self.read += int(behind[0] - behind[done])
         if at is None:
-            at, found = np.arange(self.n), score[: self.n]
+            at, found = np.arange(self.n), score[self.slot]
         ok = (found > 0) & (at != without)
         at, found = at[ok], found[ok]
         if len(at) > k:
@@ -194,11 +222,11 @@ class BlockMaxIndex:
 
 
 class Model:
-    """Terms, their weights, and the counts of the labelled sample (compressed, example by example); each worker builds the index from them once."""
+    """Terms, their weights, and the counts of the labelled sample (compressed, example by example, similar ones beside each other); each worker builds the index from them once."""
 
-    def __init__(self, terms: Terms, weight: np.ndarray, ids: np.ndarray, labels: np.ndarray, counts: list[bytes], empty: tuple[int, int], k: int):
+    def __init__(self, terms: Terms, weight: np.ndarray, ids: np.ndarray, labels: np.ndarray, length: np.ndarray, counts: list[bytes], empty: tuple[int, int], k: int):
         self.terms, self.weight, self.k = terms, weight, k
-        self.ids, self.labels, self.counts = ids, labels, counts
+        self.ids, self.labels, self.length, self.counts = ids, labels, length, counts
         n0, p0 = empty
         total, positive = n0 + len(ids), p0 + int(labels.sum())
         self.prior = positive / total if total else 0.0
@@ -208,21 +236,25 @@ class Model:
     def __getstate__(self) -> dict:
         return {k: v for k, v in self.__dict__.items() if k not in ("index", "shared")} | {"shared": None}
 
-    def example(self, i: int) -> tuple[np.ndarray, np.ndarray]:
-        """Terms and counts of one labelled example."""
-        x = np.frombuffer(zlib.decompress(self.counts[i]), "<i4").reshape(2, -1)
-        return np.cumsum(x[0], dtype=np.int32), x[1]
-
     @functools.cached_property
     def index(self) -> BlockMaxIndex:
-        """Similar examples (by their heaviest term) share blocks."""
-        vectors = [self.vector(*self.example(i)) for i in range(len(self.ids))]
-        strongest = np.array([t[np.argmax(v)] for t, v in vectors], np.int64)
-        order = np.lexsort((self.ids, strongest))
-        length = np.array([len(vectors[i][0]) for i in order], np.int64)
-        t, x = (np.concatenate([vectors[i][c] for i in order] or [NOTHING[0]]) for c in (0, 1))
-        del vectors
-        return BlockMaxIndex((length, t, x), self.ids[order], self.labels[order], weight=self.weight)
+        """Made of the examples in their order here, decoded by parts."""
+        total = self.length.sum()
+        t, x, at = np.empty(total, np.int32), np.empty(total, np.float32), 0
+        for lo in range(0, len(self.ids), 2048):
+            length = self.length[lo : lo + 2048]
+            pairs = np.frombuffer(b"".join(map(zlib.decompress, self.counts[lo : lo + 2048])), "<i4")
+            row = np.repeat(np.arange(len(length)), length)
+            first = np.cumsum(length) - length
+            inside = np.arange(len(row)) - first[row]
+            step = pairs[2 * first[row] + inside].astype(np.int64)
+            whole = np.cumsum(step)
+            own = (whole - (whole[first] - step[first])[row]).astype(np.int32)
+            v = (1 + np.log(pairs[2 * first[row] + length[row] + inside])) * self.weight[own]
+            v /= np.sqrt(np.bincount(row, weights=v * v))[row]
+            t[at : at + len(own)], x[at : at + len(own)] = own, v
+            at += len(own)
+        return BlockMaxIndex((self.length, t, x), self.ids, self.labels, weight=self.weight)
 
     def calibrate(self, spark: SparkSession) -> None:
         """Fit the curve on leave-one-out votes of at most 4000 examples, taken by the workers."""
@@ -236,7 +268,7 @@ class Model:
             index = model.index
             for pdf in batches:
                 at = some[pdf["id"].to_numpy()]
-                own = [slice(index.start[i - 1, -1] if i else 0, index.start[i, -1]) for i in at]
+                own = [slice(index.end[i - 1] if i else 0, index.end[i]) for i in at]
                 yield pd.DataFrame({"id": pdf["id"], "y": index.labels[at], "vote": [model.vote(*index.top((index.t[e], index.x[e]), model.k, without=int(i))) for i, e in zip(at, own)]})
 
         rows = sorted(spark.range(len(some), numPartitions=max(1, min(len(some) // 100, spark.sparkContext.defaultParallelism))).mapInPandas(votes, "id long, y int, vote double").collect())
@@ -295,7 +327,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     whole = sample.agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
     n, p = float(whole["n"]), float(whole["p"])
     if not n:
-        return Model(Terms([]), np.zeros(0), np.zeros(0, np.int64), np.zeros(0, np.int64), [], (0, 0), k)
+        return Model(Terms([]), np.zeros(0), *[np.zeros(0, np.int64)] * 3, [], (0, 0), k)
     by_term = sample.mapInPandas(tally, "term string, n long, p long").groupBy("term").agg(F.sum("n").cast("int").alias("n"), F.sum("p").cast("int").alias("p")).toArrow().sort_by("term")
     terms = Terms(by_term["term"].to_pylist())
     weight = telling(by_term["n"].to_numpy(), by_term["p"].to_numpy(), n, p)
@@ -308,7 +340,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
         for batch in batches:
             rows += batch.num_rows
             for text in batch.column(0).to_pylist():
-                count[lexicon.counts(text)[0]] += 1
+                count[lexicon.terms(text)] += 1
         count[-1] = rows
         at = np.flatnonzero(count)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(count[at])], ["t", "n"])
@@ -318,17 +350,20 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     df[counted["t"].to_numpy()] = counted["n"].to_numpy()
     weight *= np.log((df[-1] + 1) / (df[:-1] + 1)) + 1
 
+    weights = spark.sparkContext.broadcast(weight)
+
     def vectors(batches):
         lexicon = Lexicon(known.value.number)
         for pdf in batches:
             own = [lexicon.counts(text) for text in pdf["text"]]
-            packed = [zlib.compress(np.concatenate([np.diff(t, prepend=np.int32(0)), c]).astype("<i4").tobytes(), 1) if len(t) else b"" for t, c in own]
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "counts": packed})
-
-    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, counts binary"), "examples")
-    e = found.where("length(counts) = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
-    rows = found.where("length(counts) > 0").toArrow().sort_by("doc_id")
-    model = Model(terms, weight, rows["doc_id"].to_numpy(), rows["label"].to_numpy(), rows["counts"].to_pylist(), (int(e["n"]), int(e["p"])), k)
+            strongest = [int(t[np.argmax((1 + np.log(c)) * weights.value[t])]) if len(t) else -1 for t, c in own]
+            packed = [zlib.compress(np.concatenate([np.diff(t, prepend=np.int32(0)), c]).astype("<i4").tobytes(), 1) for t, c in own]
+            yield pd.DataFrame({"doc_id": pdf["doc_id"], "label": pdf["label"], "strongest": strongest, "length": [len(t) for t, _ in own], "counts": packed})
+
+    found = materialise(sample.mapInPandas(vectors, "doc_id long, label int, strongest int, length long, counts binary"), "examples")
+    e = found.where("length = 0").agg(F.count("*").alias("n"), F.coalesce(F.sum("label"), F.lit(0)).alias("p")).first()
+    rows = found.where("length > 0").toArrow().sort_by([("strongest", "ascending"), ("doc_id", "ascending")])
+    model = Model(terms, weight, *[rows[c].to_numpy() for c in ("doc_id", "label", "length")], rows["counts"].to_pylist(), (int(e["n"]), int(e["p"])), k)
     del rows
     model.calibrate(spark)
     discard(sample, found)
