@@ -255,7 +255,7 @@ def test_toxicity_against_dense_cosine(spark):
     text = {r["doc_id"]: r["text"] for r in docs.collect()}
 
     def bag(x):
-        return Counter(t for w in re.findall(r"\w+", (x or "").lower()) for t in toxicity.terms_of(w))
+        return Counter(toxicity.term(w) for w in re.findall(r"\w+", (x or "").lower()))
 
     bags = {i: bag(x) for i, x in text.items()}
     df = Counter(t for b in bags.values() for t in b)
@@ -265,7 +265,7 @@ def test_toxicity_against_dense_cosine(spark):
     number = {t: j for j, t in enumerate(names)}
     n, p = (np.array([sum(t in bags[i] for i in ids) for t in names]) for ids in (train, [i for i in train if truth[i]]))
     base = rows.mean()
-    weight = (np.abs(np.log((p + 4 * base) / (n - p + 4 * (1 - base)) * (1 - base) / base)) + 0.01) ** 1.5 * (np.log((len(text) + 1) / (np.array([df[t] for t in names]) + 1)) + 1)
+    weight = (np.abs(np.log((p + 4 * base) / (n - p + 4 * (1 - base)) * (1 - base) / base)) + 0.01) ** 2 * (np.log((len(text) + 1) / (np.array([df[t] for t in names]) + 1)) + 1)
 
     def dense(b):
         v = np.zeros(len(names))

@@ -18,16 +18,18 @@ def held_out(doc_id: str = "doc_id") -> Column:
     return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")) % 5 == 0
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int) -> DataFrame:
-    """``doc_id, text, label`` of at most ``bound`` labelled training documents (per doc_id; smallest hashes first).
-
-    The bound makes the label side small by construction, so it is broadcast and the texts are not shuffled.
-    """
-    own = (
+def labelled_ids(labels: DataFrame, label: str, bound: int) -> DataFrame:
+    """``doc_id, label`` of at most ``bound`` labelled documents outside the held-out fold (per doc_id; smallest hashes first): small by construction."""
+    return (
         labels.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).where(~held_out())
         .groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(label).cast("int").alias("label"))
         .orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)
     )
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, bound: int) -> DataFrame:
+    """``doc_id, text, label`` of at most ``bound`` labelled training documents; the label side is broadcast and the texts are not shuffled."""
+    own = labelled_ids(labels, label, bound)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(own), "doc_id")
 
 
