@@ -10,7 +10,7 @@ large documents to small ones, so that every source ends within about one small
 
 Defined results: null text has size 0 and takes nothing; a null source is a source of its own, last in order; a source without
 words has target 0; repeated rows are documents of their own; an empty table gives an empty result. Other columns are not read;
-those of the input survive in :func:`mix` and may not be called as the results (those are replaced). The table of sources is held on the driver: at most
+those of the input survive in :func:`mix` whatever their names, except those called as the results (in any case), which are replaced. A dual that does not converge is an error. The table of sources is held on the driver: at most
 ``max_sources`` of them, else an error.
 """
 
@@ -21,7 +21,8 @@ import math
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from ..plans.storage import materialise, width
+from ..plans.columns import Carried
+from ..plans.storage import discard, materialise, width
 
 WORD = r"[^\x20\x09-\x0D]+"
 RESULT = ("size", "source_size", "target", "rate", "copies", "taken")
@@ -86,7 +87,8 @@ def balance(hist: DataFrame, targets: dict[str, float], cap: float, moment_weigh
         ).collect()
         miss = {r["_s"]: targets[r["_s"]] - r["g"] for r in rows}
         slope = goal - sum(r["gz"] for r in rows) - ridge * b
-        if max(abs(miss[r["_s"]]) / targets[r["_s"]] for r in rows) < tol and abs(slope) < tol * whole:
+        far = max(*[abs(miss[r["_s"]]) / targets[r["_s"]] for r in rows], abs(slope) / whole)
+        if far < tol:
             break
         # The Hessian is an arrow (diagonal by source, one border row): solve by its Schur complement.
         h = {r["_s"]: max(r["h"], 1e-9 * targets[r["_s"]]) for r in rows}
@@ -95,6 +97,9 @@ def balance(hist: DataFrame, targets: dict[str, float], cap: float, moment_weigh
         for r in rows:
             a[r["_s"]] += float(np.clip((miss[r["_s"]] - r["hz"] * db) / h[r["_s"]], -1.0, 1.0))
         b += db
+    else:
+        if far > 1e-3:
+            raise RuntimeError(f"the dual is {far:.2g} from its optimum after {max_steps} steps")
     return a, b
 
 
@@ -113,24 +118,32 @@ def whole_copies(classes: list[tuple[int, int, int, float]], target: float, cap:
 
 
 def mix(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: int = 2, size: Column | None = None, max_sources: int = 1_000_000) -> DataFrame:
-    """``docs(doc_id, text, source, ...)`` with size, source_size, target, rate, copies and taken beside each document."""
-    keep = [c for c in docs.columns if c not in RESULT and not c.startswith("_")]
-    rows = docs.select(*keep, (word_count(F.col("text")) if size is None else size).alias("size"), _key().alias("_s"), F.monotonically_increasing_id().alias("_uid"))
+    """``docs(doc_id, text, source, ...)`` with size, source_size, target, rate, copies and taken beside each document; ``size``, a column of ``docs``, takes the place of counting the words of ``text``.
+
+    What a document gets follows from a small table, one row a source and size class: whole copies, and the last document of the class's order that gets one more. So the documents are not shuffled.
+    """
+    own = ("doc_id", "source") if size is not None else ("doc_id", "source", "text")
+    carried = Carried(docs, *own, taken=RESULT, **({} if size is None else {"counted": size}))
+    n = word_count(F.col("text")) if size is None else F.col("counted").cast("long")
+    salts = max(16, width(docs.sparkSession))
+    order = F.xxhash64("doc_id", "_s", "size")  # of the document, so that reruns agree; rows only break ties of equal documents
+    rows = carried.rows.withColumns({"size": n, "_s": _key()}).withColumns({"_o": order, "_uid": F.monotonically_increasing_id()}).withColumns(
+        {"_salt": F.pmod(F.xxhash64("_o"), F.lit(salts)).cast("int"), "_c": F.when(F.col("size") < 32, F.col("size")).otherwise(F.floor(8 * F.log2("size")) - 8).cast("int")}
+    )
     rows = materialise(rows, "documents")
-    plan = _plan(rows.select("_uid", "doc_id", "_s", "source", "size"), weights, share, cap, max_sources)
-    if keep == ["doc_id", "source"]:  # nothing else to carry
-        return plan.select(*keep, *RESULT)
-    return rows.drop("size", "_s").join(plan.select("_uid", *RESULT), "_uid").select(*keep, *RESULT)
+    table, rate, few = _plan(rows.select(*_PLACE, "_s", "_c", "source", "size"), weights, share, cap, max_sources)
+    copies = (F.col("_base") + F.coalesce(F.struct(*_PLACE) <= F.col("_edge"), F.lit(False)).cast("int")).cast("int")
+    done = rows.join(F.broadcast(table) if few else table, ["_s", "_c"]).withColumn("copies", copies)
+    return done.withColumn("rate", rate).withColumn("taken", F.col("size") * F.col("copies")).select(*carried.back(), *RESULT)
 
 
-def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -> DataFrame:
-    spark = sized.sparkSession
-    salts = max(16, width(spark))
-    order = F.xxhash64("doc_id", "_s", "size")  # of the document, so that reruns agree; rows only break ties of equal documents
-    rows = materialise(
-        sized.withColumn("_o", order).withColumn("_salt", F.pmod(F.xxhash64("_o"), F.lit(salts)).cast("int"))
-        .withColumn("_c", F.when(F.col("size") < 32, F.col("size")).otherwise(F.floor(8 * F.log2("size")) - 8).cast("int")), "sizes"
-    )
+#: A document's place in its size class.
+_PLACE = ("_salt", "_o", "doc_id", "_uid")
+
+
+def _plan(rows: DataFrame, weights, share: float, cap: int, max_sources: int) -> tuple[DataFrame, Column, bool]:
+    """``_s, _c, source_size, target, a, _base, _edge`` a source and size class, the rate as an expression, and whether the table is small."""
+    spark = rows.sparkSession
     sources = rows.groupBy("_s").agg(F.first("source").alias("source"), F.sum("size").alias("t")).limit(max_sources + 1).collect()
     if len(sources) > max_sources:
         raise ValueError(f"more than {max_sources} sources: merge them or raise max_sources")
@@ -153,8 +166,8 @@ def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -
     # A document's rank in its class: first rank of its salt, from counts, plus its place in the salt.
     cells = rows.groupBy("_s", "_c", "_salt").agg(F.count("*").alias("_n"))
     firsts = cells.select("_s", "_c", "_salt", (F.sum("_n").over(Window.partitionBy("_s", "_c").orderBy("_salt")) - F.col("_n")).alias("_f"))
-    inside = Window.partitionBy("_s", "_c", "_salt").orderBy("_o", "doc_id", "_uid")
-    ranked = materialise(rows.withColumn("_r", F.row_number().over(inside) - 1).join(firsts, ["_s", "_c", "_salt"]).select("_uid", "doc_id", "_s", "source", "size", "_c", (F.col("_f") + F.col("_r")).alias("_rank")), "ranked")
+    inside = Window.partitionBy("_s", "_c", "_salt").orderBy(*_PLACE[1:])
+    ranked = materialise(rows.withColumn("_r", F.row_number().over(inside) - 1).join(firsts, ["_s", "_c", "_salt"]).select(*_PLACE, "_s", "_c", "size", (F.col("_f") + F.col("_r")).alias("_rank")), "ranked")
 
     def taken(now: dict) -> DataFrame:
         table = spark.createDataFrame([(s, c, k, n) for s, own in now.items() for c, (k, n) in own.items()], "_s string, _c int, _base int, _more long")
@@ -173,13 +186,16 @@ def _plan(sized: DataFrame, weights, share: float, cap: int, max_sources: int) -
                 times = base * n + more + step
                 chosen[s][cls] = (times // n, times % n)
                 rest -= step * tokens / n
-    return (
-        taken(chosen).join(tilt, "_s")
-        .withColumn("z", (F.log(F.greatest("size", F.lit(1))) - mean) / spread)
-        .select("_uid", "doc_id", "_s", "source", "size", "source_size", "target", rate.alias("rate"), "copies", (F.col("size") * F.col("copies")).alias("taken"))
-    )
+    flat = [(s, c, k, n) for s, own in chosen.items() for c, (k, n) in own.items()]
+    table = spark.createDataFrame(flat, "_s string, _c int, _base int, _more long")
+    edges = ranked.join(table.where("_more > 0"), ["_s", "_c"]).where("_rank = _more - 1").select("_s", "_c", F.struct(*_PLACE).alias("_edge"))
+    whole = materialise(table.join(tilt, "_s").join(edges, ["_s", "_c"], "left").select("_s", "_c", "source_size", "target", "a", "_base", "_edge"), "classes")
+    discard(ranked, hist)
+    z = (F.log(F.greatest("size", F.lit(1))) - mean) / spread
+    tilted = F.least(F.lit(float(cap)), F.exp(F.col("a") + F.lit(b) * z))
+    return whole, F.when(F.col("target") >= cap * F.col("source_size"), F.lit(float(cap))).otherwise(tilted), len(flat) <= 200_000
 
 
 def replicate(mixed: DataFrame, columns: list[str]) -> DataFrame:
     """Each document as many times as its copies say."""
-    return mixed.where("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*columns)
+    return mixed.where("copies > 0").select(*columns, F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy")).drop("copy")
