@@ -2,9 +2,10 @@
 
 Vectors are rotated at random, so that any leading block of coordinates is a fair sample of the whole, and dealt to lists by k-means pivots (rotation and pivots are fitted on a bounded
 sample, every row is indexed). Inside a probed list a query's partial products over the first column blocks are extrapolated; a candidate whose extrapolation stays below the query's
-current k-th best by more than a few standard errors is abandoned, the rest get their exact product on the original vectors in double precision. A query first scans its nearest list, and takes the k-th
-best found there into all other lists, so that these return little. The number of lists probed is measured, not guessed: for a bounded sample of queries the
-true neighbours are found by brute force over all rows, and as many lists are probed as cover ``target`` of them.
+current k-th best by more than a few standard errors is abandoned, the rest get their exact product on the original vectors in double precision. Queries and candidates meet in tiles, so that a block's
+products are one matrix product. A query first scans its nearest list, and takes the k-th best found there into all other lists, so that these return little. The number of lists probed is measured, not guessed:
+for a bounded sample of queries the true neighbours are found by brute force over all rows, and as many lists are probed as cover ``target`` of them; ``lists`` and ``probed`` in the result say how many there
+are and were probed.
 
 Defined results: see :func:`twinfold.llm.vectors.usable` for rows that take no part; ties go to the smaller id; a query with fewer candidates than k gets them all; an empty table gives an empty result.
 """
@@ -44,40 +45,62 @@ def top_pairs(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
 
 
 def _scan(index: Index, k: int, columns: int, errors: float):
-    """One (list, chunk): candidates come first, then queries with their thresholds, batch by batch."""
+    """One (list, chunk): candidates come first, then queries with their thresholds, batch by batch. Tiles of 1024 candidates by 256 queries are compared a column block at a time, as matrices while most
+    pairs of a tile live and pair by pair once few do."""
+    dim = index.dim
 
     def answer(cand: tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray], queries: pd.DataFrame):
-        ids, raw, turned, norms = cand
-        q_raw = as_matrix(queries["v"], index.dim)
-        q_turned = q_raw @ index.turn
-        out = []
-        for qid, q, qt, floor in zip(queries["vec_id"], q_raw, q_turned, queries["floor"]):
-            best_s, best_i = np.zeros(0), np.zeros(0, np.int64)
-            q_norm = math.sqrt(q @ q)
-            for lo in range(0, len(ids), 1024):
-                alive = np.arange(lo, min(lo + 1024, len(ids)))
-                partial = np.zeros(len(alive))
-                for b in range(0, index.dim, columns):
-                    e = min(b + columns, index.dim)
-                    partial += turned[alive, b:e] @ qt[b:e]
-                    if e == index.dim or floor == -math.inf:
-                        continue
-                    # the remaining coordinates are a random sample too: their product strays this far from the extrapolation
-                    stray = errors * q_norm * norms[alive] * math.sqrt((1 / e) * (1 - e / index.dim))
-                    keep = partial * (index.dim / e) + stray >= floor
-                    alive, partial = alive[keep], partial[keep]
-                alive = alive[(partial >= floor - 1e-9) & (ids[alive] != qid)]
-                if len(alive):
-                    exact = raw[alive] @ q
-                    ok = exact >= floor
-                    best_s, best_i = np.concatenate([best_s, exact[ok]]), np.concatenate([best_i, ids[alive[ok]]])
-                    at = top_pairs(best_s, best_i, k)
-                    best_s, best_i = best_s[at], best_i[at]
-                    if len(best_s) == k:
-                        floor = max(floor, best_s[-1])
-            if len(best_s):
-                out.append(pd.DataFrame({"query_id": qid, "vec_id": best_i, "score": best_s}))
-        return out
+        qids, raw = queries["vec_id"].to_numpy(), as_matrix(queries["v"], dim)
+        norms, turned, floor = np.sqrt((raw * raw).sum(1)), raw @ index.turn, queries["floor"].to_numpy().copy()
+        kept = []  # rows (query, candidate, score), at most k a query after each tile
+        for lo in range(0, len(cand[0]), 1024):
+            c = slice(lo, lo + 1024)
+            found = tile(cand[0][c], *(x[c] for x in cand[1:]), qids, raw, turned, norms, floor)
+            q, i, score = (np.concatenate(x) for x in zip(*kept, found))
+            order = np.lexsort((i, -score, q))
+            q, i, score = q[order], i[order], score[order]
+            first = np.flatnonzero(np.diff(q, prepend=-1))
+            rank = np.arange(len(q)) - np.repeat(first, np.diff(first, append=len(q)))
+            last = rank == k - 1
+            floor[q[last]] = np.maximum(floor[q[last]], score[last])
+            ok = rank < k
+            kept = [(q[ok], i[ok], score[ok])]
+        return pd.DataFrame({"query_id": qids[kept[0][0]], "vec_id": kept[0][1], "score": kept[0][2]})
+
+    def tile(ids, raw, turned, norms, qids, q_raw, q_turned, q_norms, floor):
+        """(query, candidate id, exact product) of the pairs of a tile that may be among the best."""
+        scale = q_norms[:, None] * norms[None, :]
+        held = floor[:, None]
+        # Coordinates after a random rotation are a sample of the product; its spread grows with the cosine that a pair must have to matter.
+        near = np.clip(held / np.maximum(scale, 1e-300), -1, 1)
+        spread = errors * scale * np.sqrt(1 + near * near)
+        partial, at, pairs = np.zeros(scale.shape), 0, None
+        while at < dim:
+            e = min(at + columns, dim)
+            if pairs is None:
+                partial += q_turned[:, at:e] @ turned[:, at:e].T
+            else:
+                partial += np.einsum("ij,ij->i", q_turned[pairs[0], at:e], turned[pairs[1], at:e])
+            at = e
+            if e == dim or not (floor > -np.inf).any():
+                continue
+            stray = math.sqrt((1 / e) * (1 - e / dim))
+            if pairs is None:
+                alive = partial * (dim / e) + spread * stray >= held
+                if 4 * np.count_nonzero(alive) < alive.size:
+                    pairs = np.nonzero(alive)
+                    partial = partial[pairs]
+            else:
+                alive = partial * (dim / e) + spread[pairs] * stray >= floor[pairs[0]]
+                pairs, partial = (pairs[0][alive], pairs[1][alive]), partial[alive]
+        if pairs is None:
+            pairs = np.nonzero(np.ones(scale.shape, bool))
+            partial = partial.ravel()
+        alive = (partial >= floor[pairs[0]] - 1e-9) & (ids[pairs[1]] != qids[pairs[0]])
+        q, i = pairs[0][alive], pairs[1][alive]
+        exact = np.einsum("ij,ij->i", q_raw[q], raw[i])
+        ok = exact >= floor[q]
+        return q[ok], ids[i[ok]], exact[ok]
 
     def run(batches):
         key, held, cand = None, [], None
@@ -93,23 +116,24 @@ def _scan(index: Index, k: int, columns: int, errors: float):
                         c = pd.concat(held)
                         raw = as_matrix(c["v"], index.dim)
                         cand = (c["vec_id"].to_numpy(), raw, raw @ index.turn, np.sqrt((raw * raw).sum(1)))
-                    if found := answer(cand, part[is_query]):
-                        yield pd.concat(found, ignore_index=True)
+                    asked = part[is_query]
+                    for lo in range(0, len(asked), 256):
+                        yield answer(cand, asked.iloc[lo : lo + 256])
 
     return run
 
 
-def search(table: DataFrame, is_query, k: int = 20, target: float = 0.98, sample_rows: int = 20_000, sample_queries: int = 128, chunk: int = 4096, columns: int = 16, errors: float = 2.5, seed: int = 11) -> DataFrame:
+def search(table: DataFrame, is_query, k: int = 20, target: float = 0.95, sample_rows: int = 20_000, sample_queries: int = 128, chunk: int = 4096, columns: int = 16, errors: float = 2.5, seed: int = 11) -> DataFrame:
     """``query_id, rank, vec_id, score`` for the rows where ``is_query`` (a condition on vec_id) holds, against all rows."""
     spark = table.sparkSession
     ship(spark)
     rows, dim = usable(table)
     if not dim:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double, lists int, probed int")
     rows = materialise(rows, "vectors")
     n = rows.count()
     picked = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows).collect()
-    index = Index(matrix(r["v"] for r in picked), max(1, min(4096, round(math.sqrt(n) / 3))), seed)
+    index = Index(matrix(r["v"] for r in picked), max(1, min(4096, round(math.sqrt(n) / 2))), seed)
 
     def assign(batches):
         for pdf in batches:
@@ -144,7 +168,7 @@ def search(table: DataFrame, is_query, k: int = 20, target: float = 0.98, sample
     floors = first.withColumn("rank", ranked).where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"), "score")
     rest = routed.join(floors, "vec_id", "left").select("vec_id", "v", F.explode(F.slice("lists", 2, len(counts) + 1)).alias("list"), F.coalesce("score", none).alias("floor"))
     found = first.unionByName(scan(rest))
-    return found.withColumn("rank", ranked.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return found.withColumn("rank", ranked.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", F.lit(len(sizes)).alias("lists"), F.lit(probes).alias("probed"))
 
 
 def brute_force(listed: DataFrame, ids: np.ndarray, queries: np.ndarray, k: int) -> DataFrame:
