@@ -69,8 +69,13 @@ def _linker(space: Subspaces, threshold: float):
     def pairs(j: int, x: tuple, y: tuple, same: bool):
         """Linked pairs (row of x, row of y) that block j is the first to find."""
         cols, found = space.columns[j], []
+        # |a - b|^2 <= budget as one product in single precision: a.b - |a|^2/2 - |b|^2/2 >= -budget/2, with room for rounding; what passes is compared again in double precision.
+        left, right = x[2][:, cols], y[2][:, cols]
+        left = np.column_stack([left, -(left * left).sum(1) / 2, np.ones(len(left))]).astype(np.float32)
+        right = np.ascontiguousarray(np.column_stack([right, np.ones(len(right)), -(right * right).sum(1) / 2]).astype(np.float32).T)
+        least = np.float32(-space.budget[j] / 2 - 1e-5)
         for lo in range(0, len(x[0]), 512):
-            near = distances(x[2][lo : lo + 512, cols], y[2][:, cols]) <= space.budget[j] + 1e-9
+            near = left[lo : lo + 512] @ right >= least
             if same:
                 near &= np.arange(lo, min(lo + 512, len(x[0])))[:, None] < np.arange(len(y[0]))
             rows, others = np.nonzero(near)
