@@ -11,60 +11,61 @@ from pyspark.sql import DataFrame, SparkSession, functions as F
 from twinfold.llm import line_dedup, mixing, ngram_join, packing, toxicity
 from twinfold.llm.queries import vocabulary
 from twinfold.plans.bitmaps import drop_rows
-from twinfold.plans.shipping import ship
+from twinfold.plans.columns import Carried
 from twinfold.plans.storage import materialise
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the nearest labelled examples call toxic go; all others stay as they are."""
-    ship(spark)
+    """Documents that the nearest labelled examples call toxic go; all others stay as they are.
+
+    Null and empty texts get the label's share among such examples and go only if that is a half or more; repeated rows go or stay together; without labels, and of an empty table, all stays.
+    """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     return toxicity.without(docs, toxicity.fit(docs, labels))
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Later copies of repeated line runs leave the texts; a document that keeps no line goes, one that never had any stays."""
-    left = line_dedup.dedupe(_wrapped(docs, "doc_id", "text")).where(~F.coalesce("emptied", F.lit(False)))
-    return _unwrapped(docs, left)
+    """Later copies of repeated line runs leave the texts; a document that keeps no line goes, one that never had any stays.
+
+    Null and empty texts stay; of repeated rows the first keeps its lines; null doc_ids come last; a count of characters ``n_chars`` follows the text; an empty table stays empty.
+    """
+    carried = Carried(docs, "doc_id", "text")
+    left = line_dedup.dedupe(carried.rows).where(~F.coalesce("emptied", F.lit(False)))
+    return _counted(docs, left.select(*carried.back()))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays."""
-    ship(spark)
-    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "documents")
-    found = ngram_join.near_duplicates(rows.select(F.col("_row").alias("doc_id"), "text"))
-    gone = materialise(found.where("not kept").select(F.col("doc_id").alias("_row")), "gone")
-    return drop_rows(rows, gone, "_row").drop("_row")
+    """One document of each group of near-duplicates stays, all its columns as they were.
+
+    Texts without a five-word shingle are compared as wholes; null and empty texts stay; rows are told apart even where doc_ids are null or repeated; an empty table stays empty.
+    """
+    carried = Carried(docs, "text")
+    rows = materialise(carried.rows.withColumn("row", F.monotonically_increasing_id()), "documents")
+    found = ngram_join.near_duplicates(rows.select(F.col("row").alias("doc_id"), "text"))
+    gone = materialise(found.where("not kept").select(F.col("doc_id").alias("row")), "gone")
+    return drop_rows(rows, gone, "row").select(*carried.back())
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them: source weights 5, 2, 1, 150 % of all words, at most twice each."""
-    return _unwrapped(docs, mixing.replicate(mixing.mix(_wrapped(docs, "doc_id", "text", "source")), ["payload", "text"]), same_text=True)
+    """Documents as often as the mix takes them: source weights 5, 2, 1, 150 % of all words, at most twice each.
+
+    Texts without a word have size 0 and come once; a null source is a source of its own, last in order; repeated rows are documents of their own; an empty table stays empty.
+    """
+    carried = Carried(docs, "doc_id", "text", "source")
+    return mixing.replicate(mixing.mix(carried.rows), carried.rows.columns).select(*carried.back())
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mix as sequences of at most 1024 tokens; one row a piece."""
-    ship(spark)
+    """The mix as sequences of at most 1024 tokens; one row a piece. Null text is empty text; an empty table gives an empty result."""
     return packing.pack_documents(docs, *vocabulary())
 
 
-def _wrapped(docs: DataFrame, *own: str) -> DataFrame:
-    """What an operator needs, and all columns but the text in one struct: no name of theirs meets a name of the operator's."""
-    rest = [c for c in docs.columns if c != "text"]
-    return docs.select(*own, F.struct(*rest).alias("payload"))
-
-
-def _unwrapped(docs: DataFrame, rows: DataFrame, same_text: bool = False) -> DataFrame:
-    """The columns of ``docs`` again; where the text has changed and there is a count of characters, the count follows."""
-    out = []
-    for c in docs.columns:
-        if c == "text":
-            out.append(F.col("text"))
-        elif c == "n_chars" and not same_text:
-            out.append(F.when(F.col("payload.n_chars").isNotNull(), F.length("text")).cast(docs.schema[c].dataType).alias(c))
-        else:
-            out.append(F.col(f"payload.`{c}`").alias(c))
-    return rows.select(*out)
+def _counted(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """The same columns; where there is one count of characters, it follows the text."""
+    if [c.lower() for c in docs.columns].count("n_chars") != 1 or [c.lower() for c in docs.columns].count("text") != 1:
+        return rows
+    name = next(c for c in docs.columns if c.lower() == "n_chars")
+    return rows.withColumn(name, F.when(F.col("n_chars").isNotNull(), F.length("text")).cast(docs.schema[name].dataType))
 
 
 STAGES = [
