@@ -2,7 +2,8 @@
 
 A lost executor takes its cached blocks and shuffle files with it. Whatever an iteration or a
 second pass needs again is therefore written as Parquet below the folder that the session names
-in ``spark.checkpoint.dir``; only where that is unset (tests, notebooks) a folder of our own is made.
+in ``spark.checkpoint.dir``. Only where that is unset and driver and executors are one process (tests, notebooks) a folder of our own is made; on a cluster
+an unset folder is an error, since executors would write to disks of their own.
 """
 
 from __future__ import annotations
@@ -20,6 +21,9 @@ def shared_dir(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None)
     if base:
         return base.rstrip("/")
+    master = spark.sparkContext.master
+    if not (master == "local" or master.startswith("local[")):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
         _OWN[app] = "file://" + tempfile.mkdtemp(prefix="twinfold-")
@@ -29,13 +33,18 @@ def shared_dir(spark: SparkSession) -> str:
 def materialise(df: DataFrame, name: str = "cut") -> DataFrame:
     """Write once, read back: the result's lineage is a file scan. Deterministic rows from here on."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/twinfold/{name}-{uuid.uuid4().hex}"
+    path = fresh(spark, name)
     df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._twinfold_path = path
     return out
 
 
+def fresh(spark: SparkSession, name: str) -> str:
+    """A path of its own below the shared folder."""
+    return f"{shared_dir(spark)}/twinfold/{name}-{uuid.uuid4().hex}"
+
+
 def discard(*frames: DataFrame) -> None:
     """Delete intermediate tables that nothing reads any more (through Spark's file system)."""
     for df in frames:
