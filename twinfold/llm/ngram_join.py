@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from ..plans.bitmaps import reduce_by
 from ..plans.components import connected
 from ..plans.storage import discard, materialise
-from .shared import per_text
+from .shared import per_text, pieces
 
 _GAP = re.compile(r"\W+")
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -54,11 +54,8 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def shingle_hashes(text: str | None, words: int = 5) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of the text's shingles: differences of one running polynomial over its bytes."""
-    flat = _GAP.sub(" ", text.lower()).strip() if isinstance(text, str) else ""
-    if not flat:
-        return np.zeros(0, np.uint64)
+def _runs(flat: str, words: int) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the runs of ``words`` words in words with single spaces between them: differences of one running polynomial over the bytes."""
     raw = np.frombuffer(flat.encode("utf-8", "surrogatepass"), np.uint8)
     gaps = np.flatnonzero(raw == 32)
     starts, ends = np.concatenate([[0], gaps + 1]), np.concatenate([gaps, [len(raw)]])
@@ -66,8 +63,27 @@ def shingle_hashes(text: str | None, words: int = 5) -> np.ndarray:
     a, b = starts[: len(starts) - k + 1], ends[k - 1 :]
     run = np.zeros(len(raw) + 1, np.uint64)
     np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * _powers("up", _BASE, len(raw)), out=run[1:])
-    value = (run[b] - run[a]) * _powers("down", _INVERSE, len(raw))[a]
-    return np.unique(_mixed(value))
+    return np.unique(_mixed((run[b] - run[a]) * _powers("down", _INVERSE, len(raw))[a]))
+
+
+def shingle_hashes(text: str | None, words: int = 5) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the text's shingles. A very long text goes piece by piece, each with the last words of the one before, so that only its hashes grow with it."""
+    out, tail, full = [], "", False
+    for piece in pieces(text):
+        flat = _GAP.sub(" ", piece.lower()).strip()
+        if not flat:
+            continue
+        flat = f"{tail} {flat}" if tail else flat
+        last = flat.rsplit(" ", words - 1)
+        if len(last) == words:  # that many words at least
+            full = True
+            out.append(_runs(flat, words))
+            tail = " ".join(last[1:])
+        else:
+            tail = flat
+    if not full:
+        return _runs(tail, words) if tail else np.zeros(0, np.uint64)
+    return out[0] if len(out) == 1 else np.unique(np.concatenate(out))
 
 
 def _lines(coordinates: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
