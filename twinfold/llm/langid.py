@@ -11,30 +11,62 @@ labelled texts everything is ``und``; an empty table gives an empty result. ``la
 from __future__ import annotations
 
 import re
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import held_out, per_text
+from ..plans.shipping import ship
+from .shared import held_out, per_text, pieces
 
 _REST = re.compile(r"[\W\d_]+")
 RESULT = "lang_pred string, score double, rejected boolean"
 
 
-def subwords(text: str | None, bits: int) -> np.ndarray:
-    """Rows of the embedding, one for each n-gram of the whole text; empty without a letter."""
+def subword_blocks(text: str | None, bits: int) -> Iterator[np.ndarray]:
+    """Rows of the embedding, one for each n-gram of the whole text, in blocks of bounded size; nothing without a letter. Blocks share the bytes that an n-gram across them needs."""
     if not isinstance(text, str) or not any(map(str.isalpha, text)):
-        return np.zeros(0, np.int64)
-    b = np.frombuffer((" " + _REST.sub(" ", text.lower()).strip() + " ").encode("utf-8", "surrogatepass"), np.uint8).astype(np.uint64)
-    out = []
-    for n in (3, 4):
-        if len(b) >= n:
-            h = np.zeros(len(b) - n + 1, np.uint64)
-            for i in range(n):
-                h = h * np.uint64(0x100000001B3) + b[i : len(b) - n + 1 + i] + np.uint64(n)
-            out.append(((h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - bits)).astype(np.int64))
-    return np.concatenate(out) if out else np.zeros(0, np.int64)
+        return
+    held = b""  # the last bytes of what is done
+    for piece in (*pieces(text), None):
+        if piece is None:
+            new = b" "
+        else:
+            flat = _REST.sub(" ", piece.lower()).strip()
+            if not flat:
+                continue
+            new = (" " + flat).encode("utf-8", "surrogatepass")
+        b = np.frombuffer(held + new, np.uint8).astype(np.uint64)
+        for n in (3, 4):
+            lo = max(0, len(held) - n + 1)
+            if len(b) - lo >= n:
+                h = np.zeros(len(b) - lo - n + 1, np.uint64)
+                for i in range(n):
+                    h = h * np.uint64(0x100000001B3) + b[lo + i : len(b) - n + 1 + i] + np.uint64(n)
+                yield ((h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - bits)).astype(np.int64)
+        held = (held + new)[-3:]
+
+
+def subwords(text: str | None, bits: int) -> np.ndarray:
+    """All rows of a text at once."""
+    return np.concatenate([np.zeros(0, np.int64), *subword_blocks(text, bits)])
+
+
+def sampled(text: str | None, bits: int, window: int, windows: int, seed: int) -> list[np.ndarray]:
+    """``windows`` sorted samples of ``window`` rows from the whole text, its rows counted first and never held together; a short text repeats itself."""
+    total = sum(len(x) for x in subword_blocks(text, bits))
+    if not total:
+        return []
+    rng = np.random.default_rng(seed)
+    picks = [np.sort(rng.choice(total, window, replace=total < window)) for _ in range(windows)]
+    out, at = [np.zeros(window, np.int64) for _ in picks], 0
+    for block in subword_blocks(text, bits):
+        for rows, pick in zip(out, picks):
+            own = (pick >= at) & (pick < at + len(block))
+            rows[own] = block[pick[own] - at]
+        at += len(block)
+    return [np.sort(x) for x in out]
 
 
 class Model:
@@ -48,12 +80,14 @@ class Model:
     def logits(self, means: np.ndarray) -> np.ndarray:
         return means @ self.weight + self.bias
 
-    def mean(self, rows: np.ndarray) -> np.ndarray:
-        """In blocks, so that a very long text needs bounded memory."""
-        total = np.zeros(self.embedding.shape[1])
-        for i in range(0, len(rows), 65_536):
-            total += self.embedding[rows[i : i + 65_536]].sum(axis=0, dtype=np.float64)
-        return total / len(rows)
+    def mean(self, blocks: Iterable[np.ndarray]) -> np.ndarray | None:
+        """Of all rows of all blocks; None without a row."""
+        total, n = np.zeros(self.embedding.shape[1]), 0
+        for block in blocks:
+            n += len(block)
+            for i in range(0, len(block), 65_536):
+                total += self.embedding[block[i : i + 65_536]].sum(axis=0, dtype=np.float64)
+        return total / n if n else None
 
     def probabilities(self, logits: np.ndarray) -> np.ndarray:
         z = logits / self.temperature
@@ -107,6 +141,7 @@ def calibrate(model: Model, logits: np.ndarray, y: np.ndarray, precision: float)
 
 def fit(docs: DataFrame, per_language: int = 1200, max_documents: int = 6000, max_languages: int = 500, least: int = 50, window: int = 400, windows: int = 3, bits: int = 16, dim: int = 16, precision: float = 0.98, seed: int = 29) -> Model | None:
     """Learns from about ``per_language`` documents of each language (by hash of doc_id) and their ``lang``, ``max_documents`` in all, but no less than about ``least`` of each: the driver's share does not grow with the corpus. Every value of ``lang`` is a class; more than ``max_languages`` of them are an error."""
+    ship(docs.sparkSession)
     own = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).where(~held_out()).select(F.xxhash64("doc_id").alias("_h"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     counts = own.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(max_languages + 1).collect()
     if not counts:
@@ -118,35 +153,30 @@ def fit(docs: DataFrame, per_language: int = 1200, max_documents: int = 6000, ma
     limits = docs.sparkSession.createDataFrame([(r["lang"], min(1.0, per_language / r["n"])) for r in counts], "lang string, keep double")
     chosen = own.join(F.broadcast(limits), "lang").where(F.pmod(F.col("_h"), F.lit(1 << 30)) < F.col("keep") * (1 << 30))
 
-    def pieces(batches):
-        """Windows of subwords, spread over the whole text; a short text repeats itself to a window."""
+    def samples_of(batches):
+        """Windows of subwords, spread over the whole text."""
         for pdf in batches:
-            out = []
-            for h, lang, text in zip(pdf["_h"], pdf["lang"], pdf["text"]):
-                rows = subwords(text, bits)
-                if len(rows):
-                    rng = np.random.default_rng(abs(int(h)))
-                    out += [(h, lang, np.sort(rng.choice(rows, window, replace=len(rows) < window)).astype("<i4").tobytes()) for _ in range(windows)]
-            yield pd.DataFrame(out, columns=["h", "lang", "rows"])
+            found = [(h, lang, x) for h, lang, text in zip(pdf["_h"], pdf["lang"], pdf["text"]) for x in sampled(text, bits, window, windows, abs(int(h)))]
+            yield pd.DataFrame([(h, lang, x.astype("<i4").tobytes()) for h, lang, x in found], columns=["h", "lang", "rows"])
 
     bound = 2 * per_language * windows * len(languages)
-    got = chosen.mapInPandas(pieces, "h long, lang string, rows binary").orderBy("h", "rows").limit(bound).collect()
+    got = chosen.mapInPandas(samples_of, "h long, lang string, rows binary").orderBy("h", "rows").limit(bound).collect()
     if not got:
         return None
     code = {lang: i for i, lang in enumerate(languages)}
     samples = [(np.frombuffer(r["rows"], "<i4"), code[r["lang"]], r["h"] % 10 == 0) for r in got]
     model = train([(x, y) for x, y, aside in samples if not aside] or [(x, y) for x, y, _ in samples], languages, bits, dim, seed=seed)
     aside = [(x, y) for x, y, a in samples if a] or [(x, y) for x, y, _ in samples]
-    calibrate(model, model.logits(np.stack([model.mean(x) for x, _ in aside])), np.array([y for _, y in aside]), precision)
+    calibrate(model, model.logits(np.stack([model.mean([x]) for x, _ in aside])), np.array([y for _, y in aside]), precision)
     return model
 
 
 def predict(docs: DataFrame, model: Model | None) -> DataFrame:
     def one(text: str | None) -> tuple[str, float, bool]:
-        rows = subwords(text, model.bits) if model else ()
-        if not len(rows):
+        mean = model.mean(subword_blocks(text, model.bits)) if model else None
+        if mean is None:
             return "und", 0.0, True
-        p = model.probabilities(model.logits(model.mean(rows)[None]))[0]
+        p = model.probabilities(model.logits(mean[None]))[0]
         best = int(p.argmax())
         return model.languages[best], float(p[best]), bool(p[best] < model.reject_at)
 
