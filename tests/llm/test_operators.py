@@ -136,6 +136,42 @@ def test_mixing_moments_tilt_rates(spark):
     assert all(0 <= r["rate"] <= 2 and r["copies"] in (0, 1, 2) for r in rows)
 
 
+def test_mixing_rates_solve_the_dual(spark, data):
+    """Rates equal those of a plain solver: for a tilt b every source's multiplier by bisection, b itself by bisection on its own condition."""
+    rows = queries.op2_entropy_mixing(spark, data).select("doc_id", "size", "target", "source_size", "rate").collect()
+    source = {r["doc_id"]: r["source"] for r in spark.read.parquet(f"{data}/documents.parquet").collect()}
+    own = defaultdict(list)
+    for r in rows:
+        own[source[r["doc_id"]]].append(r)
+    size = np.array([r["size"] for r in rows if r["size"] > 0], float)
+    mean = (size * np.log(size)).sum() / size.sum()
+    spread = math.sqrt((size * np.log(size) ** 2).sum() / size.sum() - mean**2)
+    live = {s: (np.array([r["size"] for r in x], float), x[0]["target"]) for s, x in own.items() if 0 < x[0]["target"] < 2 * x[0]["source_size"] * (1 - 1e-12)}
+    z = {s: (np.log(np.maximum(n, 1)) - mean) / spread for s, (n, _) in live.items()}
+    every = [(np.array([r["size"] for r in x], float)) for x in own.values()]
+    total = sum(t for _, t in live.values())
+    goal = total * sum((n * (np.log(np.maximum(n, 1)) - mean) / spread).sum() for n in every) / sum(n.sum() for n in every)
+
+    def multiplier(s, b):
+        n, target = live[s]
+        lo, hi = -60.0, 60.0
+        for _ in range(200):
+            a = (lo + hi) / 2
+            lo, hi = (a, hi) if (n * np.minimum(2, np.exp(a + b * z[s]))).sum() < target else (lo, a)
+        return a
+
+    lo, hi = -5.0, 5.0
+    for _ in range(80):
+        b = (lo + hi) / 2
+        a = {s: multiplier(s, b) for s in live}
+        slope = goal - sum((live[s][0] * np.minimum(2, np.exp(a[s] + b * z[s])) * z[s]).sum() for s in live) - 0.05 * total * b
+        lo, hi = (b, hi) if slope > 0 else (lo, b)
+    assert len(live) > 3
+    for s in live:
+        for r, zi in zip(own[s], z[s]):
+            assert abs(r["rate"] - min(2, math.exp(a[s] + b * zi))) < 1e-4, (s, r)
+
+
 def test_mixing_odd_and_empty(spark):
     rows = mixing.mix(odd(spark)).collect()
     assert len(rows) == 12 and all(r["taken"] <= 2 * r["size"] for r in rows) and {r["size"] for r in rows if r["text"] is None} == {0}
@@ -213,6 +249,43 @@ def test_ngram_odd_and_empty(spark):
     assert ngram_join.near_duplicates(none(odd(spark))).count() == 0
 
 
+def test_long_texts_go_in_pieces(spark, monkeypatch):
+    """Pieces of any size give the same shingles, subwords and word counts as the whole text at once."""
+    from twinfold.llm import shared
+
+    rng = np.random.default_rng(6)
+    text = " ".join("".join(map(chr, rng.integers(97, 117, rng.integers(1, 9)))) + ("," if rng.random() < 0.1 else "") for _ in range(3000)) + "\n\u00e9t\u00e9 end"
+    whole = ngram_join.shingle_hashes(text), np.sort(langid.subwords(text, 16))
+    terms = toxicity.Terms(sorted(set(re.findall(r"\w+", text.lower()))))
+    counts = terms.counts(text)
+    assert counts[1].sum() == len(re.findall(r"\w+", text))
+    for size in (7, 50, 1000):
+        cut = lambda t, size=size, f=shared.pieces: f(t, size)
+        for module in (ngram_join, langid, toxicity):
+            monkeypatch.setattr(module, "pieces", cut)
+        assert "".join(cut(text)) == text
+        assert np.array_equal(ngram_join.shingle_hashes(text), whole[0]) and np.array_equal(np.sort(langid.subwords(text, 16)), whole[1])
+        assert all(np.array_equal(a, b) for a, b in zip(terms.counts(text), counts))
+        monkeypatch.undo()
+    few = ngram_join.shingle_hashes("one two   three")
+    assert len(few) == 1 and np.array_equal(few, ngram_join.shingle_hashes("One, two three!"))
+
+
+def test_a_text_of_fifty_megabytes_needs_bounded_memory():
+    """Beyond the text itself, its shingles' hashes and a few pieces."""
+    import tracemalloc
+
+    text = ("alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu " * 800_000)[: 50 << 20]
+    model = langid.Model(["a", "b"], 16, 16, 1)
+    tracemalloc.start()
+    for work in (lambda: ngram_join.shingle_hashes(text), lambda: model.mean(langid.subword_blocks(text, 16)), lambda: toxicity.Terms(["alpha", "mu"]).counts(text)):
+        tracemalloc.reset_peak()
+        before = tracemalloc.get_traced_memory()[0]
+        work()
+        assert tracemalloc.get_traced_memory()[1] - before < 300e6
+    tracemalloc.stop()
+
+
 # ---- toxicity, quality, language
 
 def test_block_max_index_is_exact():
@@ -514,6 +587,48 @@ def test_sharding_odd_and_empty(spark):
     assert len({(r["shard"], r["slot"]) for r in rows}) == 12 and sharding.assign(none(odd(spark))).count() == 0
 
 
+def test_sharding_is_plain_rendezvous_hashing(spark, data):
+    """The query's shards, with eight and with nine, are the winners of the races computed in plain Python; sizes and checksums too."""
+    import hashlib
+
+    def winner(key, n):
+        return min((-math.log((int(hashlib.md5(f"{key}:{i}".encode()).hexdigest()[:15], 16) + 0.5) / (1 << 60)), i) for i in range(n))[1]
+
+    text = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{data}/documents.parquet").collect()}
+    rows = queries.op7_rendezvous_sharding(spark, data).collect()
+    for r in rows:
+        assert (r["shard"], r["grown_shard"]) == (winner(r["doc_id"], 8), winner(r["doc_id"], 9))
+        assert r["text_crc32"] == zlib.crc32(text[r["doc_id"]].encode()) and r["size"] == len(text[r["doc_id"]].encode()) + 1
+    for s in range(8):
+        assert sorted(r["slot"] for r in rows if r["shard"] == s) == list(range(sum(r["shard"] == s for r in rows)))
+
+
+#: Names that operators use themselves, in other case, with dots.
+NAMES = ["_m", "_first", "Size", "_uid", "_row", "_hit", "_byte", "hit_it", "payload", "a.b", "row", "mark", "LINES", "copies_", "_s", "_c", "uid", "u"]
+
+
+def test_no_column_name_disturbs_an_operator(spark, data):
+    d = spark.createDataFrame([(i, f"w{i} and x{i} one two three four\nline {i}\nsame words of a line here", f"s{i % 3}") for i in range(30)], "doc_id long, text string, source string")
+    wide = d.select("*", *[F.concat(F.lit(f"{k}:"), F.col("doc_id").cast("string")).alias(n) for k, n in enumerate(NAMES)])
+
+    def check(out, taken=()):
+        kept = [n for n in NAMES if n.lower() not in taken]
+        assert [c for c in out.columns if c in NAMES] == kept
+        for r in out.toDF(*[f"c{i}" for i in range(len(out.columns))]).collect():
+            row = dict(zip(out.columns, r))
+            for n in kept:
+                assert row[n] == f"{NAMES.index(n)}:{row['doc_id']}", n
+
+    check(sharding.assign(wide), {"size"})
+    check(line_dedup.dedupe(wide), {"lines"})
+    check(mixing.mix(wide), {"size"})
+    now = wide
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        now = stage(spark, now, data)
+        assert now.columns == wide.columns
+        check(now)
+
+
 # ---- line dedup
 
 def test_line_dedup_is_its_sql(spark):
