@@ -416,7 +416,7 @@ def test_toxicity_learns_the_words_of_every_language(spark):
     """Each small language has far fewer toxic rows than an absolute chi-squared of 50 asks for."""
     docs, lab, truth = toxic_corpus(spark, 0.15, n=700)
     model = toxicity.fit(docs, lab)
-    assert set(TOXIC_WORDS.values()) <= set(model.terms.names)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms.names.to_pylist())
     train = [i for i in truth if zlib.crc32(str(i).encode()) % 5]
     assert len(model.ids) == len(train) == len(model.counts)
     got = {r["doc_id"]: r["predicted"] for r in toxicity.predict(docs.select("doc_id", "text"), lab).collect()}
@@ -431,7 +431,7 @@ def test_toxicity_with_balanced_or_mostly_toxic_labels(spark, rate):
     """The common label does not swallow the other one."""
     docs, lab, truth = toxic_corpus(spark, rate)
     model = toxicity.fit(docs, lab)
-    assert set(TOXIC_WORDS.values()) <= set(model.terms.names)
+    assert set(TOXIC_WORDS.values()) <= set(model.terms.names.to_pylist())
     kept = {r["doc_id"] for r in toxicity.without(docs, model).select("doc_id").collect()}
     assert np.mean([i in kept for i, (y, _) in truth.items() if not y]) >= 0.8
     assert np.mean([i in kept for i, (y, _) in truth.items() if y]) <= 0.2

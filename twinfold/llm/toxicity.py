@@ -25,6 +25,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -46,21 +47,17 @@ def term(word: str) -> str:
 
 
 class Terms:
-    """The known terms, sorted; a worker makes its dictionary once."""
+    """The known terms, sorted, as one Arrow array; only who looks words up makes a dictionary of them."""
 
     def __init__(self, names: list[str]):
-        self.names = names
+        self.names = pa.array(names, pa.string())
 
-    def __getstate__(self) -> bytes:
-        return zlib.compress("\n".join(self.names).encode("utf-8", "surrogatepass"), 1)
-
-    def __setstate__(self, state: bytes) -> None:
-        text = zlib.decompress(state).decode("utf-8", "surrogatepass")
-        self.names = text.split("\n") if text else []
+    def __getstate__(self) -> dict:
+        return {"names": self.names}
 
     @functools.cached_property
     def number(self) -> dict[str, int]:
-        return {t: i for i, t in enumerate(self.names)}
+        return {t: i for i, t in enumerate(self.names.to_pylist())}
 
     def _of(self, words) -> np.ndarray:
         """Numbers of distinct words, -1 for unknown ones."""
@@ -243,6 +240,8 @@ class Model:
             v /= np.sqrt(np.bincount(row, weights=v * v))[row]
             t[at : at + len(own)], x[at : at + len(own)] = own, v
             at += len(own)
+        if TaskContext.get() is not None:
+            self.counts = None  # a worker has no further use for them
         return BlockMaxIndex((self.length, t, x), self.ids, self.labels, weight=self.weight)
 
     def calibrate(self, spark: SparkSession) -> None:
@@ -264,6 +263,12 @@ class Model:
         self.curve = fit_logistic(logit(np.array([r["vote"] for r in rows]))[:, None], np.array([r["y"] for r in rows], float), np.ones(len(rows)))
         self.curve[0] = max(self.curve[0], 0.0)
 
+    def release(self) -> None:
+        """Take the model from the executors; the next use sends it again."""
+        if self.shared is not None:
+            self.shared.unpersist()
+            self.shared = None
+
     def vector(self, t: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Unit vector of sorted terms and their counts."""
         v = (1 + np.log(n)) * self.weight[t]
@@ -389,6 +394,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     full = labelled.slice(len(empty))  # those without a term come first
     model = Model(terms, weight, *[full[c].to_numpy() for c in ("doc_id", "label", "length")], full["counts"].to_pylist(), (len(empty), int(pc.sum(empty["label"]).as_py() or 0)), k)
     del labelled, full
+    known.destroy()
+    weights.destroy()
     model.calibrate(spark)
     model.corpus, model.fitted = corpus, docs
     discard(own)
@@ -397,7 +404,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
 
 def _votes(rows: DataFrame, model: Model, work, schema: str) -> DataFrame:
     """Run ``work(model, remembered scores by mark, batch)`` over packed counts."""
-    shared, curve = model.shared or rows.sparkSession.sparkContext.broadcast(model), model.curve
+    model.shared = shared = model.shared or rows.sparkSession.sparkContext.broadcast(model)
+    curve = model.curve
 
     def run(batches):
         model = shared.value
@@ -416,7 +424,7 @@ def _score(model: Model, known: dict, mark: str, counts: bytes) -> tuple[float,
     if hit is None:
         t, n = _unpacked(counts)
         strong = np.sort(t[np.argsort(-model.weight[t], kind="stable")[:20]])
-        hit = known[mark] = (*model.score(t, n), [model.terms.names[i] for i in strong])
+        hit = known[mark] = (*model.score(t, n), model.terms.names.take(pa.array(strong, pa.int32())).to_pylist())
     return hit
 
 
@@ -450,6 +458,7 @@ def without(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
 
     ship(docs.sparkSession)
     gone = materialise(_votes(_of(docs, model).select("mark", "counts"), model, work, "mark string").distinct(), "rejected")
+    model.release()
     text = F.coalesce(F.md5(F.col("text").cast("string").cast("binary")), F.lit(""))
     carried = Carried(docs, mark=text)
     return drop_rows(carried.rows, gone, "mark").select(*carried.back())
