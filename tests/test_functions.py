@@ -146,3 +146,67 @@ def test_scan_binary_reads_every_file(spark, data):
 
     want = sorted((f, os.path.getsize(os.path.join(at, f))) for at, _, names in os.walk(data) for f in names if not f.startswith((".", "_")))
     assert sorted((r["file"], r["length"]) for r in more_methods.scan_binary(spark, data).select("file", "length").collect()) == want and len(want) > 1
+
+
+def test_renders_are_hashed_as_in_numpy_and_matched_as_by_brute_force(spark, data):
+    """Both image hashes of renders and edits, and region matches at the default settings, by tiles of several sizes and, at a strict setting, by bands."""
+    from twinfold.plans.storage import materialise
+    from twinfold.sources import images
+
+    e = spark.read.parquet(f"{data}/embeddings.parquet").where("vec_id < 40")
+    edits = ("identity", "noise", "crop")
+    hashed = materialise(images.hashes(images.rendered(e, edits, 64)), "hashed")
+    got = {r["image_id"]: r for r in hashed.collect()}
+    want = {}
+    for r in e.collect():
+        base = render(r["embedding"], 64)
+        for k, how in enumerate(edits):
+            x = edit(base, how, r["vec_id"])
+            want[10 * r["vec_id"] + k] = ar.pack(ar.dct_bits(ar.box_resize(x, 32, 32)[None]))[0].tolist(), segment_hashes(x)
+    assert {i: ([r["hi"], r["lo"]], list(r["segments"])) for i, r in got.items()} == want
+
+    def brute(cutoff, limit):
+        out = set()
+        for a in want:
+            for b in want:
+                if a < b:
+                    left, right = (np.array(sorted(set(want[i][1])), np.int64).view(np.uint64) for i in (a, b))
+                    d = np.bitwise_count(left[:, None] ^ right[None, :]).min(axis=1)
+                    if (d <= limit).sum() >= cutoff:
+                        out.add((a, b, int((d <= limit).sum()), int(d[d <= limit].sum())))
+        return out
+
+    for block in (4096, 37):
+        assert set(map(tuple, images.segment_matches(hashed, block=block).collect())) == brute(1, 16)
+    assert set(map(tuple, images.segment_matches(hashed, 2, 0.05).collect())) == brute(2, 3)
+
+
+def test_long_and_gradient_hashes_against_plain_versions(spark):
+    import hashlib
+
+    from twinfold.sources import catalog
+
+    texts = ["one two three two", "", "Word " * 300 + "other", "a b c d e f g h 1 2 3"]
+    corpus = spark.createDataFrame(list(enumerate(texts)), "image_id long, content string")
+    long_ = {r["image_id"]: list(r["words"]) for r in catalog.long_hash(corpus).collect()}
+    grad = {r["image_id"]: (r["hi"], r["lo"]) for r in catalog.gradient_hash(corpus).collect()}
+    for i, t in enumerate(texts):
+        digits = [int(hashlib.md5(w.encode()).hexdigest()[:3], 16) for w in t.lower().split()]
+        count = np.zeros(1024, int)
+        for d in digits:
+            count[d % 1024] += 1
+        assert long_[i] == ar.pack(ar.dct_bits(ar.luminance(count).reshape(1, 32, 32), 16))[0].tolist()
+        cells = [[sum(d % 72 == 9 * r + c for d in digits) for c in range(9)] for r in range(8)]
+        bits = "".join("1" if cells[r][c + 1] > cells[r][c] else "0" for r in range(8) for c in range(8))
+        assert grad[i] == (int(bits[:32], 2), int(bits[32:], 2))
+
+
+def test_region_hash_of_text_ignores_short_lines_and_case(spark):
+    from twinfold.sources import catalog
+
+    rows = [(0, "One two three four five\nshort line\nsix seven eight nine ten"), (1, "one TWO three, four five\n\nsix seven eight nine ten"), (2, "six seven eight nine ten\none two three four five"), (3, "a b"), (4, "a b")]
+    c = spark.createDataFrame([("d", i, str(i), "s", t) for i, t in rows], "dataset string, image_id long, path string, subject string, content string")
+    got = {r["image_id"]: r for r in catalog.sign(c, ("segment",)).collect()}
+    assert got[0]["seg"] == got[1]["seg"] != got[2]["seg"] and got[3]["seg"] == got[4]["seg"] and got[3]["aseg"] is None and got[0]["hi"] is None and got[0]["vec"] is None
+    with pytest.raises(ValueError):
+        catalog.sign(c, ("nothing",))

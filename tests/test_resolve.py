@@ -6,12 +6,12 @@ from pyspark.sql import functions as F
 from twinfold.operators import baselines, biometrics as bio, detect as det, resolve as res, stats
 from twinfold.plans.components import connected
 
-SIGNED = "dataset string, image_id long, path string, subject string, content string, length long, digest string, hi long, lo long, ahi long, alo long, vec array<long>, q double"
+SIGNED = "dataset string, image_id long, path string, subject string, content string, length long, digest string, hi long, lo long, ahi long, alo long, seg string, aseg string, vec array<long>, q double"
 
 
 def signed(spark, rows):
     """rows: (id, subject, content, hash, vec, q)"""
-    return spark.createDataFrame([("t", i, f"{s}/{i:04d}", s, c, len(c), c, h, 0, h, 0, v, q) for i, s, c, h, v, q in rows], SIGNED)
+    return spark.createDataFrame([("t", i, f"{s}/{i:04d}", s, c, len(c), c, h, 0, h, 0, f"r{h}", f"r{h}", v, q) for i, s, c, h, v, q in rows], SIGNED)
 
 
 @pytest.mark.parametrize("n,circular,every", [(1, 0, 0), (2, 1, 1), (3, 3, 3), (6, 6, 15)])
@@ -113,6 +113,91 @@ def test_nonmated_falls_back_on_tiny_collections(spark):
     assert bio.nonmated(c.where("subject = 'one'"), 3).count() == 0
 
 
+def test_nonmated_gives_as_many_as_asked_at_any_size(spark):
+    """One image of one subject against three thousand of another: all 3000 pairs are asked for and come; and of a very uneven collection as many as there are mated ones."""
+    c = spark.range(3001).select(F.col("id").alias("image_id"), F.format_string("p%05d", "id").alias("path"), F.when(F.col("id") == 1234, "one").otherwise("two").alias("subject"))
+    got = bio.nonmated(c, 3000).collect()
+    assert len(got) == len(set(map(tuple, got))) == 3000 and all((r["a"] == 1234) != (r["b"] == 1234) for r in got)
+    uneven = c.withColumn("subject", F.when(F.col("image_id") % 50 == 0, F.concat(F.lit("s"), F.col("image_id").cast("string"))).otherwise("two"))
+    some = bio.nonmated(uneven, 3000)
+    own = {r["image_id"]: r["subject"] for r in uneven.collect()}
+    got = some.collect()
+    assert len(got) == len(set(map(tuple, got))) == 3000 and all(own[r["a"]] != own[r["b"]] for r in got)
+    assert sorted(map(tuple, got)) == sorted(map(tuple, bio.nonmated(uneven.repartition(7), 3000).collect()))
+
+
+def test_variants_in_one_pass_equal_each_alone(spark, data):
+    from twinfold.sources import planted
+
+    from twinfold.plans.storage import materialise
+
+    s = materialise(planted.signed(spark, data), "s")
+    both = s.withColumn("variant", F.lit("x")).unionByName(s.where("image_id % 3 <> 0").withColumn("variant", F.lit("y")))
+    together = bio.comparisons(both)
+    for v, alone in (("x", s), ("y", s.where("image_id % 3 <> 0"))):
+        one = sorted(map(tuple, bio.comparisons(alone).select("a", "b", "mated", "score").collect()))
+        assert one == sorted(map(tuple, together.where(F.col("variant") == v).select("a", "b", "mated", "score").collect()))
+
+
+def test_prefix_sums_over_partitions(spark):
+    rows = [(g, i, i * 3 % 7 + 1) for g in "ab" for i in range(500)]
+    got = bio.prefix_sums(spark.createDataFrame(rows, "g string, x long, n long").repartition(5), ("g",), "x", "n").collect()
+    for r in got:
+        assert r["before_n"] == sum(n for g, x, n in rows if g == r["g"] and x < r["x"]) and r["total_n"] == sum(n for g, _, n in rows if g == r["g"])
+
+
+def test_sets_of_two_hashes_overlap_and_merge(spark, data):
+    """A crop that the region hash alone finds meets, over a shared image, a near copy that the frequency hash finds."""
+    from twinfold.plans.storage import materialise
+    from twinfold.sources import planted
+
+    sets = materialise(det.detect(materialise(planted.signed(spark, data), "s")), "sets")
+    by = {}
+    for r in sets.collect():
+        by.setdefault((r["detector"], r["variant"]), {}).setdefault(r["set_id"], set()).add(r["image_id"])
+    dct, seg = by["dct", "original"].values(), by["segment", "original"].values()
+    base, near, crop = 6, 1000010, 1000011
+    assert any({base, near} <= x and crop not in x for x in dct) and any({near, crop} <= x and base not in x for x in seg)
+    merged = {r["image_id"]: r["component"] for r in res.merge(sets).collect()}
+    assert merged[base] == merged[near] == merged[crop]
+    only_region = {i for x in seg for i in x} - {i for d in ("digest", "dct") for v in ("original", "aligned") for x in by.get((d, v), {}).values() for i in x}
+    assert only_region
+
+
+def test_detection_checks_bytes(spark):
+    """Two contents with one digest are two sets; without contents the check refuses."""
+    rows = [(i, "s", c, 100 + i, [1], 1.0) for i, c in enumerate(["a", "a", "b", "b", "c"])]
+    s = signed(spark, rows).withColumn("digest", F.lit("same"))
+    got = {}
+    for r in det.detect(s, ("digest",)).collect():
+        got.setdefault(r["set_id"], set()).add(r["image_id"])
+    assert sorted(map(sorted, got.values())) == [[0, 1], [2, 3]]
+    assert det.detect(s, ("digest",), verify=False).count() == 5
+    with pytest.raises(ValueError):
+        det.detect(s.drop("content"), ("digest",))
+
+
+def test_radius_sets_are_components(spark):
+    rows = [(0, "s", "a", 0b0000, None, None), (1, "s", "b", 0b0011, None, None), (2, "s", "c", 0b1111, None, None), (3, "s", "d", 0xFFFF0000, None, None)]
+    got = det.detect(signed(spark, rows), ("dct",), ("original",), radius=2).collect()
+    assert sorted(r["image_id"] for r in got) == [0, 1, 2] and len({r["set_id"] for r in got}) == 1
+
+
+def test_passages_of_any_length_anywhere(spark):
+    docs = [(1, "x one two"), (2, "one two three four five"), (3, "start alpha beta gamma"), (4, "pretty short"), (5, "aa bb cc dd"), (6, "line\nbreak here now"), (7, None), (8, "")]
+    items = [(10, "one two"), (11, "three four five"), (12, "alpha beta gam"), (13, "short"), (14, "a bb cc d"), (15, "two three four five"), (16, "break here"), (17, "ne two three four fiv"), (18, "nowhere to be found at all"), (19, None)]
+    d, i = (spark.createDataFrame(x, "image_id long, content string") for x in (docs, items))
+    want = sorted((a, b) for a, t in docs for b, u in items if t is not None and u is not None and u in t)
+    assert sorted(map(tuple, det.passages(d, i).collect())) == want and len(want) >= 8
+    with pytest.raises(ValueError):
+        det.passages(d, i, max_short=1)
+
+
+def test_keep_first_and_long_hash(spark):
+    s = signed(spark, [(1, "b", "x", 1, None, None), (2, "a", "x", 1, None, None)])
+    assert res.keep_first(det.detect(s, ("digest",)), s).first()["kept"] == 2
+
+
 def test_preservative_keeps_more_than_full_removal_and_actions_are_stable(spark, data):
     from twinfold.plans.storage import materialise
     from twinfold.sources import planted
@@ -142,7 +227,9 @@ def test_label_propagation_finds_two_cliques(spark):
 
 
 def test_band_planner_refuses():
-    assert det.plan_bands(10**6, 3)["bands"] == 4
+    """More bands that must agree together are wider keys; the cheapest number is taken, and what no number makes cheap is refused."""
+    one, two = det.plan_bands(100, 3), det.plan_bands(10**6, 3)
+    assert (one["bands"], one["agree"], two["bands"], two["agree"]) == (4, 1, 5, 2) and two["candidates_per_image"] < 10**6 * 4 / 2**16
     with pytest.raises(ValueError):
         det.plan_bands(10**9, 6)
 

@@ -21,14 +21,9 @@ def register(spark: SparkSession) -> None:
 
     @F.pandas_udf(ArrayType(LongType()))
     def dct_hash(tokens: pd.Series) -> pd.Series:
-        import numpy as np
-
         from . import arithmetic, text as txt
 
-        cache: dict = {}
-        if not len(tokens):
-            return pd.Series([], dtype=object)
-        return pd.Series(arithmetic.pack(arithmetic.dct_bits(np.stack([txt.raster(t or "", cache) for t in tokens]))).tolist())
+        return pd.Series(arithmetic.pack(arithmetic.dct_bits(txt.token_rasters(tokens.tolist(), txt.Digests(3)))).tolist(), dtype=object)
 
     @F.pandas_udf(ArrayType(LongType()))
     def segment_hash(pixels: pd.Series, width: pd.Series, height: pd.Series) -> pd.Series:

@@ -7,18 +7,16 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from ..functions import arithmetic
 from ..plans.components import connected
 from ..plans.storage import materialise
-from .resolve import fixed
+from .resolve import fixed, pair_scores
 
 MAX_CENTRES = 100_000
 
 
 def subject_graph(corpus: DataFrame, features: DataFrame, edge_tau: float | None = None) -> DataFrame:
-    """Edges ``subject, u, v, score`` inside each label, pruned below ``edge_tau``."""
-    rows = corpus.select("image_id", "subject").join(features.where("vec is not null").select("image_id", "vec"), "image_id")
-    a, b = rows.alias("a"), rows.alias("b")
-    edges = a.join(b, (F.col("a.subject") == F.col("b.subject")) & (F.col("a.image_id") < F.col("b.image_id"))).select(
-        F.col("a.subject").alias("subject"), F.col("a.image_id").alias("u"), F.col("b.image_id").alias("v"), arithmetic.score(F.col("a.vec"), F.col("b.vec")).alias("score")
-    )
+    """Edges ``subject, u, v, score`` inside each label, pruned below ``edge_tau``. A large label's pairs are made in tiles, so that none is one task's work."""
+    have = features.where("vec is not null").select("image_id", "vec")
+    own = corpus.where("subject is not null").select(F.col("subject").alias("component"), "image_id").join(have.select("image_id"), "image_id", "left_semi")
+    edges = pair_scores(own, have).select(F.col("component").alias("subject"), F.col("a").alias("u"), F.col("b").alias("v"), "score")
     return edges if edge_tau is None else edges.where(F.col("score") >= fixed(edge_tau))
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from ..functions import arithmetic
 from ..plans.components import connected
 from ..plans.storage import materialise
-from .detect import detect, digest_sets, repeated
+from .detect import DETECTORS, detect, repeated
 
 FLOOR, MARGIN, TAU = 0.40, 0.20, 0.40
 
@@ -168,26 +168,27 @@ def choose(kept: DataFrame, scores: DataFrame, features: DataFrame, floor: float
     return all_.select("component", "kept", F.when(reason == "assigned", F.col("best")).alias("target"), reason.alias("reason"))
 
 
-def actions(signed: DataFrame, detectors=("digest", "dct"), variants=("original", "aligned"), tau: float = TAU, rule: str = "strict", floor: float = FLOOR, margin: float = MARGIN, strategy: str = "pairs", exact_first: bool = True) -> DataFrame:
+def actions(
+    signed: DataFrame, detectors=DETECTORS, variants=("original", "aligned"), tau: float = TAU, rule: str = "strict", floor: float = FLOOR, margin: float = MARGIN, strategy: str = "centroid", exact_first: bool = True,
+    contents: DataFrame | None = None,
+) -> DataFrame:
     """The action list: ``image_id, path, action, reason, from_subject, to_subject`` for every image that is in a decided set.
 
     Exact single-subject copies fall to the first path; near sets of what is left merge, are corrected, keep their best image, and, where they cross subjects, give it to the subject it resembles or to none.
     """
-    raw = materialise(detect(signed, detectors, variants), "sets")
-    narrow = signed.select("image_id", "path", "subject", "digest", "hi", "lo", "ahi", "alo", "q")
+    raw = materialise(detect(signed, detectors, variants, contents=contents), "sets")
+    narrow = signed.select("image_id", "path", "subject", "q")
     parts: list[DataFrame] = []
+    near = raw
     if exact_first and "digest" in detectors:
-        e = digest_sets(signed)
+        e = raw.where("detector = 'digest'")
         intra = e.join(narrow.select("image_id", "subject", "path"), "image_id")
         one = intra.groupBy("set_id").agg(F.count_distinct("subject").alias("k"), F.min("path").alias("first")).where("k = 1")
         judged = materialise(intra.join(one, "set_id").select("image_id", (F.col("path") == F.col("first")).alias("kept")), "exact")
         gone = judged.where("not kept").select("image_id")
-        left = narrow.join(gone, "image_id", "left_anti")
+        near = repeated(raw.join(gone, "image_id", "left_anti"), "set_id")  # the sets of what is left, without detecting again
         parts.append(judged.select("image_id", F.when(F.col("kept"), "keep").otherwise("remove").alias("action"), F.lit("exact_copy").alias("reason"), F.lit(None).cast("string").alias("to_subject")))
-    else:
-        left = narrow
-    near = materialise(merge(detect(left, detectors, variants)), "components")
-    solved = materialise(correct(near, signed, tau, rule), "corrected")
+    solved = materialise(correct(materialise(merge(near), "components"), signed, tau, rule), "corrected")
     kept = materialise(keep_best(solved, signed), "kept")
     members = solved.join(narrow.select("image_id", "subject"), "image_id")
     kinds = members.groupBy("component").agg(F.count_distinct("subject").alias("k"))

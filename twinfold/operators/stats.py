@@ -47,9 +47,9 @@ def variant_yield(sets: DataFrame) -> DataFrame:
 
 def preprocess_failures(signed: DataFrame, sets: DataFrame) -> DataFrame:
     """Images whose alignment failed, and how many of them are duplicates by their originals."""
-    failed = signed.where("ahi is null").select("dataset", "image_id")
     known = sets.where("variant = 'original'").select("image_id").distinct().withColumn("dup", F.lit(1))
-    return failed.join(known, "image_id", "left").groupBy("dataset").agg(F.count("*").alias("failures"), F.count("dup").alias("duplicates"))
+    rows = signed.select("dataset", "image_id", F.col("ahi").isNull().alias("failed")).join(known, "image_id", "left")
+    return rows.groupBy("dataset").agg(F.count_if("failed").alias("failures"), F.count_if(F.col("failed") & F.col("dup").isNotNull()).alias("duplicates"))
 
 
 def pair_quality(found: DataFrame, truth: DataFrame) -> DataFrame:

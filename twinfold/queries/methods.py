@@ -26,9 +26,14 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
-def _docs(spark, d, subject="source", keep=True) -> DataFrame:
-    signed = catalog.sign(catalog.documents(spark, d, subject))
-    return materialise(signed, "signed") if keep else signed
+def _docs(spark, d, subject="source", want=catalog.DETECT) -> DataFrame:
+    return materialise(catalog.sign(catalog.documents(spark, d, subject), want), "signed")
+
+
+def _found(spark, d, subject="source", detectors=det.DETECTORS, **options) -> tuple[DataFrame, DataFrame]:
+    """Signed documents and their sets, exact ones checked by their bytes."""
+    s = _docs(spark, d, subject, detectors)
+    return s, det.detect(s, detectors, contents=catalog.documents(spark, d, subject), **options)
 
 
 def _planted(spark, d) -> DataFrame:
@@ -90,7 +95,19 @@ _DOCF = o.documents("source")
 
 @query("dct_hash", o.with_(_DOC) + " select image_id, hi, lo, ahi, alo from signed")
 def dct_hash(spark, d):
-    return _docs(spark, d, keep=False).select("image_id", "hi", "lo", "ahi", "alo")
+    return catalog.sign(catalog.documents(spark, d), ("dct",)).select("image_id", "hi", "lo", "ahi", "alo")
+
+
+@query("segment_hash", o.with_(_DOC) + " select image_id, seg, aseg from signed")
+def segment_hash(spark, d):
+    """The crop-tolerant hash of texts: gradient hashes of their lines."""
+    return catalog.sign(catalog.documents(spark, d), ("segment",)).select("image_id", "seg", "aseg")
+
+
+@query("segment_hash_sets", o.with_(_DOC, o.sets()) + " select set_id, image_id, variant from sets where detector = 'segment'")
+def segment_hash_sets(spark, d):
+    s = _docs(spark, d, want=("segment",))
+    return det.segment_sets(s).unionByName(det.segment_sets(s, "aligned")).select("set_id", "image_id", "variant")
 
 
 @query("normalised_text", r"select doc_id as image_id, case when len(l) >= 5 then array_to_string(l, ' ') end as aligned from (select doc_id, list_filter(regexp_extract_all(lower(text), '[\p{L}\p{N}]+'), lambda w: length(w) > 1 and not regexp_matches(w, '[0-9]')) as l from documents)")
@@ -107,133 +124,125 @@ def page_main_text(spark, d):
     return catalog.pages(spark, d).select("image_id", txt.main_content(F.col("content")).alias("main_text"))
 
 
-_GRAD = [[f"cast(floor(list_sum(embedding[{8 * r + 1}:{8 * r + 8}]) * 0) as int)" for r in range(8)]]
+_G = rf"corpus as (select doc_id as image_id, text as content from documents), toks as (select image_id, {o.TOKENS} as l from corpus where content is not null), none_ as (select image_id, 0 as ln, l from toks where false)," + o._regions("g_", "toks", "none_", "g_out")
 
 
-@query("gradient_hash", "select vec_id as image_id, " + ", ".join(f"cast({' + '.join(f'(case when e[{8 * r + c + 2}] > e[{8 * r + c + 1}] then {1 << (6 - c)} else 0 end)' for c in range(7))} as int) as row{r}" for r in range(8)) + " from (select vec_id, list_transform(embedding, lambda x: cast(floor(cast(x as double) * 32768 + 0.5) as bigint)) as e from embeddings)")
+@query("gradient_hash", "with " + _G + " select image_id, coalesce(hi, 0) as hi, coalesce(lo, 0) as lo from g_parts left join g_grad using (image_id, ln)")
 def gradient_hash(spark, d):
-    """Brighter than the left neighbour, on the vectors read as 8 x 8 rasters: seven bits a row, in the JVM."""
-    e = catalog.table(spark, d, "embeddings").select(F.col("vec_id").alias("image_id"), F.transform("embedding", lambda x: F.floor(x.cast("double") * 32768 + 0.5).cast("long")).alias("e"))
-    rows = [reduce(lambda a, b: a + b, [F.when(F.col("e")[8 * r + c + 1] > F.col("e")[8 * r + c], 1 << (6 - c)).otherwise(0) for c in range(7)]).cast("int").alias(f"row{r}") for r in range(8)]
-    return e.select("image_id", *rows)
+    """64 bits: each of 8 x 9 cells brighter than its left neighbour."""
+    return catalog.gradient_hash(catalog.documents(spark, d))
 
 
 @query("dct_hash_16")
 def dct_hash_16(spark, d):
     """A longer hash: 16 x 16 low frequencies, 256 bits as eight words."""
-    import numpy as np
-    import pandas as pd
-
-    from ..functions import arithmetic, text as txt
-
-    def work(batches):
-        cache: dict = {}
-        for pdf in batches:
-            if len(pdf):
-                words = arithmetic.pack(arithmetic.dct_bits(np.stack([txt.raster(t or "", cache) for t in pdf["tokens"]]), 16))
-                yield pd.DataFrame({"image_id": pdf["image_id"], "words": words.tolist()})
-
-    c = catalog.documents(spark, d).select("image_id", txt.flat(F.col("content")).alias("tokens"))
-    from ..plans.shipping import ship
-
-    ship(spark)
-    return c.mapInPandas(work, "image_id long, words array<long>")
+    return catalog.long_hash(catalog.documents(spark, d), 16)
 
 
 @query("dct_hash_sets", o.with_(_DOC, o.sets(digest=False, variants=("original",))) + " select set_id, image_id from sets")
 def dct_hash_sets(spark, d):
-    return det.hash_sets(_docs(spark, d)).select("set_id", "image_id")
+    return det.hash_sets(_docs(spark, d, want=("dct",))).select("set_id", "image_id")
 
 
 @query("dct_hash_pairs_r6", o.with_(_DOC, "reps as (select hi, lo, min(image_id) as rep from signed group by hi, lo)") + " select a.rep as a, b.rep as b, cast(bit_count(xor(a.hi, b.hi)) + bit_count(xor(a.lo, b.lo)) as int) as distance from reps a join reps b on a.rep < b.rep where bit_count(xor(a.hi, b.hi)) + bit_count(xor(a.lo, b.lo)) <= 6")
 def dct_hash_pairs_r6(spark, d):
-    return det.hash_pairs(_docs(spark, d), 6)
+    return det.hash_pairs(_docs(spark, d, want=("dct",)), 6)
 
 
 @query("hash_bucket_histogram", o.with_(_DOC) + " select images, count(*) as hashes from (select count(*) as images from signed group by hi, lo) group by images")
 def hash_bucket_histogram(spark, d):
-    return det.hash_histogram(_docs(spark, d))
+    return det.hash_histogram(_docs(spark, d, want=("dct",)))
 
 
 @query("detect_all", o.with_(_DOC, o.sets()) + " select set_id, image_id, detector, variant from sets")
 def detect_all(spark, d):
-    return det.detect(_docs(spark, d))
+    return _found(spark, d)[1]
 
 
 @query("detect_variants", o.with_(_DOC, o.sets(digest=False)) + " select set_id, image_id, variant from sets")
 def detect_variants(spark, d):
-    return det.detect(_docs(spark, d), ("dct",)).select("set_id", "image_id", "variant")
+    return _found(spark, d, detectors=("dct", "segment"))[1].select("set_id", "image_id", "variant")
 
 
 @query("within_subject_only", o.with_(_DOC, o.sets()) + " select concat(set_id, '|', subject) as set_id, image_id, detector, variant from (select s.*, subject, count(*) over (partition by set_id, subject) as n from sets s join signed using (image_id)) where n > 1")
 def within_subject_only(spark, d):
-    return det.detect(_docs(spark, d), within_subject_only=True)
+    return _found(spark, d, within_subject_only=True)[1]
 
 
 @query("detector_yield", o.with_(_DOC, o.sets()) + " select detector, variant, count(distinct image_id) as images, count(distinct set_id) as sets from sets group by detector, variant")
 def detector_yield(spark, d):
-    return stats.detector_yield(det.detect(_docs(spark, d)))
+    return stats.detector_yield(_found(spark, d)[1])
 
 
 @query("variant_yield", o.with_(_DOC, o.sets(digest=False)) + " select count(*) filter (where o and not a) as original_only, count(*) filter (where a and not o) as aligned_only, count(*) filter (where a and o) as both from (select image_id, bool_or(variant = 'original') as o, bool_or(variant = 'aligned') as a from sets group by image_id)")
 def variant_yield(spark, d):
-    return stats.variant_yield(det.detect(_docs(spark, d), ("dct",)))
+    return stats.variant_yield(_found(spark, d, detectors=("dct", "segment"))[1])
 
 
-@query("preprocess_failures", o.with_(_DOC, o.sets()) + " select dataset, count(*) as failures, count(*) filter (where image_id in (select image_id from sets where variant = 'original')) as duplicates from signed where ahi is null group by dataset")
+@query("preprocess_failures", o.with_(_DOC, o.sets()) + " select dataset, count(*) filter (where ahi is null) as failures, count(*) filter (where ahi is null and image_id in (select image_id from sets where variant = 'original')) as duplicates from signed group by dataset")
 def preprocess_failures(spark, d):
-    s = _docs(spark, d)
-    return stats.preprocess_failures(s, det.detect(s))
+    return stats.preprocess_failures(*_found(spark, d))
 
 
 @query("set_kind", o.with_(_DOC, o.sets()) + " select set_id, count(*) as images, count(distinct subject) as subjects, case when count(distinct subject) > 1 then 'inter' else 'intra' end as kind from sets join signed using (image_id) group by set_id")
 def set_kind(spark, d):
-    s = _docs(spark, d)
-    return stats.classify(det.detect(s), s)
+    s, sets = _found(spark, d)
+    return stats.classify(sets, s)
+
+
+_CROSS = """corpus as (select 'documents' as dataset, doc_id as image_id, '' as path, '' as subject, text as content from documents union all select 'benchmark', 1000000000 + item_id, '', '', text from benchmark
+union all select 'conversations', 2000000000 + conv_id * 1000 + turn, '', '', text from conversations union all select 'reposts', 3000000000 + doc_id, '', '', text || ' 7 x 9' from documents where doc_id % 20 = 0
+union all select 'pages', 4000000000 + page_id, '', '', html from pages)"""
 
 
 def _cross(variant: str) -> str:
     hi, lo = ("hi", "lo") if variant == "original" else ("ahi", "alo")
-    both = """corpus as (select 'documents' as dataset, doc_id as image_id, '' as path, '' as subject, text as content from documents union all select 'benchmark', 1000000000 + item_id, '', '', text from benchmark
-union all select 'conversations', 2000000000 + conv_id * 1000 + turn, '', '', text from conversations)"""
-    return o.with_(both, o.text_signed(False)) + f" select concat('{variant}:', {hi}, ':', {lo}) as set_id, dataset, image_id from signed where ({hi}, {lo}) in (select ({hi}, {lo}) from signed where {hi} is not null group by {hi}, {lo} having count(distinct dataset) > 1)"
+    return o.with_(_CROSS, o.text_signed(False)) + f" select concat('{variant}:', {hi}, ':', {lo}) as set_id, dataset, image_id from signed where ({hi}, {lo}) in (select ({hi}, {lo}) from signed where {hi} is not null group by {hi}, {lo} having count(distinct dataset) > 1)"
 
 
 def _cross_corpus(spark, d) -> DataFrame:
-    a, b, c = catalog.documents(spark, d), catalog.benchmark(spark, d), catalog.conversations(spark, d)
-    a = a.withColumn("dataset", F.lit("documents"))
-    return a.unionByName(b.withColumn("image_id", F.col("image_id") + 1_000_000_000)).unionByName(c.withColumn("image_id", F.col("image_id") + 2_000_000_000))
+    """Five collections in one; ``reposts`` are documents with tokens added that the normalised text does not have, so that the preprocessed pass must find them."""
+    docs = catalog.documents(spark, d)
+    reposts = docs.where("image_id % 20 = 0").withColumn("content", F.concat("content", F.lit(" 7 x 9")))
+    parts = {"documents": docs, "benchmark": catalog.benchmark(spark, d), "conversations": catalog.conversations(spark, d), "reposts": reposts, "pages": catalog.pages(spark, d)}
+    shifted = [p.withColumns({"dataset": F.lit(name), "image_id": F.col("image_id") + k * 1_000_000_000}) for k, (name, p) in enumerate(parts.items())]
+    return reduce(DataFrame.unionByName, shifted)
 
 
 for _v in ("original", "aligned"):
-    query(f"cross_dataset_{_v}", _cross(_v))(lambda spark, d, v=_v: det.between(catalog.sign(_cross_corpus(spark, d), quality=False), v))
+    query(f"cross_dataset_{_v}", _cross(_v))(lambda spark, d, v=_v: det.between(materialise(catalog.sign(_cross_corpus(spark, d), ("dct",)), "signed"), v))
 
 
 @query("cross_dataset_passages", "select doc_id as image_id, item_id from documents d join benchmark b on contains(d.text, b.text)")
 def cross_dataset_passages(spark, d):
-    """Documents that contain a benchmark item: an equi join on the item's first five words, then the full comparison; nothing is compared with everything."""
-    from ..functions import text as txt
+    """Documents that contain a benchmark item."""
+    return det.passages(catalog.documents(spark, d), catalog.benchmark(spark, d))
+
 
-    def keyed(df, every):
-        w = F.split(F.trim(F.regexp_replace("content", r"\s+", " ")), " ")
-        at = F.sequence(F.lit(1), F.greatest(F.size(w) - 4, F.lit(1))) if every else F.array(F.lit(2))
-        return df.select("image_id", "content", w.alias("w")).select("image_id", "content", F.explode(F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice("w", i, 3), " ")))).alias("k"))
+_MAIN = ORACLES["page_main_text"]
 
-    items = keyed(catalog.benchmark(spark, d), False).select(F.col("image_id").alias("item_id"), F.col("content").alias("item"), "k")
-    hits = keyed(catalog.documents(spark, d), True).select("image_id", "k").join(items.select("item_id", "k"), "k").select("image_id", "item_id").distinct()
-    return hits.join(catalog.documents(spark, d).select("image_id", "content"), "image_id").join(items.select("item_id", "item"), "item_id").where(F.contains("content", "item")).select("image_id", "item_id")
+
+@query("cross_dataset_pages", f"with main as (select image_id, main_text from ({_MAIN}) where main_text is not null), quotes as (select image_id as item_id, substr(main_text, 21, 80) as quote from main where image_id % 10 = 0) select 'pages' as dataset, image_id, item_id from main join quotes on contains(main_text, quote) union all select 'documents', doc_id, item_id from documents join quotes on contains(text, quote)")
+def cross_dataset_pages(spark, d):
+    """Pages and documents against quotes of 80 characters from the main text of every tenth page: the pages quoted from, and whoever has the same passage."""
+    from ..functions import text as txt
+
+    main = materialise(catalog.pages(spark, d).select("image_id", txt.main_content(F.col("content")).alias("content")).where("content is not null"), "main")
+    quotes = main.where("image_id % 10 = 0").select("image_id", F.substring("content", 21, 80).alias("content"))
+    parts = {"pages": main, "documents": catalog.documents(spark, d)}
+    return reduce(DataFrame.unionByName, [det.passages(x, quotes).select(F.lit(k).alias("dataset"), "image_id", "item_id") for k, x in parts.items()])
 
 
 # ---- merging, correction, choice
 
 @query("merged_sets", o.with_(_DOC, o.sets(), o.components()) + " select component, image_id from comps")
 def merged_sets(spark, d):
-    return res.merge(det.detect(_docs(spark, d)))
+    return res.merge(_found(spark, d)[1])
 
 
 @query("merged_sets_local", o.with_(_DOC, o.sets(), o.components()) + " select component, image_id from comps")
 def merged_sets_local(spark, d):
-    return res.merge_local(det.detect(_docs(spark, d)))
+    return res.merge_local(_found(spark, d)[1])
 
 
 _P = o.planted_signed()
@@ -267,8 +276,8 @@ def fp_released(spark, d):
 
 @query("fp_correction_documents", o.with_(_DOCF, o.sets(), o.components(), o.corrected()) + " select component, image_id from solved")
 def fp_correction_documents(spark, d):
-    s = _docs(spark, d)
-    return res.correct(materialise(res.merge(det.detect(s)), "components"), s)
+    s = _docs(spark, d, want=(*catalog.DETECT, "vec"))
+    return res.correct(materialise(res.merge(det.detect(s, contents=catalog.documents(spark, d))), "components"), s)
 
 
 _TAUS = [0.2, 0.3, 0.4, 0.5, 0.6, 0.8]
@@ -342,8 +351,7 @@ _ACTS = (_P, o.decided())
 def subject_choice(spark, d):
     s, sets, _ = _comps(spark, d)
     gone = res.actions(s).where("reason = 'exact_copy' and action = 'remove'").select("image_id")
-    left = s.join(gone, "image_id", "left_anti")
-    c = materialise(res.merge(det.detect(left)), "components")
+    c = materialise(res.merge(det.repeated(sets.join(gone, "image_id", "left_anti"), "set_id")), "components")
     solved = materialise(res.correct(c, s), "corrected")
     members = solved.join(s.select("image_id", "subject"), "image_id")
     inter = members.groupBy("component").agg(F.count_distinct("subject").alias("k")).where("k > 1").select("component")
@@ -361,15 +369,15 @@ for _kind, _where in {"actions_intra": "reason in ('best_quality', 'exact_copy')
     query(_kind, o.with_(*_ACTS) + f" select image_id, action, reason, to_subject from acts where {_where}")(lambda spark, d, w=_where: res.actions(_planted(spark, d)).where(w).select("image_id", "action", "reason", "to_subject"))
 
 
-@query("actions_centroid", o.with_(*_ACTS) + " select image_id, action, reason, to_subject from acts")
-def actions_centroid(spark, d):
-    """The cheaper strategy decides alike."""
-    return res.actions(_planted(spark, d), strategy="centroid").select("image_id", "action", "reason", "to_subject")
+@query("actions_pairs", o.with_(*_ACTS) + " select image_id, action, reason, to_subject from acts")
+def actions_pairs(spark, d):
+    """Every pair of a kept and a reference image decides like the mean unit vectors."""
+    return res.actions(_planted(spark, d), strategy="pairs").select("image_id", "action", "reason", "to_subject")
 
 
 @query("actions_documents", o.with_(o.documents("mix"), o.decided()) + " select image_id, path, action, reason, from_subject, to_subject from acts")
 def actions_documents(spark, d):
-    return res.actions(_docs(spark, d, "mix"))
+    return res.actions(_docs(spark, d, "mix", catalog.ALL), contents=catalog.documents(spark, d))
 
 
 # ---- statistics
@@ -380,7 +388,7 @@ select dataset, cast(sum(n) as bigint) as images, count(*) as subjects, cast(sum
 cast(sum(b) as bigint) as both, cast(sum(a) + sum(e) - sum(b) as bigint) as combined, round((sum(a) + sum(e) - sum(b))::double / sum(n), 6) as share from per group by dataset"""
 
 for _s in ("source", "lang", "mix"):
-    query(f"table1_{_s}", o.with_(o.documents(_s, False), o.sets()) + _T1)(lambda spark, d, s=_s: (lambda x: stats.overview(x, det.detect(x)))(_docs(spark, d, s)))
+    query(f"table1_{_s}", o.with_(o.documents(_s, False), o.sets()) + _T1)(lambda spark, d, s=_s: stats.overview(*_found(spark, d, s)))
 
 
 @query("table1_planted", o.with_(_P, o.sets()) + _T1)
@@ -395,8 +403,9 @@ _PAGES = r"corpus as (select 'pages' as dataset, page_id as image_id, url as pat
 @query("table1_pages", o.with_(_PAGES, o.text_signed(False), o.sets()) + _T1)
 def table1_pages(spark, d):
     """The control with nearly no copies."""
-    s = materialise(catalog.sign(catalog.pages(spark, d)), "signed")
-    return stats.overview(s, det.detect(s))
+    c = catalog.pages(spark, d)
+    s = materialise(catalog.sign(c, catalog.DETECT), "signed")
+    return stats.overview(s, det.detect(s, contents=c))
 
 
 @query("intra_inter_overlap", o.with_(_P, o.sets(), "k as (select set_id, count(distinct subject) as k from sets join signed using (image_id) group by set_id)") + " select image_id from sets join k using (set_id) where k = 1 intersect select image_id from sets join k using (set_id) where k > 1")
@@ -415,9 +424,54 @@ def table2(spark, d):
     return stats.results(res.actions(_planted(spark, d)))
 
 
-@query("table2_documents", o.with_(o.documents("source"), o.decided()) + _T2)
-def table2_documents(spark, d):
-    return stats.results(res.actions(_docs(spark, d)))
+for _s in ("source", "lang", "mix"):
+    query({"source": "table2_documents"}.get(_s, f"table2_{_s}"), o.with_(o.documents(_s), o.decided()) + _T2)(
+        lambda spark, d, s=_s: stats.results(res.actions(_docs(spark, d, s, catalog.ALL), contents=catalog.documents(spark, d)))
+    )
+
+
+@query("table2_pages", o.with_(_PAGES, o.text_signed(), o.decided()) + _T2)
+def table2_pages(spark, d):
+    c = catalog.pages(spark, d)
+    return stats.results(res.actions(materialise(catalog.sign(c), "signed"), contents=c))
+
+
+@query("preprocess_failures_pages", o.with_(_PAGES, o.text_signed(False), o.sets()) + " select dataset, count(*) filter (where ahi is null) as failures, count(*) filter (where ahi is null and image_id in (select image_id from sets where variant = 'original')) as duplicates from signed group by dataset")
+def preprocess_failures_pages(spark, d):
+    c = catalog.pages(spark, d)
+    s = materialise(catalog.sign(c, catalog.DETECT), "signed")
+    return stats.preprocess_failures(s, det.detect(s, contents=c))
+
+
+@query("preprocess_failures_planted", o.with_(_P, o.sets()) + " select dataset, count(*) filter (where ahi is null) as failures, count(*) filter (where ahi is null and image_id in (select image_id from sets where variant = 'original')) as duplicates from signed group by dataset")
+def preprocess_failures_planted(spark, d):
+    s = _planted(spark, d)
+    return stats.preprocess_failures(s, det.detect(s))
+
+
+@query("detector_yield_planted", o.with_(_P, o.sets()) + " select detector, variant, count(distinct image_id) as images, count(distinct set_id) as sets from sets group by detector, variant union all select 'both hashes', 'any', count(distinct image_id), count(distinct set_id) from sets where detector <> 'digest'")
+def detector_yield_planted(spark, d):
+    """Each detector alone, and both hashes together."""
+    sets = materialise(det.detect(_planted(spark, d)), "sets")
+    near = sets.where("detector <> 'digest'").agg(F.count_distinct("image_id").alias("images"), F.count_distinct("set_id").alias("sets"))
+    return stats.detector_yield(sets).unionByName(near.select(F.lit("both hashes").alias("detector"), F.lit("any").alias("variant"), "images", "sets"))
+
+
+_SHARES = (0.25, 0.5, 1.0)
+
+
+@query("scale_behaviour", o.with_(_P, f"shares as (select unnest({list(_SHARES)})::double as share)", "part as (select s.*, share from signed s join shares on cast('0x' || substr(md5(s.path), 1, 6) as int) < share * 16777216)",
+    "n as (select share, count(*) as images, count(distinct subject) as subjects from part group by share)",
+    "k as (select share, cast(sum(c * (c - 1) // 2) as bigint) as all_pairs, cast(sum(case when c > 2 then c when c = 2 then 1 else 0 end) as bigint) as circular from (select share, subject, count(*) as c from part group by all) group by share)",
+    "h as (select share, count(*) as sets, cast(sum(c) as bigint) as set_images from (select share, hi, count(*) as c from part group by share, hi having count(*) > 1) group by share)") + " select share, images, subjects, all_pairs, circular, sets, set_images from n join k using (share) join h using (share)")
+def scale_behaviour(spark, d):
+    """How counts grow on nested samples of a collection: images and circular pairs in proportion, all pairs faster."""
+    s = _planted(spark, d).withColumn("u", F.conv(F.substring(F.md5("path"), 1, 6), 16, 10).cast("long"))
+    part = materialise(s.select("image_id", "subject", "hi", "lo", "u", F.explode(F.array(*[F.lit(x) for x in _SHARES])).alias("share")).where(F.col("u") < F.col("share") * 16777216), "shares")
+    n = part.groupBy("share").agg(F.count("*").alias("images"), F.count_distinct("subject").alias("subjects"))
+    k = bio.mated_counts(part, ("share",)).select("share", "all_pairs", "circular")
+    h = part.groupBy("share", "hi", "lo").agg(F.count("*").alias("c")).where("c > 1").groupBy("share").agg(F.count("*").alias("sets"), F.sum("c").alias("set_images"))
+    return n.join(k, "share").join(h, "share")
 
 
 @query("planted_pr", o.with_(_P, o.sets(), "f as (select distinct x.image_id as a, y.image_id as b from sets x join sets y on x.set_id = y.set_id and x.image_id < y.image_id)", "t as (select x.image_id as a, y.image_id as b from signed x join signed y on x.hi = y.hi and x.image_id < y.image_id where x.hi < 5000000)", "c as (select count(f.a) as found, count(t.a) as planted, count(*) filter (where f.a is not null and t.a is not null) as hits from f full join t on f.a = t.a and f.b = t.b)") + " select found, planted, hits, round(hits / found, 6) as precision, round(hits / planted, 6) as recall, round(2 * (hits / found) * (hits / planted) / (hits / found + hits / planted), 6) as f1 from c")
@@ -440,14 +494,16 @@ def cost_pairs(spark, d):
 _VAR = (*_ACTS, o.variants())
 
 
-def _variants(spark, d) -> dict[str, DataFrame]:
-    s = _planted(spark, d)
-    acts = materialise(res.actions(s), "actions")
-    return {"original": s, "full": res.full_removal(s, det.detect(s)), "preservative": res.preservative(s, acts)}
+def _variants(signed: DataFrame, contents: DataFrame | None = None) -> DataFrame:
+    """The original collection, the one without any image of any set, and the one after the actions, as one table with ``variant``."""
+    acts = materialise(res.actions(signed, contents=contents), "actions")
+    gone = materialise(det.detect(signed, contents=contents).select("image_id").distinct(), "in-sets")
+    parts = {"original": signed, "full": res.full_removal(signed, gone), "preservative": res.preservative(signed, acts)}
+    return reduce(DataFrame.unionByName, [x.select(F.lit(v).alias("variant"), "image_id", "path", "subject", "ahi", "vec", "q") for v, x in parts.items()])
 
 
 for _v in ("original", "full", "preservative"):
-    query(f"variant_{_v}", o.with_(*_VAR) + f" select image_id, path, subject from variants where variant = '{_v}'")(lambda spark, d, v=_v: _variants(spark, d)[v].select("image_id", "path", "subject"))
+    query(f"variant_{_v}", o.with_(*_VAR) + f" select image_id, path, subject from variants where variant = '{_v}'")(lambda spark, d, v=_v: _variants(_planted(spark, d)).where(F.col("variant") == v).select("image_id", "path", "subject"))
 
 _ORDERS = "corpus as (select o_custkey as subject, o_orderkey as image_id, lpad(cast(o_orderkey as varchar), 10, '0') as path from orders)"
 
@@ -496,8 +552,7 @@ def pair_scores(spark, d):
 
 
 def _scored(spark, d) -> DataFrame:
-    parts = [bio.comparisons(x).withColumn("variant", F.lit(v)) for v, x in _variants(spark, d).items()]
-    return materialise(reduce(DataFrame.unionByName, parts), "scored")
+    return materialise(bio.comparisons(_variants(_planted(spark, d))), "scored")
 
 
 _RATES = (*_CMP, o.rates())
@@ -518,12 +573,12 @@ def fnmr_at_fmr(spark, d):
     return bio.fnmr_at(bio.rates(_scored(spark, d), "variant"), [0.001, 0.01], "variant")
 
 
-def _edc_sql(error: str, tail: str) -> str:
-    wrong = "score < t" if error == "fnmr" else "score >= t"
-    return o.with_(*_RATES, f"""start as (select variant, threshold as t from (select variant, threshold, row_number() over (partition by variant order by abs({error} - 0.05), threshold) as r from curve) where r = 1),
-eb as (select variant, pair_q, count(*) as n, count(*) filter (where {wrong}) as w from scored join start using (variant) where mated = {str(error == 'fnmr').lower()} group by all),
-edc as (select variant, coalesce(sum(n) over p, 0)::double / sum(n) over (partition by variant) as fraction, (sum(w) over (partition by variant) - coalesce(sum(w) over p, 0))::double / (sum(n) over (partition by variant) - coalesce(sum(n) over p, 0)) as error
-        from eb window p as (partition by variant order by pair_q rows between unbounded preceding and 1 preceding))""") + tail
+_SOLO = "variants as (select 'original' as variant, image_id, path, subject, ahi, vec, q from signed)"
+
+
+def _edc_sql(error: str, tail: str, start: float = 0.05, signed: str | None = None, variants: str | None = None) -> str:
+    rated = _RATES if variants is None else (signed or _P, variants, o.comparisons(), o.rates())
+    return o.with_(*rated, o.discard(error, start)) + tail
 
 
 for _e in ("fnmr", "fmr"):
@@ -531,16 +586,83 @@ for _e in ("fnmr", "fmr"):
         lambda spark, d, e=_e: bio.edc(materialise(bio.comparisons(_planted(spark, d)), "scored"), e).select(F.round("fraction", 6).alias("fraction"), F.round("error", 6).alias("error"))
     )
     query(f"edc_pauc_{_e}", _edc_sql(_e, " , s as (select variant, fraction, error, least(coalesce(lead(fraction) over (partition by variant order by fraction), 1), 0.2) as e from edc) select variant, round(sum(floor((e - fraction) * error * 1e12 + 0.5))::double / 1e12, 6) as pauc from s where fraction < 0.2 group by variant"))(
-        lambda spark, d, e=_e: (lambda s: reduce(DataFrame.unionByName, [bio.pauc(bio.edc(s.where(F.col("variant") == v), e)).select(F.lit(v).alias("variant"), "pauc") for v in ("original", "full", "preservative")]))(_scored(spark, d))
+        lambda spark, d, e=_e: bio.pauc(bio.edc(_scored(spark, d), e, by=("variant",)), by=("variant",))
     )
 
 
+_STARTS = (0.02, 0.05, 0.1)
+
+
+@query("edc_start", " union all ".join(f"(select {x}::double as start, * from ({_edc_sql('fnmr', ' select round(fraction, 6) as fraction, round(error, 6) as error from edc', start=x, variants=_SOLO)}))" for x in _STARTS))
+def edc_start(spark, d):
+    """The discard curve from several starting errors."""
+    scored = materialise(bio.comparisons(_planted(spark, d)), "scored")
+    curve = materialise(bio.rates(scored), "rates")
+    parts = [bio.edc(scored, "fnmr", x, curve=curve).select(F.lit(x).alias("start"), F.round("fraction", 6).alias("fraction"), F.round("error", 6).alias("error")) for x in _STARTS]
+    return reduce(DataFrame.unionByName, parts)
+
+
+# Experiments: every measure of every variant, on a collection under a quality provider, with its change against the original.
+
+_MEASURED = (*o.measures(), "changed as (select m.variant, m.measure, m.value, round(m.value - b.value, 6) as change from measured m join measured b on b.measure = m.measure and b.variant = 'original')")
+_CHANGED = " select variant, measure, value, change from changed"
+_LABEL_Q = "label_q as (select doc_id as image_id, cast(max(quality - toxic) as double) as q2 from labels group by doc_id)"
+
+
+def _requalified(signed_sql: str, q: str, more: str = "", join: str = "") -> str:
+    """The CTEs of ``signed`` with another quality provider."""
+    return signed_sql.replace("signed as (select", "signed_1 as (select", 1) + f"{', ' + more if more else ''}, signed as (select signed_1.* exclude (q), {q} as q from signed_1 {join})"
+
+
+def _experiment(signed: DataFrame, contents: DataFrame | None = None, quality: DataFrame | None = None) -> DataFrame:
+    """``quality(image_id, q)`` takes the place of the first provider in the curves; the actions keep the first."""
+    v = _variants(signed, contents)
+    if quality is not None:
+        v = v.drop("q").join(quality, "image_id", "left")
+    return bio.changes(materialise(bio.measures(materialise(bio.comparisons(v), "scored"), ("variant",)), "measures"))
+
+
+#: The second quality provider on the planted collection: many ties, every sixth image without a score.
+_Q2 = "case when image_id % 6 <> 0 then cast((image_id * 7) % 5 as double) end"
+
+
+def _second(variants: str, q: str, join: str = "") -> str:
+    """The variants with another quality in the curves."""
+    return variants.replace("variants as (", "variants_1 as (") + f", variants as (select v.* exclude (q), {q} as q from variants_1 v {join})"
+
+
+@query("experiment_planted", o.with_(*_VAR, o.comparisons(), o.rates(), *_MEASURED) + _CHANGED)
+def experiment_planted(spark, d):
+    return _experiment(_planted(spark, d))
+
+
+@query("experiment_planted_second_quality", o.with_(*_ACTS, _second(o.variants(), _Q2), o.comparisons(), o.rates(), *_MEASURED) + _CHANGED)
+def experiment_planted_second_quality(spark, d):
+    s = _planted(spark, d)
+    return _experiment(s, quality=s.select("image_id", F.expr(_Q2).alias("q")))
+
+
+_DOCS_DECIDED = (o.documents("mix"), o.decided())
+
+
+@query("experiment_documents", o.with_(*_DOCS_DECIDED, o.variants(), o.comparisons(), o.rates(), *_MEASURED) + _CHANGED)
+def experiment_documents(spark, d):
+    """Shingle features say little about the labels of documents: near chance, whatever is removed."""
+    return _experiment(_docs(spark, d, "mix", catalog.ALL), catalog.documents(spark, d))
+
+
+@query("experiment_documents_second_quality", o.with_(*_DOCS_DECIDED, _LABEL_Q, _second(o.variants(), "q2", "left join label_q using (image_id)"), o.comparisons(), o.rates(), *_MEASURED) + _CHANGED)
+def experiment_documents_second_quality(spark, d):
+    """The same under the labels' quality."""
+    quality = catalog.table(spark, d, "labels").groupBy(F.col("doc_id").alias("image_id")).agg(F.max(F.col("quality") - F.col("toxic")).cast("double").alias("q"))
+    return _experiment(_docs(spark, d, "mix", catalog.ALL), catalog.documents(spark, d), quality)
+
+
 @query("variant_deltas", o.with_(*_RATES, "x as (select variant, round((fnmr + fmr) / 2, 6) as eer, row_number() over (partition by variant order by abs(fnmr - fmr), threshold) as r from curve)") + " select variant, round(eer - (select eer from x where variant = 'original' and r = 1), 6) as change from x where r = 1 and variant <> 'original'")
 def variant_deltas(spark, d):
     """Change of the equal error rate against the original."""
-    e = materialise(bio.eer(bio.rates(_scored(spark, d), "variant"), "variant"), "eer")
-    base = e.where("variant = 'original'").select(F.col("eer").alias("base"))
-    return e.where("variant <> 'original'").join(F.broadcast(base)).select("variant", F.round(F.col("eer") - F.col("base"), 6).alias("change"))
+    e = bio.eer(bio.rates(_scored(spark, d), "variant"), "variant").select("variant", F.col("eer").alias("value"))
+    return bio.changes(materialise(e, "eer")).where("variant <> 'original'").select("variant", "change")
 
 
 _QL = "select c.image_id, 'text' as provider, q from signed c union all select doc_id, 'label', cast(max(quality - toxic) as double) from labels group by doc_id"
@@ -573,22 +695,17 @@ r as (select rep as a, rep as b from reps where rep in (select u from b) union s
 c as (select a as rep, min(b) as component from r group by a)""") + " select coalesce(component, rep) as component, image_id from signed join reps using (hi, lo) left join c using (rep) where component is not null or (hi, lo) in (select (hi, lo) from signed group by hi, lo having count(*) > 1)")
 def near_components_r6(spark, d):
     """The radius extension: components of equal hashes and of hashes within six bits."""
-    s = _docs(spark, d)
-    reps = s.groupBy("hi", "lo").agg(F.min("image_id").alias("rep"))
-    edges = s.join(reps, ["hi", "lo"]).select(F.col("image_id").alias("u"), F.col("rep").alias("v")).unionByName(det.hash_pairs(s, 6).select(F.col("a").alias("u"), F.col("b").alias("v")))
-    from ..plans.components import connected
-
-    return connected(edges).select("component", F.col("node").alias("image_id"))
+    sets = det.detect(_docs(spark, d, want=("dct",)), ("dct",), ("original",), radius=6)
+    return sets.select(F.substring_index("set_id", ":", -1).cast("long").alias("component"), "image_id")
 
 
-_SOLO = "variants as (select 'original' as variant, image_id, path, subject, ahi, vec, q from signed)"
 _EER = " select round((fnmr + fmr) / 2, 6) as eer, threshold from (select *, row_number() over (order by abs(fnmr - fmr), threshold) as r from curve) where r = 1"
 
 
 @query("eer_documents", o.with_(o.documents("mix"), _SOLO, o.comparisons(), o.rates()) + _EER)
 def eer_documents(spark, d):
     """Shingle features say little about the labels of documents: near chance."""
-    return bio.eer(bio.rates(bio.comparisons(_docs(spark, d, "mix"))))
+    return bio.eer(bio.rates(bio.comparisons(_docs(spark, d, "mix", catalog.ALL))))
 
 
 _RAW = "signed as (select vec_id as image_id, cast(label as varchar) as subject, concat(label, '/', lpad(cast(vec_id as varchar), 10, '0')) as path, 1::bigint as ahi, list_transform(embedding, lambda x: cast(floor(cast(x as double) * 32768 + 0.5) as bigint)) as vec, cast(vec_id % 7 as double) as q from embeddings)"
@@ -597,16 +714,26 @@ _RAW = "signed as (select vec_id as image_id, cast(label as varchar) as subject,
 @query("eer_raw_vectors", o.with_(_RAW, _SOLO, o.comparisons(), o.rates()) + _EER)
 def eer_raw_vectors(spark, d):
     """The given vectors under their labels: chance level."""
+    return bio.eer(bio.rates(bio.comparisons(_raw_vectors(spark, d))))
+
+
+def _raw_vectors(spark, d) -> DataFrame:
     e = catalog.table(spark, d, "embeddings")
     vec = F.transform("embedding", lambda x: F.floor(x.cast("double") * 32768 + 0.5).cast("long"))
     path = F.concat(F.col("label").cast("string"), F.lit("/"), catalog.padded("vec_id"))
-    rows = e.select(F.col("vec_id").alias("image_id"), F.col("label").cast("string").alias("subject"), path.alias("path"), F.lit(1).cast("long").alias("ahi"), vec.alias("vec"), (F.col("vec_id") % 7).cast("double").alias("q"))
-    return bio.eer(bio.rates(bio.comparisons(rows)))
+    return e.select(F.col("vec_id").alias("image_id"), F.col("label").cast("string").alias("subject"), path.alias("path"), F.lit(1).cast("long").alias("ahi"), vec.alias("vec"), (F.col("vec_id") % 7).cast("double").alias("q"))
 
 
-#: The second quality provider on the planted collection: many ties, every sixth image without a score.
-_Q2 = "case when image_id % 6 <> 0 then cast((image_id * 7) % 5 as double) end"
 _Q2_SIGNED = o.planted_signed().replace("signed as (select 'planted'", "signed_1 as (select 'planted'") + f", signed as (select * exclude (q), {_Q2} as q from signed_1)"
-_EDC2 = {e: _edc_sql(e, " , s as (select variant, fraction, error, least(coalesce(lead(fraction) over (partition by variant order by fraction), 1), 0.2) as e from edc) select round(sum(floor((e - fraction) * error * 1e12 + 0.5))::double / 1e12, 6) as pauc from s where fraction < 0.2").replace(o.with_(*_RATES), o.with_(_Q2_SIGNED, _SOLO, o.comparisons(), o.rates())) for e in ("fnmr", "fmr")}
 for _e in ("fnmr", "fmr"):
-    query(f"edc_pauc_{_e}_second_quality", _EDC2[_e])(lambda spark, d, e=_e: bio.pauc(bio.edc(materialise(bio.comparisons(planted.signed(spark, d).withColumn("q", F.expr(_Q2))), "scored"), e)))
+    _tail = " , s as (select variant, fraction, error, least(coalesce(lead(fraction) over (partition by variant order by fraction), 1), 0.2) as e from edc) select round(sum(floor((e - fraction) * error * 1e12 + 0.5))::double / 1e12, 6) as pauc from s where fraction < 0.2"
+    query(f"edc_pauc_{_e}_second_quality", _edc_sql(_e, _tail, signed=_Q2_SIGNED, variants=_SOLO))(
+        lambda spark, d, e=_e: bio.pauc(bio.edc(materialise(bio.comparisons(planted.signed(spark, d).withColumn("q", F.expr(_Q2))), "scored"), e))
+    )
+
+
+# ---- raw vectors: a control without copies
+
+@query("experiment_raw_vectors", o.with_(_RAW, _SOLO, o.comparisons(), o.rates(), *o.measures()) + " select measure, value from measured")
+def experiment_raw_vectors(spark, d):
+    return bio.measures(materialise(bio.comparisons(_raw_vectors(spark, d)), "scored"), ())

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..functions.arithmetic import SCALE
-from ..operators import baselines as base, preprocess as pre, stats
+from ..operators import baselines as base, detect as det, preprocess as pre, resolve as res, stats
 from ..plans.shipping import ship
 from ..plans.storage import materialise
 from ..sources import catalog, images, planted
@@ -165,7 +165,7 @@ def similarity_transform(spark, d):
 
 def _renders(spark, d, edits=images.EDITS, size=128):
     ship(spark)
-    return images.rendered(catalog.table(spark, d, "embeddings"), edits, size)
+    return images.rendered(catalog.spread(catalog.table(spark, d, "embeddings")), edits, size)
 
 
 @query("warp")
@@ -194,16 +194,33 @@ def segment_sig_sets(spark, d):
 
 @query("segment_match")
 def segment_match(spark, d):
+    """One region within a quarter of the bits, the default settings."""
+    return images.segment_matches(_hashed(spark, d))
+
+
+@query("segment_match_strict")
+def segment_match_strict(spark, d):
+    """Three regions within two bits: a stricter setting, by bands."""
     return images.segment_matches(_hashed(spark, d), region_cutoff=3, bit_error_rate=0.03)
 
 
+@query("detect_renders")
+def detect_renders(spark, d):
+    """All three detectors on renders and their edits."""
+    return det.detect(images.sign(_renders(spark, d, size=64)), variants=("original",), verify=False)
+
+
+@query("merged_renders")
+def merged_renders(spark, d):
+    """Sets of both image hashes merged where they overlap."""
+    return res.merge(det.detect(images.sign(_renders(spark, d, size=64)), variants=("original",), verify=False))
+
 @query("hash_function_yield")
 def hash_function_yield(spark, d):
-    """Images found by either hash on renders with light edits: the frequency hash finds more than the region hash."""
-    h = _hashed(spark, d)
-    dct = h.groupBy("hi", "lo").agg(F.count("*").alias("n")).where("n > 1").agg(F.sum("n").alias("images")).select(F.lit("dct").alias("detector"), "images")
-    seg = images.segment_signature_sets(h).agg(F.count("*").alias("images")).select(F.lit("segment").alias("detector"), "images")
-    return dct.unionByName(seg)
+    """Images and sets that each detector finds on renders and all their edits, and both hashes together: the frequency hash finds more than the region hash."""
+    sets = materialise(det.detect(images.sign(_renders(spark, d, size=64)), variants=("original",), verify=False), "sets")
+    near = sets.where("detector <> 'digest'").agg(F.count_distinct("image_id").alias("images"), F.count_distinct("set_id").alias("sets"))
+    return stats.detector_yield(sets).select("detector", "images", "sets").unionByName(near.select(F.lit("both hashes").alias("detector"), "images", "sets"))
 
 
 @query("source_planted")

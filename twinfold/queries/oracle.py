@@ -24,6 +24,17 @@ def _halves(prefix: str, words: str, out: str) -> str:
                  cast(sum(case when k >= 32 and 2 * c > m then 1::bigint << (63 - k) else 0 end) as bigint) as lo from {prefix}coef join {prefix}mid using (image_id) group by image_id)"""
 
 
+def _regions(prefix: str, tokens: str, lines: str, out: str) -> str:
+    """CTEs for ``out(image_id, seg)``: gradient hashes of the lines of at least five tokens, else of the whole text, as one checksum."""
+    return f"""
+{prefix}large as (select image_id, ln, l from {lines} where len(l) >= 5),
+{prefix}parts as (select * from {prefix}large union all select image_id, 0 as ln, l from {tokens} where image_id not in (select image_id from {prefix}large)),
+{prefix}counts as (select image_id, ln, cell, count(*) as n from (select image_id, ln, cast('0x' || substr(md5(w), 1, 3) as int) % 72 as cell from (select image_id, ln, unnest(l) as w from {prefix}parts)) group by all),
+{prefix}bits as (select a.image_id, a.ln, a.cell // 9 * 8 + a.cell % 9 - 1 as k from {prefix}counts a left join {prefix}counts b on b.image_id = a.image_id and b.ln = a.ln and b.cell = a.cell - 1 where a.cell % 9 > 0 and a.n > coalesce(b.n, 0)),
+{prefix}grad as (select image_id, ln, cast(sum(case when k < 32 then 1::bigint << (31 - k) else 0 end) as bigint) as hi, cast(sum(case when k >= 32 then 1::bigint << (63 - k) else 0 end) as bigint) as lo from {prefix}bits group by all),
+{out} as (select image_id, md5(string_agg(concat(coalesce(hi, 0), ':', coalesce(lo, 0)), '-' order by ln)) as seg from {prefix}parts left join {prefix}grad using (image_id, ln) group by image_id)"""
+
+
 def documents(subject: str = "source", features: bool = True) -> str:
     """``signed`` for ``documents``."""
     corpus = f"""
@@ -40,15 +51,21 @@ vecs as (select i.image_id, list(cast(coalesce(x, 0) as bigint) order by g.b) as
     return rf"""
 toks as (select image_id, {TOKENS} as l from corpus where content is not null),
 kept_toks as (select image_id, list_filter(l, lambda w: length(w) > 1 and not regexp_matches(w, '[0-9]')) as l from toks),
+line_toks as (select image_id, ln, {TOKENS} as l from (select image_id, unnest(string_split(content, chr(10))) as content, generate_subscripts(string_split(content, chr(10)), 1) as ln from corpus where content is not null)),
+kept_line_toks as (select image_id, ln, list_filter(l, lambda w: length(w) > 1 and not regexp_matches(w, '[0-9]')) as l from line_toks),
+good_toks as (select * from kept_toks where len(l) >= 5),
 words as (select image_id, unnest(l) as w from toks),
 awords as (select image_id, unnest(l) as w from kept_toks where len(l) >= 5),
 {_halves('o_', 'words', 'hash_o')},
 {_halves('a_', 'awords', 'hash_a')},
+{_regions('ro_', 'toks', 'line_toks', 'region_o')},
+{_regions('ra_', 'good_toks', '(select * from kept_line_toks where image_id in (select image_id from good_toks))', 'region_a')},
 {vec if features else "vecs as (select image_id, cast(null as bigint[]) as vec from corpus)"},
 signed as (select c.dataset, c.image_id, c.path, c.subject, c.content, cast(octet_length(encode(c.content)) as bigint) as length, sha256(c.content) as digest,
-                  coalesce(o.hi, 0) as hi, coalesce(o.lo, 0) as lo, case when len(k.l) >= 5 then coalesce(a.hi, 0) end as ahi, case when len(k.l) >= 5 then coalesce(a.lo, 0) end as alo, v.vec,
+                  coalesce(o.hi, 0) as hi, coalesce(o.lo, 0) as lo, case when len(k.l) >= 5 then coalesce(a.hi, 0) end as ahi, case when len(k.l) >= 5 then coalesce(a.lo, 0) end as alo, ro.seg, ra.seg as aseg, v.vec,
                   case when len(t.l) >= 5 then cast(floor(len(list_distinct(t.l)) * 1000 / len(t.l)) + least(length(c.content), 1000) as double) end as q
-           from corpus c join toks t using (image_id) join kept_toks k using (image_id) left join hash_o o using (image_id) left join hash_a a using (image_id) left join vecs v using (image_id))"""
+           from corpus c join toks t using (image_id) join kept_toks k using (image_id) left join hash_o o using (image_id) left join hash_a a using (image_id) left join vecs v using (image_id)
+                left join region_o ro using (image_id) left join region_a ra using (image_id))"""
 
 
 def planted_signed() -> str:
@@ -60,13 +77,16 @@ def score(a: str, b: str) -> str:
     return f"cast(floor({dot.format(a, b)} / (sqrt({dot.format(a, a)}) * sqrt({dot.format(b, b)})) * {SCALE} + 0.5) as bigint)"
 
 
-def sets(rows: str = "signed", out: str = "sets", digest: bool = True, variants=("original", "aligned")) -> str:
+def sets(rows: str = "signed", out: str = "sets", digest: bool = True, variants=("original", "aligned"), segment: bool = True) -> str:
     parts = []
     if digest:
         parts.append(f"select 'digest:' || digest as set_id, image_id, 'digest' as detector, 'original' as variant from {rows} where digest in (select digest from {rows} group by digest having count(*) > 1)")
     for v, (hi, lo) in {"original": ("hi", "lo"), "aligned": ("ahi", "alo")}.items():
         if v in variants:
             parts.append(f"select concat('dct:{v}:', {hi}, ':', {lo}), image_id, 'dct', '{v}' from {rows} where ({hi}, {lo}) in (select ({hi}, {lo}) from {rows} where {hi} is not null group by {hi}, {lo} having count(*) > 1)")
+            if segment:
+                c = "seg" if v == "original" else "aseg"
+                parts.append(f"select concat('segment:{v}:', {c}), image_id, 'segment', '{v}' from {rows} where {c} in (select {c} from {rows} where {c} is not null group by {c} having count(*) > 1)")
     return f"{out} as ({' union all '.join(parts)})" if digest else f"{out}(set_id, image_id, detector, variant) as ({' union all '.join(parts)})"
 
 
@@ -161,5 +181,31 @@ curve as (select variant, threshold, coalesce(sum(m) over p, 0)::double / sum(m)
           from bins window p as (partition by variant order by threshold rows between unbounded preceding and 1 preceding))"""
 
 
+def discard(error: str, start: float = 0.05, suffix: str = "") -> str:
+    """``edc(variant, fraction, error)`` from ``scored`` and ``curve``; names end in ``suffix``."""
+    wrong = "score < t" if error == "fnmr" else "score >= t"
+    x = suffix
+    return f"""start{x} as (select variant, threshold as t from (select variant, threshold, row_number() over (partition by variant order by abs({error} - {start}), threshold) as r from curve) where r = 1),
+eb{x} as (select variant, pair_q, count(*) as n, count(*) filter (where {wrong}) as w from scored join start{x} using (variant) where mated = {str(error == 'fnmr').lower()} group by all),
+edc{x} as (select variant, coalesce(sum(n) over p, 0)::double / sum(n) over (partition by variant) as fraction, (sum(w) over (partition by variant) - coalesce(sum(w) over p, 0))::double / (sum(n) over (partition by variant) - coalesce(sum(n) over p, 0)) as error
+        from eb{x} window p as (partition by variant order by pair_q rows between unbounded preceding and 1 preceding))"""
+
+
+def measures() -> tuple[str, ...]:
+    """``measured(variant, measure, value)`` from ``scored`` and ``curve``."""
+    areas = ", ".join(
+        f"""{discard(e, suffix='_' + e)},
+area_{e} as (select variant, round(sum(floor((e - fraction) * error * 1e12 + 0.5))::double / 1e12, 6) as value
+             from (select variant, fraction, error, least(coalesce(lead(fraction) over (partition by variant order by fraction), 1), 0.2) as e from edc_{e}) where fraction < 0.2 group by variant)"""
+        for e in ("fnmr", "fmr")
+    )
+    return (
+        areas,
+        """measured as (select variant, 'eer' as measure, round((fnmr + fmr) / 2, 6) as value from (select *, row_number() over (partition by variant order by abs(fnmr - fmr), threshold) as r from curve) where r = 1
+union all select variant, concat('fnmr_at_', target::varchar), round(fnmr, 6) from (select variant, target, fnmr, row_number() over (partition by variant, target order by fmr desc, fnmr) as r from curve cross join (select unnest([0.001, 0.01])::double as target) t where fmr <= target) where r = 1
+union all select variant, 'pauc_fnmr', value from area_fnmr union all select variant, 'pauc_fmr', value from area_fmr)""",
+    )
+
+
 def with_(*parts: str) -> str:
     return "with recursive " + ",\n".join(parts)

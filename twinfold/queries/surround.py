@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 from ..operators import detect as det
 from ..plans import report
 from ..plans.shipping import ship
-from ..plans.storage import shared_dir
+from ..plans.storage import fresh
 from ..sources.catalog import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -40,7 +40,7 @@ def range_source(spark, d):
 
 
 def _trip(spark, d, fmt: str) -> DataFrame:
-    path = f"{shared_dir(spark)}/twinfold/trip-{fmt}"
+    path = fresh(spark, f"trip-{fmt}")
     src = table(spark, d, "events").select("event_id", "event_type", "props")
     schema = "event_id long, event_type string, props string"
     w = src.write.mode("overwrite")
@@ -66,7 +66,7 @@ def roundtrip_formats(spark, d):
 @query("sink_partitioned", "select lang, count(*) as documents, cast(sum(n_chars) as bigint) as chars from documents group by lang")
 def sink_partitioned(spark, d):
     """Partitioned, sorted, idempotent (overwrites only the partitions it writes)."""
-    path = f"{shared_dir(spark)}/twinfold/by-lang"
+    path = fresh(spark, "by-lang")
     src = table(spark, d, "documents").select("doc_id", "n_chars", "lang")
     for _ in range(2):
         src.repartition("lang").sortWithinPartitions("doc_id").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("lang").parquet(path)
@@ -80,7 +80,7 @@ def sink_actions(spark, d):
 
     c = det.with_digest(documents(spark, d)).select("digest", "path")
     gone = c.join(c.groupBy("digest").agg(F.min("path").alias("keep")), "digest").where("path <> keep").select("path", F.lit("remove").alias("action"))
-    path = f"{shared_dir(spark)}/twinfold/actions"
+    path = fresh(spark, "actions")
     gone.repartitionByRange(1, "path").sortWithinPartitions("path").write.mode("overwrite").option("header", True).csv(path)
     return spark.read.schema("path string, action string").option("header", True).csv(path)
 

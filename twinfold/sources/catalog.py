@@ -1,19 +1,23 @@
 """Labelled collections on the given tables, and what one pass over their content yields.
 
-A *corpus* row is ``dataset, image_id, path, subject, content``; a *signed* row adds ``length, digest, hi, lo`` (the 64-bit hash as two halves), the same of the aligned variant
-(``ahi, alo``, null where alignment failed), the feature vector ``vec`` (array of long, null where extraction failed) and the quality ``q`` (null where missing).
-Everything after the signing pass reads signed rows without their content.
+A *corpus* row is ``dataset, image_id, path, subject, content``; a *signed* row has, in place of the content, ``length, digest, hi, lo`` (the 64-bit hash as two halves), ``seg`` (the crop-tolerant hash: one
+checksum of its list of region hashes), the same of the aligned variant (``ahi, alo, aseg``, null where alignment failed), the feature vector ``vec`` (array of long, null where extraction failed) and the
+quality ``q`` (null where missing). Everything after the signing pass reads signed rows; only the byte check reads the content of candidates again.
 """
 
 from __future__ import annotations
 
-import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession, functions as F
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F, types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions import arithmetic, text as txt
 from ..plans.shipping import ship
 
-SIGNED = ("dataset", "image_id", "path", "subject", "content", "length", "digest", "hi", "lo", "ahi", "alo", "vec", "q")
+SCHEMA = "dataset string, image_id long, path string, subject string, length long, digest string, hi long, lo long, ahi long, alo long, seg string, aseg string, vec array<long>, q double"
+ALL = ("digest", "dct", "segment", "vec", "q")
+DETECT = ("digest", "dct", "segment")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -57,35 +61,88 @@ def text_quality(content: Column) -> Column:
     return F.when(n >= 5, (F.floor(d * 1000 / n) + F.least(F.length(content), F.lit(1000))).cast("double"))
 
 
-def sign(corpus: DataFrame, quality: bool = True) -> DataFrame:
-    """One pass: digest in the JVM, rasters, hashes and features in Arrow batches of token strings."""
-    ship(corpus.sparkSession)
+def spread(rows: DataFrame) -> DataFrame:
+    """The rows of a small file over all cores: dealt anew only where the scan has fewer partitions than there are cores (never for large inputs)."""
+    if rows.isStreaming:
+        return rows
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(cores) if rows.rdd.getNumPartitions() < cores else rows
 
-    def work(batches):
-        cache3: dict[str, int] = {}
-        cache4: dict[str, int] = {}
-        for pdf in batches:
-            out = pdf[["dataset", "image_id", "path", "subject", "content", "length", "digest", "q"]].copy()
-            rasters = [txt.raster(t or "", cache3) for t in pdf["tokens"]]
-            half = arithmetic.pack(arithmetic.dct_bits(_stack(rasters)))
-            out["hi"], out["lo"] = half[:, 0], half[:, 1]
-            there = pdf["aligned"].notna().to_numpy()
-            crops = arithmetic.pack(arithmetic.dct_bits(_stack([txt.raster(t, cache3) if ok else rasters[0] * 0 for t, ok in zip(pdf["aligned"], there)])))
-            out["ahi"], out["alo"] = pd.array(crops[:, 0], dtype="Int64"), pd.array(crops[:, 1], dtype="Int64")
-            out.loc[~there, ["ahi", "alo"]] = pd.NA
-            out["vec"] = [None if v is None else v.tolist() for v in (txt.shingle_features(t or "", cache4) for t in pdf["tokens"])]
-            yield out[list(SIGNED)]
 
+def sign(corpus: DataFrame, want=ALL) -> DataFrame:
+    """One pass over the content: digest and tokens in the JVM, hashes and features in Arrow batches of token lines, computed over whole batches.
+
+    ``want`` names what is computed (``digest``, ``dct``, ``segment``, ``vec``, ``q``); the columns of the rest are null. The content itself goes no further than the JVM.
+    """
+    ship(corpus.sparkSession)
+    want = frozenset(want)
+    if unknown := want - frozenset(ALL):
+        raise ValueError(f"unknown signatures {sorted(unknown)}")
     content = F.col("content")
-    read = corpus.select(
-        "dataset", "image_id", "path", "subject", "content", F.octet_length("content").cast("long").alias("length"), F.sha2(content.cast("binary"), 256).alias("digest"),
-        (text_quality(content) if quality else F.lit(None).cast("double")).alias("q"), txt.flat(content).alias("tokens"), txt.normalised(content).alias("aligned"),
+    own = ["dataset", "image_id", "path", "subject"]
+    read = spread(corpus.where("content is not null").select(*own, "content")).select(
+        *own, F.octet_length("content").cast("long").alias("length"), (F.sha2(content.cast("binary"), 256) if "digest" in want else F.lit(None).cast("string")).alias("digest"),
+        F.length("content").alias("chars"), txt.lines_of(content).alias("lines"),
     )
-    schema = "dataset string, image_id long, path string, subject string, content string, length long, digest string, hi long, lo long, ahi long, alo long, vec array<long>, q double"
-    return read.where("content is not null").mapInPandas(work, schema)
+    arrow = to_arrow_schema(T._parse_datatype_string(SCHEMA))
+
+    def work(batches):
+        three, four = txt.Digests(3, flag=True), txt.Digests(4)
+        for batch in batches:
+            made = dict.fromkeys(("hi", "lo", "ahi", "alo", "seg", "aseg", "vec", "q"))
+            texts = batch.column("lines").to_pylist()
+            n = len(texts)
+            words = [t.split() for t in texts]
+            sizes = np.fromiter(map(len, words), np.int64, n)
+            if want & {"dct", "segment"}:
+                coded = three.of([w for x in words for w in x])
+                doc = np.repeat(np.arange(n), sizes)
+                digits, keep = coded & 4095, coded >> 12 > 0
+                there = np.bincount(doc, weights=keep, minlength=n) >= 5
+                crop = keep & there[doc]
+                gone = ~there
+            if "dct" in want:
+                half = arithmetic.pack(arithmetic.dct_bits(txt.rasters(doc, digits, n)))
+                crops = arithmetic.pack(arithmetic.dct_bits(txt.rasters(doc[crop], digits[crop], n)))
+                made |= {"hi": pa.array(half[:, 0]), "lo": pa.array(half[:, 1]), "ahi": pa.array(crops[:, 0], mask=gone), "alo": pa.array(crops[:, 1], mask=gone)}
+            if "segment" in want:
+                lines = [len(line.split()) for t in texts for line in t.split("\n")]
+                line = np.repeat(np.arange(len(lines)), lines)
+                made["seg"] = pa.array(txt.region_signatures(doc, line, digits, n))
+                made["aseg"] = pa.array(np.array(txt.region_signatures(doc[crop], line[crop], digits[crop], n), object), pa.string(), mask=gone)
+            if "vec" in want:
+                made["vec"] = pa.array([txt.shingle_features(x, four) for x in words], pa.list_(pa.int64()))
+            if "q" in want:
+                made["q"] = pa.array([len(set(x)) * 1000 // len(x) + min(c, 1000) if len(x) >= 5 else None for x, c in zip(words, batch.column("chars").to_pylist())], pa.float64())
+            yield pa.RecordBatch.from_arrays([pa.nulls(n, f.type) if made.get(f.name, 0) is None else made[f.name].cast(f.type) if f.name in made else batch.column(f.name).cast(f.type) for f in arrow], schema=arrow)
+
+    return read.mapInArrow(work, SCHEMA)
+
+
+def _hashed(corpus: DataFrame, schema: str, f) -> DataFrame:
+    """``image_id`` and what ``f`` makes of the token strings of a batch."""
+    ship(corpus.sparkSession)
+    arrow = to_arrow_schema(T._parse_datatype_string(f"image_id long, {schema}"))
+
+    def work(batches):
+        digests = txt.Digests(3)
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("image_id"), *f(batch.column("tokens").to_pylist(), digests)], schema=arrow)
+
+    return spread(corpus.select("image_id", "content")).select("image_id", txt.flat(F.col("content")).alias("tokens")).mapInArrow(work, f"image_id long, {schema}")
+
+
+def long_hash(corpus: DataFrame, low: int = 16) -> DataFrame:
+    """The frequency hash with ``low`` x ``low`` coefficients, as words of 32 bits."""
+    return _hashed(corpus, "words array<long>", lambda texts, d: [pa.array(arithmetic.pack(arithmetic.dct_bits(txt.token_rasters(texts, d), low)).tolist(), pa.list_(pa.int64()))])
+
 
+def gradient_hash(corpus: DataFrame) -> DataFrame:
+    """The gradient hash of whole texts: 8 x 9 cells, each compared with its left neighbour, as two halves."""
 
-def _stack(rasters):
-    import numpy as np
+    def work(texts, digests):
+        words = [(t or "").split() for t in texts]
+        half = txt.gradients(np.repeat(np.arange(len(words)), [len(x) for x in words]), digests.of([w for x in words for w in x]), len(words))
+        return [pa.array(half[:, 0]), pa.array(half[:, 1])]
 
-    return np.stack(rasters) if rasters else np.zeros((0, arithmetic.SIDE, arithmetic.SIDE), np.int64)
+    return _hashed(corpus, "hi long, lo long", work)
