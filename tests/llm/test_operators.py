@@ -460,6 +460,59 @@ def test_class_prior_of_a_known_mixture():
     assert abs(quality.class_prior(p, u) - 0.7) < 0.08
 
 
+def test_risk_and_gradient_against_plain_versions():
+    """The non-negative risk summed text by text, and its gradient by differences, on both sides of zero."""
+    seen = set()
+    for seed in range(12):
+        rng = np.random.default_rng(seed)
+        p, u = rng.normal(1, 1, (9, 5)), rng.normal(-1 if seed % 2 else 1, 1, (14, 5))
+        net = quality.Network(np.vstack([p, u]), 3, seed)
+        net.p = [x + rng.normal(0, 0.5, x.shape) for x in net.p]
+        prior = 0.3 if seed % 3 else 0.95
+
+        def parts():
+            def out(x):
+                return float(np.tanh(x @ net.p[0] + net.p[1]) @ net.p[2] + net.p[3][0])
+
+            loss = lambda f: math.log1p(math.exp(-f))
+            own = prior * sum(loss(out(x)) for x in p) / len(p)
+            rest = sum(loss(-out(x)) for x in u) / len(u) - prior * sum(loss(-out(x)) for x in p) / len(p)
+            return own, rest
+
+        own, rest, g = quality.risk_gradient(net, p, u, prior)
+        assert np.allclose((own, rest), parts())
+        seen.add(rest >= 0)
+        for k in range(4):
+            for i in np.ndindex(net.p[k].shape):
+                at, d = net.p[k][i], []
+                for e in (1e-5, -1e-5):
+                    net.p[k][i] = at + e
+                    a, b = parts()
+                    d.append(a + b if rest >= 0 else -b)
+                net.p[k][i] = at
+                assert abs((d[0] - d[1]) / 2e-5 - g[k][i]) < 1e-6
+    assert seen == {True, False}
+
+
+def test_language_scores_are_a_plain_forward_pass(spark, data):
+    docs = spark.read.parquet(f"{data}/documents.parquet")
+    model = langid.fit(docs)
+    got = {r["doc_id"]: r for r in langid.predict(docs, model).collect()}
+    for r in docs.limit(40).collect():
+        b = (" " + re.sub(r"[\W\d_]+", " ", r["text"].lower()).strip() + " ").encode()
+        total, n = np.zeros(model.embedding.shape[1]), 0
+        for size in (3, 4):
+            for at in range(len(b) - size + 1):
+                h = 0
+                for x in b[at : at + size]:
+                    h = (h * 0x100000001B3 + x + size) % (1 << 64)
+                total += model.embedding[(h * 0x9E3779B97F4A7C15) % (1 << 64) >> (64 - model.bits)]
+                n += 1
+        z = (total / n @ model.weight + model.bias) / model.temperature
+        p = np.exp(z - z.max()) / np.exp(z - z.max()).sum()
+        assert got[r["doc_id"]]["lang_pred"] == model.languages[int(p.argmax())] and abs(got[r["doc_id"]]["score"] - p.max()) < 1e-5
+
+
 def test_language_on_held_out(spark):
     truth = {r["doc_id"]: r["lang"] for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
     rows = [r for r in queries.op10_language_id(spark, SF).collect() if r["held_out"]]

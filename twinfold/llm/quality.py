@@ -108,27 +108,34 @@ def class_prior(positive: np.ndarray, web: np.ndarray, seed: int = 3) -> float:
     return float(np.clip(min(tail(gu, t) / max(tail(gp, t), 1e-9) + (tail(gu, t) / len(gu)) ** 0.5 / max(tail(gp, t), 1e-9) for t in cuts), 0.02, 0.98))
 
 
+def risk_gradient(net: Network, p: np.ndarray, u: np.ndarray, prior: float) -> tuple[float, float, list[np.ndarray]]:
+    """The two parts of the risk on standardised positives ``p`` and unlabelled ``u`` (logistic loss): of positives, and of negatives as unlabelled less positives; and the step's gradient, of their sum, or, where
+    the second part is negative, of its negation."""
+    sigmoid = lambda a: 1 / (1 + np.exp(-np.clip(a, -30, 30)))
+    (hp, fp), (hu, fu) = net.raw(p), net.raw(u)
+    negative = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
+    below = net.gradient(u, hu, sigmoid(fu) / len(u))
+    above = net.gradient(p, hp, sigmoid(fp) * prior / len(p))
+    part = [a - b for a, b in zip(below, above)]
+    if negative >= 0:
+        own = net.gradient(p, hp, -sigmoid(-fp) * prior / len(p))
+        g = [a + b for a, b in zip(own, part)]
+    else:
+        g = [-a for a in part]
+    return float(prior * np.logaddexp(0, -fp).mean()), float(negative), g
+
+
 def train(positive: np.ndarray, web: np.ndarray, prior: float, hidden: int = 24, epochs: int = 40, batch: int = 512, rate: float = 3e-3, decay: float = 1e-4, seed: int = 7) -> Network:
     net = Network(np.vstack([positive, web]), hidden, seed)
     p, u = net.standard(positive.astype(float)), net.standard(web.astype(float))
     rng = np.random.default_rng(seed)
     m, v, t = [np.zeros_like(a) for a in net.p], [np.zeros_like(a) for a in net.p], 0
-    sigmoid = lambda a: 1 / (1 + np.exp(-np.clip(a, -30, 30)))
     for _ in range(epochs):
         parts = max(1, round(max(len(p), len(u)) / batch))
         for ip, iu in zip(np.array_split(rng.permutation(len(p)), parts), np.array_split(rng.permutation(len(u)), parts)):
             if not len(ip) or not len(iu):
                 continue
-            (hp, fp), (hu, fu) = net.raw(p[ip]), net.raw(u[iu])
-            negative = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
-            below = net.gradient(u[iu], hu, sigmoid(fu) / len(iu))
-            above = net.gradient(p[ip], hp, sigmoid(fp) * prior / len(ip))
-            part = [a - b for a, b in zip(below, above)]
-            if negative >= 0:
-                own = net.gradient(p[ip], hp, -sigmoid(-fp) * prior / len(ip))
-                g = [a + b for a, b in zip(own, part)]
-            else:
-                g = [-a for a in part]
+            g = risk_gradient(net, p[ip], u[iu], prior)[2]
             t += 1
             for i, a in enumerate(g):
                 a = a + decay * net.p[i]
