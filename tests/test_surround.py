@@ -10,3 +10,11 @@ def _plan(df) -> str:
 def test_range_source_reads_orders(spark, data):
     df = surround.QUERIES["range_source"](spark, data)
     assert "o_orderkey" in _plan(df) and df.agg({"orders": "sum"}).first()[0] == spark.read.parquet(f"{data}/orders.parquet").count()
+
+
+def test_sketches_are_not_held_for_each_distinct_order(spark, tmp_path):
+    spark.createDataFrame([("A", 1, 5.0), ("A", 1, 7.0), ("A", 2, 7.0), (None, 3, 1.0)], "l_returnflag string, l_orderkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    df = surround.QUERIES["agg_sketches"](spark, str(tmp_path))
+    assert sorted((str(r["l_returnflag"]), r["orders"], r["orders_hll"], r["exact"]) for r in df.collect()) == [("A", 2, 2, 2), ("None", 1, 1, 1)]
+    aggregates = [x for x in df._jdf.queryExecution().executedPlan().toString().splitlines() if "Aggregate(" in x]
+    assert not [x for x in aggregates if "hll" in x and "l_orderkey" in x.split("functions=")[0]]
