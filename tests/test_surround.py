@@ -18,3 +18,9 @@ def test_sketches_are_not_held_for_each_distinct_order(spark, tmp_path):
     assert sorted((str(r["l_returnflag"]), r["orders"], r["orders_hll"], r["exact"]) for r in df.collect()) == [("A", 2, 2, 2), ("None", 1, 1, 1)]
     aggregates = [x for x in df._jdf.queryExecution().executedPlan().toString().splitlines() if "Aggregate(" in x]
     assert not [x for x in aggregates if "hll" in x and "l_orderkey" in x.split("functions=")[0]]
+
+
+def test_window_frames_round_to_the_nearest_second(spark, tmp_path):
+    """A day and a second apart after rounding, a day apart after cutting."""
+    spark.sql("select * from values (1L, 7L, timestamp_ntz'2024-01-01 00:00:00.4'), (2L, 7L, timestamp_ntz'2024-01-02 00:00:00.6') t(event_id, user_id, ts)").write.parquet(f"{tmp_path}/events.parquet")
+    assert sorted(map(tuple, surround.QUERIES["window_frames"](spark, str(tmp_path)).collect())) == [(1, 1, 1), (2, 2, 1)]
