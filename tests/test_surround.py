@@ -24,3 +24,8 @@ def test_window_frames_round_to_the_nearest_second(spark, tmp_path):
     """A day and a second apart after rounding, a day apart after cutting."""
     spark.sql("select * from values (1L, 7L, timestamp_ntz'2024-01-01 00:00:00.4'), (2L, 7L, timestamp_ntz'2024-01-02 00:00:00.6') t(event_id, user_id, ts)").write.parquet(f"{tmp_path}/events.parquet")
     assert sorted(map(tuple, surround.QUERIES["window_frames"](spark, str(tmp_path)).collect())) == [(1, 1, 1), (2, 2, 1)]
+
+
+def test_sql_cte_reads_orders(spark, data):
+    last = surround.QUERIES["sql_cte"](spark, data).orderBy("i").collect()[-1]
+    assert (last["i"], last["f"]) == (12, spark.read.parquet(f"{data}/orders.parquet").count())
