@@ -7,17 +7,25 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from ..functions import arithmetic
 from ..plans.components import connected
 from ..plans.storage import materialise
-from .resolve import fixed, pair_scores
+from .resolve import fixed, pair_scores, spanning
 
 MAX_CENTRES = 100_000
 
 
+def _labelled(corpus: DataFrame, features: DataFrame) -> tuple[DataFrame, DataFrame]:
+    have = features.where("vec is not null").select("image_id", "vec")
+    return corpus.where("subject is not null").select(F.col("subject").alias("component"), "image_id").join(have.select("image_id"), "image_id", "left_semi"), have
+
+
 def subject_graph(corpus: DataFrame, features: DataFrame, edge_tau: float | None = None) -> DataFrame:
     """Edges ``subject, u, v, score`` inside each label, pruned below ``edge_tau``. A large label's pairs are made in tiles, so that none is one task's work."""
-    have = features.where("vec is not null").select("image_id", "vec")
-    own = corpus.where("subject is not null").select(F.col("subject").alias("component"), "image_id").join(have.select("image_id"), "image_id", "left_semi")
-    edges = pair_scores(own, have).select(F.col("component").alias("subject"), F.col("a").alias("u"), F.col("b").alias("v"), "score")
-    return edges if edge_tau is None else edges.where(F.col("score") >= fixed(edge_tau))
+    edges = pair_scores(*_labelled(corpus, features), least=None if edge_tau is None else fixed(edge_tau))
+    return edges.select(F.col("component").alias("subject"), F.col("a").alias("u"), F.col("b").alias("v"), "score")
+
+
+def spanning_graph(corpus: DataFrame, features: DataFrame, edge_tau: float) -> DataFrame:
+    """Edges ``u, v`` that connect what the edges of ``subject_graph`` connect, at most one an image and tile: enough for components."""
+    return spanning(*_labelled(corpus, features), fixed(edge_tau))
 
 
 def communities(edges: DataFrame, how: str = "components", min_size: int = 3, rounds: int = 8) -> DataFrame:
@@ -59,7 +67,8 @@ def reassign(rest: DataFrame, members: DataFrame, features: DataFrame, assign_ta
 
 def graph_clean(corpus: DataFrame, features: DataFrame, edge_tau: float, min_size: int, assign_tau: float, community: str = "components") -> DataFrame:
     """Cleaned labels ``image_id, community, how``: retained by a large community, or assigned to one afterwards; others are dropped."""
-    kept = materialise(communities(subject_graph(corpus, features, edge_tau), community, min_size), "communities")
+    edges = (spanning_graph if community == "components" else subject_graph)(corpus, features, edge_tau)
+    kept = materialise(communities(edges, community, min_size), "communities")
     rest = corpus.join(kept.select("image_id"), "image_id", "left_anti")
     added = reassign(rest, kept, features, assign_tau)
     return kept.select("image_id", "community", F.lit("retained").alias("how")).unionByName(added.select("image_id", "community", F.lit("assigned").alias("how")))
