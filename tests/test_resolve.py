@@ -295,3 +295,15 @@ def test_persisted_store_is_idempotent(spark, tmp_path):
         st.fill_store(src(), store, f"file://{tmp_path}/{mark}")
         got = spark.read.schema("digest string, doc_id long, batch long").parquet(store).collect()
         assert sorted(r["doc_id"] for r in got) == [1, 3]
+
+def test_zero_features_are_no_evidence(spark, tmp_path):
+    """The planner makes unit vectors before it drops zero ones; signed shingle counts of a short text may cancel out."""
+    rows = [(1, "a", [3, 4]), (2, "a", [0, 0]), (3, "b", [4, -3]), (4, "b", None), (5, "c", [0, 0]), (6, "a", [6, 8]), (7, "b", [0, 0])]
+    spark.createDataFrame(rows, "image_id long, subject string, vec array<long>").write.parquet(f"{tmp_path}/images")
+    images = spark.read.parquet(f"{tmp_path}/images")
+    kept = spark.createDataFrame([(1, 6), (2, 7)], "component long, kept long")
+    involved = spark.createDataFrame([(1, "a"), (1, "b"), (1, "c"), (2, "a"), (2, "b")], "component long, subject string")
+    references = images.where("image_id < 6")
+    for strategy in ("centroid", "pairs"):
+        got = res.subject_scores(kept, involved, references, images, strategy).collect()
+        assert sorted((r["component"], r["kept"], r["subject"], round(r["mean"] / 2**20, 5), r["n"]) for r in got) == [(1, 6, "a", 1.0, 1), (1, 6, "b", 0.0, 1)]
