@@ -596,6 +596,29 @@ def test_pigeonhole_join_is_brute_force(spark):
         assert got == {i: (int(link[i].sum()), int(label[i])) for i in range(len(x))}
 
 
+def test_pigeonhole_join_deals_each_vector_once(spark, monkeypatch):
+    """A vector used to travel to every cell it visits, so that disk grew faster than the table."""
+    x = vectors(800)
+    x[400:500] = x[0]
+    plans = {}
+
+    def keep(df, name="cut", real=embed_dedup.materialise):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        out = real(df, name)
+        if name == "chunks":
+            plans["held"] = sum(len(r["nodes"]) // 8 for r in out.collect())
+        return out
+
+    monkeypatch.setattr(embed_dedup, "materialise", keep)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embed_dedup.near_duplicates(df, chunk=64, lot=128).collect()}
+    assert plans["held"] == len({v.astype(np.float32).tobytes() for v in x})
+    assert "Exchange" not in plans["links"] and "CartesianProduct" in plans["links"]
+    y = x.astype(np.float32).astype(np.float64)
+    link = (y @ y.T) / np.sqrt(np.outer((y * y).sum(1), (y * y).sum(1))) >= 0.9
+    assert {i: n for i, (n, _) in got.items()} == {i: int(link[i].sum()) - 1 for i in range(len(x))}
+
+
 def test_scan_recall_and_scores(spark):
     x = vectors(3000)
     df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")

@@ -2,10 +2,10 @@
 
 For unit vectors cosine >= t means a squared distance of at most 2(1-t). After a random rotation the coordinates are split into blocks; if the whole distance keeps its
 budget, some block keeps its proportional share. So each block is range-joined under its share, and the union of what the blocks find is verified exactly on the original
-vectors. A block's range join is a join on cells: a vector lives in the cell of its nearest pivot and also visits those later cells that can hold a point in range (distance to the
-bisecting plane, and to the cell's ball). A pair found in several blocks counts in the first of them only, so links are summed without listing pairs: a task returns, per vector, its number of
-links and the root of its local component. Cells are cut to chunks and visits to lots by their counts, so neither a hot cell nor a hot neighbour lands in one task.
-Equal vectors are one class before all that.
+vectors. Vectors lie in chunks, each once and in the order of their cells (nearest pivot); a tile joins two chunks block by block, and only blocks whose balls (centre and radius of a chunk in a block)
+come near enough to hold a pair in range. Tiles are a Cartesian product of the chunks' table with itself, read from its files: nothing is dealt out anew, so disk is linear in the vectors while the comparisons are not.
+Links are summed without listing pairs: a tile returns, per vector, its number of links and the root of its local component.
+Equal vectors are one class before all that, told by a digest of 128 bits.
 
 Defined results: vectors that take no part (see :func:`twinfold.llm.vectors.usable`) get a row with no links and their own id; repeated ids count as one vector and give one row each; null ids give
 rows with null ids; an empty table gives an empty result. Labels and other columns are not read.
@@ -13,132 +13,192 @@ rows with null ids; an empty table gives an empty result. Labels and other colum
 
 from __future__ import annotations
 
+import hashlib
 import math
+from functools import reduce
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, functions as F
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from ..plans.components import connected
 from ..plans.shipping import ship
-from ..plans.storage import materialise
-from .vectors import as_matrix, distances, matrix, pivots, rotation, usable
+from ..plans.storage import discard, materialise
+from .vectors import least_of_each_id, matrix, pivots, rotation, sound
 
-KEYS = ["block", "cell", "lo", "hi", "lot"]
+CHUNK = "id long, nodes binary, copies binary, v binary, centre array<double>, radii array<double>"
+STRIPE = 256
 
 
 class Subspaces:
-    """Rotation, blocks of columns, pivots of each block, and the share of the distance that each block may use."""
+    """Rotation, blocks of columns, the share of the distance that each block may use, and the pivots that order vectors."""
 
     def __init__(self, sample: np.ndarray, threshold: float, blocks: int, cells: int, seed: int = 23):
         self.dim = sample.shape[1]
         self.turn = rotation(self.dim, seed)
         self.columns = [c for c in np.array_split(np.arange(self.dim), min(blocks, self.dim)) if len(c)]
         self.budget = [2 * (1 - threshold) * len(c) / self.dim + 1e-9 for c in self.columns]
-        turned = self.turned(sample)
-        self.pivots = [pivots(turned[:, c], cells, seed + i) for i, c in enumerate(self.columns)]
+        self.pivots = pivots(sample / np.sqrt((sample * sample).sum(1))[:, None], cells, seed)
 
     def turned(self, raw: np.ndarray) -> np.ndarray:
         return (raw / np.sqrt((raw * raw).sum(1))[:, None]) @ self.turn
 
-    def home(self, turned: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        d = [distances(turned[:, c], p) for c, p in zip(self.columns, self.pivots)]
-        own = np.stack([x.argmin(axis=1) for x in d], axis=1)
-        return own, np.stack([np.sqrt(x.min(axis=1)) for x in d], axis=1)
-
-    def visits(self, turned: np.ndarray, j: int, radii: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(row, cell) of the later cells that may hold a point within block j's budget."""
-        p, r = self.pivots[j], math.sqrt(self.budget[j]) + 1e-6
-        d = distances(turned[:, self.columns[j]], p)
-        own = d.argmin(axis=1)
-        gap = np.sqrt(distances(p, p))[own]
-        plane = (d - d[np.arange(len(d)), own][:, None]) / np.maximum(2 * gap, 1e-12)
-        may = (plane <= r) & (np.sqrt(d) - radii[j] <= r) & (np.arange(len(p)) > own[:, None])
-        return np.nonzero(may)
-
-
-def _pair_distance(a: np.ndarray, b: np.ndarray, columns: np.ndarray) -> np.ndarray:
-    """Squared distance over some columns, summed in one order, so that every task gets the same bits for a pair."""
-    out = np.zeros(len(a))
-    for c in columns:
-        out += (a[:, c] - b[:, c]) ** 2
-    return out
-
-
-def _linker(space: Subspaces, threshold: float):
-    def pairs(j: int, x: tuple, y: tuple, same: bool):
-        """Linked pairs (row of x, row of y) that block j is the first to find."""
-        cols, found = space.columns[j], []
-        # |a - b|^2 <= budget as one product in single precision: a.b - |a|^2/2 - |b|^2/2 >= -budget/2, with room for rounding; what passes is compared again in double precision.
-        left, right = x[2][:, cols], y[2][:, cols]
-        left = np.column_stack([left, -(left * left).sum(1) / 2, np.ones(len(left))]).astype(np.float32)
-        right = np.ascontiguousarray(np.column_stack([right, np.ones(len(right)), -(right * right).sum(1) / 2]).astype(np.float32).T)
-        least = np.float32(-space.budget[j] / 2 - 1e-5)
-        for lo in range(0, len(x[0]), 512):
-            near = left[lo : lo + 512] @ right >= least
+    def cells(self, raw: np.ndarray) -> np.ndarray:
+        """Nearest pivots; column after column, so that equal vectors get the same cell in every batch."""
+        norm, far = np.zeros(len(raw)), np.zeros((len(raw), len(self.pivots)))
+        for c in range(self.dim):
+            norm += raw[:, c] ** 2
+        unit = raw / np.sqrt(norm)[:, None]
+        for c in range(self.dim):
+            far += (unit[:, c, None] - self.pivots[:, c]) ** 2
+        return far.argmin(axis=1)
+
+
+def _vectors(batch: pa.RecordBatch, dim: int) -> np.ndarray:
+    """The column ``v``; negative zeros are zeros."""
+    return batch.column("v").flatten().to_numpy(zero_copy_only=False).reshape(-1, dim) + 0.0
+
+
+def _digests(raw: np.ndarray) -> list[bytes]:
+    return [hashlib.blake2b(x.tobytes(), digest_size=16).digest() for x in raw]
+
+
+def _classes(keys: list[bytes], nodes: np.ndarray, copies: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(a row of each class, its smallest node, its copies) of rows sorted by their digests."""
+    k = np.frombuffer(b"".join(keys), "S16")
+    first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+    return first, np.minimum.reduceat(nodes, first), np.add.reduceat(copies, first)
+
+
+def _named(rows: DataFrame, dim: int) -> DataFrame:
+    """``vec_id, key``: the digest of each vector."""
+
+    def work(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column("vec_id"), pa.array(_digests(_vectors(b, dim)), pa.binary())], ["vec_id", "key"])
+
+    return rows.mapInArrow(work, "vec_id long, key binary")
+
+
+def _chunked(rows: DataFrame, space: Subspaces, kind: str, parts: int, chunk: int) -> DataFrame:
+    """The table of chunks: each class of equal vectors once. Copies are counted in their batch before they are dealt out by ranges of cell and digest, so that no range holds more of a class than there are batches."""
+
+    def deal(batches):
+        for b in batches:
+            if b.num_rows:
+                raw = _vectors(b, space.dim)
+                keys = _digests(raw)
+                order = sorted(range(len(keys)), key=keys.__getitem__)
+                first, nodes, copies = _classes([keys[i] for i in order], b.column("vec_id").to_numpy()[order], np.ones(len(order), np.int64))
+                own = np.array(order)[first]
+                cells = space.cells(raw[own])
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(cells.astype(np.int32)), pa.array([keys[i] for i in own], pa.binary()), pa.array(nodes), pa.array(copies), pa.array([x.tobytes() for x in raw[own].astype(kind)], pa.binary())], ["cell", "key", "node", "copies", "v"]
+                )
+
+    def row(keys, nodes, copies, blobs):
+        first, nodes, copies = _classes(keys, nodes, copies)
+        for s in range(0, len(first), chunk):
+            v = np.frombuffer(b"".join(blobs[i] for i in first[s : s + chunk]), kind).reshape(-1, space.dim)
+            turned = space.turned(v.astype(np.float64))
+            centre = turned.mean(axis=0)
+            off = (turned - centre) ** 2
+            radii = [math.sqrt(off[:, c].sum(1).max()) + 1e-6 for c in space.columns]
+            own = nodes[s : s + chunk]
+            yield [int(own.min()), own.astype("<i8").tobytes(), copies[s : s + chunk].astype("<i8").tobytes(), v.tobytes(), centre.tolist(), radii]
+
+    def pack(batches):
+        held: list = [[], np.zeros(0, np.int64), np.zeros(0, np.int64), []]
+        for b in batches:
+            held = [held[0] + b.column("key").to_pylist(), np.append(held[1], b.column("node").to_numpy()), np.append(held[2], b.column("copies").to_numpy()), held[3] + b.column("v").to_pylist()]
+            classes = np.flatnonzero(np.array([x != y for x, y in zip(held[0][1:], held[0])], bool)) + 1  # where later classes begin
+            if whole := len(classes) // chunk * chunk:
+                end = int(classes[whole - 1])
+                yield batch(row(*(h[:end] for h in held)))
+                held = [h[end:] for h in held]
+        if held[0]:
+            yield batch(row(*held))
+
+    def batch(found):
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found), (pa.int64(), *[pa.binary()] * 3, *[pa.list_(pa.float64())] * 2))], [x.split()[0] for x in CHUNK.split(", ")])
+
+    dealt = rows.mapInArrow(deal, "cell int, key binary, node long, copies long, v binary")
+    return dealt.repartitionByRange(parts, "cell", "key").sortWithinPartitions("cell", "key").mapInArrow(pack, CHUNK)
+
+
+def _reach(space: Subspaces, j: int, a: Column, b: Column) -> Column:
+    """Whether the balls of two chunks in block ``j`` can hold a pair within its share; ``a`` and ``b`` are structs of centre and radii."""
+    at, n = int(space.columns[j][0]) + 1, len(space.columns[j])
+    apart = F.zip_with(F.slice(a["centre"], at, n), F.slice(b["centre"], at, n), lambda x, y: (x - y) * (x - y))
+    room = a["radii"][j] + b["radii"][j] + F.lit(math.sqrt(space.budget[j]) + 1e-6)
+    return F.aggregate(apart, F.lit(0.0), lambda s, x: s + x) <= room * room
+
+
+def _linker(space: Subspaces, threshold: float, kind: str):
+    def load(nodes, copies, v, blocks):
+        raw = np.frombuffer(v, kind).reshape(-1, space.dim).astype(np.float64)
+        turned = space.turned(raw)
+        sides = {j: turned[:, space.columns[j]] for j in blocks}
+        return np.frombuffer(nodes, "<i8"), np.frombuffer(copies, "<i8"), raw, np.sqrt((raw * raw).sum(1)), sides
+
+    def pairs(x: tuple, y: tuple, same: bool, blocks: list[int]):
+        """Linked pairs (row of x, row of y) that some block finds.
+
+        |a - b|^2 <= budget as one product in single precision: a.b - |a|^2/2 - |b|^2/2 >= -budget/2, with room for rounding; what passes is compared in double precision.
+        """
+        left, right, least = [], [], []
+        for j in blocks:
+            a, b = x[4][j], y[4][j]
+            left.append(np.column_stack([a, -(a * a).sum(1) / 2, np.ones(len(a))]).astype(np.float32))
+            right.append(np.ascontiguousarray(np.column_stack([b, np.ones(len(b)), -(b * b).sum(1) / 2]).astype(np.float32).T))
+            least.append(np.float32(-space.budget[j] / 2 - 1e-5))
+        us, vs = [], []
+        out = np.empty((STRIPE, len(y[0])), np.float32)
+        for lo in range(0, len(x[0]), STRIPE):
+            n = min(STRIPE, len(x[0]) - lo)
+            skip = lo if same else 0
+            near = None
+            for a, b, t in zip(left, right, least):
+                made = np.matmul(a[lo : lo + n], b[:, skip:], out=out[:n, : len(y[0]) - skip] if not skip else None)
+                hit = np.flatnonzero(made.max(axis=1) >= t)
+                if len(hit):
+                    if near is None:
+                        near = np.zeros(made.shape, bool)
+                    near[hit] |= made[hit] >= t
+            if near is None:
+                continue
             if same:
-                near &= np.arange(lo, min(lo + 512, len(x[0])))[:, None] < np.arange(len(y[0]))
-            rows, others = np.nonzero(near)
-            rows += lo
-            for s in range(0, len(rows), 100_000):
-                a, b = rows[s : s + 100_000], others[s : s + 100_000]
-                cosine = np.einsum("ij,ij->i", x[1][a], y[1][b]) / (x[3][a] * y[3][b])
-                ok = cosine >= threshold
-                a, b = a[ok], b[ok]
-                ok = _pair_distance(x[2][a], y[2][b], cols) <= space.budget[j]
-                for i in range(j):
-                    ok &= ~(_pair_distance(x[2][a], y[2][b], space.columns[i]) <= space.budget[i])
+                near &= np.arange(n)[:, None] < np.arange(near.shape[1])
+            at = np.flatnonzero(near)
+            for s in range(0, len(at), 100_000):
+                a, b = np.divmod(at[s : s + 100_000], near.shape[1])
+                a, b = a + lo, b + skip
+                ok = np.einsum("ij,ij->i", x[2][a], y[2][b]) / (x[3][a] * y[3][b]) >= threshold
                 if ok.any():
-                    found.append((a[ok], b[ok]))
-        return found
+                    us.append(a[ok])
+                    vs.append(b[ok])
+        return us, vs
 
-    def load(part: pd.DataFrame):
-        raw = as_matrix(part["v"], space.dim)
-        return part["node"].to_numpy(), raw, space.turned(raw), np.sqrt((raw * raw).sum(1)), part["copies"].to_numpy(), part["chunk"].to_numpy()
-
-    def result(x: tuple, y: tuple, found: list):
-        if not found:
-            return None
-        a, b = np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+    def tile(x: tuple, y: tuple, us: list, vs: list):
+        a, b = np.concatenate(us), np.concatenate(vs)
         u, v = x[0][a], y[0][b]
-        links = pd.concat([pd.DataFrame({"node": u, "links": y[4][b]}), pd.DataFrame({"node": v, "links": x[4][a]})]).groupby("node")["links"].sum()
-        root = _roots(links.index.to_numpy(), u, v)
-        return pd.DataFrame({"node": links.index, "root": root, "links": links.to_numpy()})
+        links = pd.concat([pd.DataFrame({"node": u, "links": y[1][b]}), pd.DataFrame({"node": v, "links": x[1][a]})]).groupby("node")["links"].sum()
+        nodes = links.index.to_numpy()
+        return pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(_roots(nodes, u, v)), pa.array(links.to_numpy())], ["node", "root", "links"])
 
     def run(batches):
-        key, held, home = None, [], None
-        for pdf in batches:
-            for own, part in pdf.groupby(KEYS, sort=False):
-                if own != key:
-                    if key is not None and home is None and held:
-                        yield from inside(key, load(pd.concat(held)))
-                    key, held, home = own, [], None
-                visit = part["role"].to_numpy() == 1
-                if not visit.all():
-                    held.append(part[~visit])
-                if visit.any() and held:
-                    if home is None:
-                        home = load(pd.concat(held))
-                        yield from inside(key, home)
-                    y = load(part[visit])
-                    if (r := result(home, y, pairs(key[0], home, y, False))) is not None:
-                        yield r
-        if key is not None and home is None and held:
-            yield from inside(key, load(pd.concat(held)))
-
-    def inside(key: tuple, home: tuple):
-        """Pairs among a cell's own: within a chunk, or between two chunks; only once, in lot 0."""
-        j, _, lo, hi, lot = key
-        if lot:
-            return
-        if lo == hi:
-            r = result(home, home, pairs(j, home, home, True))
-        else:
-            first = home[5] == lo
-            x, y = tuple(c[first] for c in home), tuple(c[~first] for c in home)
-            r = result(x, y, pairs(j, x, y, False)) if len(x[0]) and len(y[0]) else None
-        if r is not None:
-            yield r
+        last, x = None, ()
+        for batch in batches:
+            for r in batch.to_pylist():
+                blocks = [j for j, live in enumerate(r["live"]) if live]
+                if r["a_id"] != last:
+                    last, x = r["a_id"], load(r["a_nodes"], r["a_copies"], r["a_v"], range(len(space.columns)))
+                same = r["a_id"] == r["b_id"]
+                y = x if same else load(r["b_nodes"], r["b_copies"], r["b_v"], blocks)
+                us, vs = pairs(x, y, same, blocks)
+                if us:
+                    yield tile(x, y, us, vs)
 
     return run
 
@@ -157,66 +217,35 @@ def _roots(nodes: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
         label = new
 
 
-def near_duplicates(table: DataFrame, threshold: float = 0.9, blocks: int = 4, sample_rows: int = 20_000, chunk: int = 2048, lot: int = 32_768, seed: int = 23) -> DataFrame:
-    """``vec_id, n_links, component_id, kept`` for every row of ``table(vec_id, embedding)``."""
+def near_duplicates(table: DataFrame, threshold: float = 0.9, blocks: int = 4, sample_rows: int = 5_000, chunk: int = 4096, lot: int = 16_384, seed: int = 23) -> DataFrame:
+    """``vec_id, n_links, component_id, kept`` for every row of ``table(vec_id, embedding)``. A chunk has at most ``chunk`` vectors, a file of chunks about ``lot``."""
     spark = table.sparkSession
     ship(spark)
-    rows, dim = usable(table)
+    rows, dim = sound(table)
     if not dim:
         return table.select(F.col("vec_id").cast("long").alias("vec_id"), F.lit(0).cast("long").alias("n_links"), F.col("vec_id").cast("long").alias("component_id"), F.lit(True).alias("kept"))
-    rows = materialise(rows, "vectors")
-    classes = materialise(rows.groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "classes")
-    n = classes.count()
-    picked = classes.orderBy(F.xxhash64("node"), "node").limit(sample_rows).collect()
-    space = Subspaces(matrix(r["v"] for r in picked), threshold, blocks, max(4, min(1024, round(n ** (1 / 3)))), seed)
-    parts = len(space.columns)
-
-    def settle(batches):
-        for pdf in batches:
-            if len(pdf):
-                raw = matrix(pdf["v"])
-                own, far = space.home(space.turned(raw))
-                yield pd.DataFrame({"node": pdf["node"], "copies": pdf["copies"], "v": [x.astype("<f8").tobytes() for x in raw], "cells": own.tolist(), "far": far.tolist()})
-
-    settled = materialise(classes.mapInPandas(settle, "node long, copies long, v binary, cells array<int>, far array<double>"), "cells")
-    radii = [np.zeros(len(p)) for p in space.pivots]
-    homes = settled.select("node", F.posexplode("cells").alias("block", "cell"), "far").select("block", "cell", F.col("far")[F.col("block")].alias("far"))
-    counts: dict[tuple[int, int], int] = {}
-    for r in homes.groupBy("block", "cell").agg(F.max("far").alias("far"), F.count("*").alias("n")).collect():  # blocks x cells rows
-        radii[r["block"]][r["cell"]] = r["far"] + 1e-6
-        counts[r["block"], r["cell"]] = r["n"]
-
-    def visit(batches):
-        for pdf in batches:
-            if len(pdf):
-                turned = space.turned(as_matrix(pdf["v"], dim))
-                found = [space.visits(turned, j, radii) for j in range(parts)]
-                at, j, cell = (np.concatenate(x) for x in zip(*[(a, np.full(len(a), j), c) for j, (a, c) in enumerate(found)]))
-                yield pd.DataFrame({"node": pdf["node"].to_numpy()[at], "block": j, "cell": cell})
-
-    visits = materialise(settled.select("node", "v").mapInPandas(visit, "node long, block int, cell int"), "visits")
-    guests = {(r["block"], r["cell"]): r["n"] for r in visits.groupBy("block", "cell").agg(F.count("*").alias("n")).collect()}
-    plan = spark.createDataFrame(
-        [(j, c, -(-k // chunk), max(1, -(-guests.get((j, c), 0) // lot))) for (j, c), k in counts.items()], "block int, cell int, chunks int, lots int"
-    )  # bounded by blocks x cells
-    live = settled.select("node", "copies", "v", F.posexplode("cells").alias("block", "cell")).join(F.broadcast(plan), ["block", "cell"])
-    live = live.withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
-    tile = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
-    lots = F.sequence(F.lit(0), F.when(F.col("lo") == F.col("hi"), F.col("lots") - 1).otherwise(0))
-    host = (
-        live.withColumn("other", tile).withColumns({"lo": F.least("chunk", "other").cast("int"), "hi": F.greatest("chunk", "other").cast("int")})
-        .withColumn("lot", F.explode(lots)).select(*KEYS, F.lit(0).alias("role"), "node", "copies", "chunk", "v")
-    )
-    guest = (
-        visits.join(F.broadcast(plan), ["block", "cell"]).withColumn("lo", tile).withColumn("lot", F.pmod(F.xxhash64("node", F.lit(1)), F.col("lots")).cast("int"))
-        .join(settled.select("node", "copies", "v"), "node").select("block", "cell", "lo", F.col("lo").alias("hi"), "lot", F.lit(1).alias("role"), "node", "copies", F.lit(-1).alias("chunk"), "v")
-    )
-    dealt = host.unionByName(guest).repartition(*KEYS).sortWithinPartitions(*KEYS, "role")
-    linked = materialise(dealt.mapInPandas(_linker(space, threshold), "node long, root long, links long"), "links")
+    kind = "<f4" if isinstance(table.schema["embedding"].dataType.elementType, T.FloatType) else "<f8"
+    named = materialise(_named(rows, dim), "named")
+    if not named.groupBy("vec_id").count().where("count > 1").isEmpty():
+        rows = materialise(least_of_each_id(rows), "vectors")
+        named = materialise(_named(rows, dim), "named")
+    n = named.count()
+    picked = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows).select("v").collect()
+    space = Subspaces(matrix(r["v"] for r in picked), threshold, blocks, max(4, min(256, n // 1024)), seed)
+    del picked
+    chunks = materialise(_chunked(rows, space, kind, max(1, -(-n // lot)), chunk), "chunks")
+    a, b = (chunks.select(*[F.col(c).alias(f"{s}_{c}") for c in ("id", "nodes", "copies", "v")], F.struct("centre", "radii").alias(f"{s}_ball")) for s in "ab")
+    # either orientation of two chunks is as likely, so that all tasks of the product have work
+    turn = F.xxhash64(F.least("a_id", "b_id"), F.greatest("a_id", "b_id")).bitwiseAND(1) == 0
+    live = [_reach(space, j, F.col("a_ball"), F.col("b_ball")) for j in range(len(space.columns))]
+    tiles = a.join(b.hint("shuffle_replicate_nl"), ((F.col("a_id") == F.col("b_id")) | ((F.col("a_id") < F.col("b_id")) == turn)) & reduce(Column.__or__, live))
+    linked = materialise(tiles.select("a_id", "a_nodes", "a_copies", "a_v", "b_id", "b_nodes", "b_copies", "b_v", F.array(*live).alias("live")).mapInArrow(_linker(space, threshold, kind), "node long, root long, links long"), "links")
+    discard(chunks)
     groups = connected(linked.select(F.col("node").alias("u"), F.col("root").alias("v")))
     links = linked.groupBy("node").agg(F.sum("links").alias("links"))
-    named = classes.join(groups, "node", "left").join(links, "node", "left").select("v", F.coalesce("component", "node").alias("component_id"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
-    per_id = rows.join(materialise(named, "named"), "v").select("vec_id", "n_links", "component_id")
+    classes = named.groupBy("key").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
+    told = classes.join(groups, "node", "left").join(links, "node", "left").select("key", F.coalesce("component", "node").alias("component_id"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
+    per_id = named.join(materialise(told, "told"), "key").select("vec_id", "n_links", "component_id")
     own = table.select(F.col("vec_id").cast("long").alias("vec_id"))
     done = own.join(per_id, "vec_id", "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
     return done.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

@@ -12,12 +12,22 @@ def usable(table: DataFrame, id_column: str = "vec_id", vector: str = "embedding
     Out: null ids; vectors that are null, empty or zero or hold null or non-finite components; vectors of another than the commonest
     dimension (ties: the smaller). Of repeated ids the least vector stays.
     """
+    rows, dim = sound(table, id_column, vector)
+    return least_of_each_id(rows), dim
+
+
+def least_of_each_id(rows: DataFrame) -> DataFrame:
+    return rows.groupBy("vec_id").agg(F.min("v").alias("v"))
+
+
+def sound(table: DataFrame, id_column: str = "vec_id", vector: str = "embedding") -> tuple[DataFrame, int]:
+    """:func:`usable` before repeated ids are settled, which deals all vectors out."""
     v = F.col(vector).cast("array<double>")
     sound = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
     rows = table.select(F.col(id_column).cast("long").alias("vec_id"), v.alias("v")).where(F.col("vec_id").isNotNull() & v.isNotNull() & F.coalesce(sound, F.lit(False)))
     dims = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").first()
     dim = dims["d"] if dims else 0
-    return rows.where(F.size("v") == dim).groupBy("vec_id").agg(F.min("v").alias("v")), dim
+    return rows.where(F.size("v") == dim), dim
 
 
 def matrix(values) -> np.ndarray:
